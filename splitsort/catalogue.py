@@ -1,0 +1,4 @@
+"""All queries of the library by name, and the SQL each is checked against."""
+
+QUERIES: dict = {}
+ORACLES: dict[str, str] = {}
