@@ -75,8 +75,9 @@ def _round(p: np.ndarray, size: np.ndarray, u: np.ndarray) -> int:
     return held
 
 
-def _pair(key, frame: pd.DataFrame) -> pd.DataFrame:
-    frame = frame.sort_values(["h", "uid"], kind="stable")
+def _pair(frame: pd.DataFrame) -> pd.DataFrame:
+    # Largest first: what a large document has left over can still be settled by many small ones.
+    frame = frame.sort_values(["size", "h", "uid"], ascending=[False, True, True], kind="stable")
     p = frame["p"].to_numpy(np.float64).copy()
     u = (frame["h"].to_numpy(np.int64).view(np.uint64) >> np.uint64(11)) / float(1 << 53)
     _round(p, frame["size"].to_numpy(np.float64), u)
