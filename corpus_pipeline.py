@@ -1,30 +1,74 @@
-"""The corpus pipeline: stages of the llm operators, filled in as they are written."""
+"""The corpus pipeline: language ID, exact and near dedup, mixing, tokenization.
+
+``STAGES`` lists (name, function); each function takes (spark, docs, sf_dir), works on every row of
+``docs`` and returns a DataFrame, the columns of ``documents`` in all stages but the last.  ``run``
+writes each stage's result to the shared folder and reads it as the next one's ``docs``.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from splitsort.llm import exact_dedup
-from splitsort.llm.common import staged, table
+from splitsort.llm import exact_dedup, language_id, mixing, near_dedup, sentencepiece_codec
+from splitsort.llm.common import doc_crc, staged, table, unstage
 
+#: Fitted codes, random rounding and a tokenizer: SQL can't express these stages.
 ORACLE_SQL: str | None = None
 
 
-def exact_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without a letter go, and those whose language is undecided between several.
+
+    The codes are fitted on a bounded sample of the rows with a language outside the held-out fold.
+    """
+    model = language_id.train(docs.where(doc_crc(F.col("doc_id")) % 4 != 2))
+    found = language_id.identify(docs, model)
+    clear = (F.col("lang_pred") != language_id.UNKNOWN) & ~(F.col("lang_ambiguous") & (F.col("lang_score") < 0.5))
+    return found.where(clear).select(*docs.columns)
+
+
+def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts the one with the largest id stays."""
     return exact_dedup.exact_dedup(docs).where("kept").select(*docs.columns)
 
 
-STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [("exact dedup", exact_dedup_stage)]
+def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of near duplicates the one with the least id stays."""
+    return near_dedup.near_duplicates(docs).where("kept").select(*docs.columns)
+
+
+def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document as often as the mix takes it."""
+    return mixing.repeated(mixing.mix(docs), docs.columns)
+
+
+def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids, and whether decoding them gives the text back."""
+    coded = sentencepiece_codec.encode_decode(docs)
+    same = F.col("decoded") == F.coalesce("text", F.lit(""))
+    return coded.select("doc_id", "lang", "source", "n_tokens", "ids", same.alias("lossless"))
+
+
+STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
+    ("language ID", language_stage),
+    ("exact dedup", exact_stage),
+    ("near dedup", near_stage),
+    ("mixing", mixing_stage),
+    ("sentencepiece", token_stage),
+]
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over ``documents``, each written and read again before the next."""
     docs = table(spark, sf_dir, "documents")
+    before: list[DataFrame] = []
     for k, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k < len(STAGES) - 1:
             docs = staged(docs, "pipeline")
+            unstage(*before)
+            before = [docs]
     return docs

@@ -16,6 +16,7 @@ import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 #: Words of every contract here: maximal runs of anything but space and the ASCII controls 9 to 13.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -28,6 +29,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def widened(df: DataFrame, **kinds: str) -> StructType:
+    """The schema of ``df`` with further columns, as a new object."""
+    new = StructType.fromDDL(", ".join(f"{name} {kind}" for name, kind in kinds.items()))
+    return StructType([*df.schema.fields, *new.fields])
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder all executors see: ``spark.checkpoint.dir``, or in its absence (tests) a new one."""
     sc = spark.sparkContext
