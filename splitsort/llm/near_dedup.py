@@ -123,6 +123,21 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got, pa.list_(pa.int64()))], ["node", "sh"])
 
 
+def _agreeing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint16).reshape(batch.num_rows, -1) for c in ("x", "y"))
+        good = pa.array((x == y).sum(axis=1) >= PLAUSIBLE)
+        yield pa.RecordBatch.from_arrays([batch.column("a").filter(good), batch.column("b").filter(good)], ["a", "b"])
+
+
+def _alike(pairs: DataFrame, sigs: DataFrame) -> DataFrame:
+    """Of ``pairs(a, b)`` those that size and signatures let reach the threshold."""
+    own = lambda side, sig: sigs.select(F.col("node").alias(side), F.col("n_shingles").alias(f"n{side}"), F.col("sig").alias(sig))
+    both = pairs.join(own("a", "x"), "a").join(own("b", "y"), "b")
+    both = both.where(100 * F.least("na", "nb") >= PERCENT * F.greatest("na", "nb")).select("a", "b", "x", "y")
+    return both.mapInArrow(_agreeing, "a long, b long")
+
+
 def _verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     """Of ``pairs(a, b)`` those whose full shingle sets meet 100 * intersection >= 75 * union."""
     pairs = staged(pairs, "pairs")
@@ -204,11 +219,13 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id")
     spread = nodes.select("node", F.explode("bands").alias("band"))
     heads = spread.groupBy("band").agg(F.count("*").alias("n"), F.min("node").alias("head")).where("n > 1")
     members = staged(spread.join(heads.select("band", "head"), "band").select("band", "head", "node"), "members")
+    sigs = nodes.select("node", "n_shingles", "sig")
     stars = members.where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b")).distinct()
-    links = _verified(stars, texts)
+    stars = _alike(stars, sigs).groupBy("b").agg(F.min("a").alias("a"))  # one head each; the others come in step 3
+    links = _verified(stars.select("a", "b"), texts)
     comp = components(links)
     # 3. what is left between components
-    more = _verified(_across(members.select("band", "node"), comp, nodes.select("node", "n_shingles", "sig")), texts)
+    more = _verified(_across(members.select("band", "node"), comp, sigs), texts)
     if not more.isEmpty():
         comp = components(links.unionAll(more))
     # back to documents
