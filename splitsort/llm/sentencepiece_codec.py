@@ -28,7 +28,7 @@ MARK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
 #: Chunks that a worker remembers before it starts afresh, and the letters and signs that finer cuts may part.
-REMEMBERED = 400_000
+REMEMBERED = 100_000
 LETTER, SIGNS = "[A-Za-zÀ-ɏ]", ".,!?*#$%&|;:()\n"
 PROBES = (
     "", " ", "a", "  two  spaces ", "line\nline\ttab", "Ünïcode ñandú çédille", "日本語のテキスト", "emoji 👩‍🚀 zwj",
@@ -197,7 +197,7 @@ def codec(blob: bytes) -> Codec:
     return Codec(blob)
 
 
-def _texts(column: pa.Array, most: int = 8 << 20) -> Iterator[tuple[int, list[str]]]:
+def _texts(column: pa.Array, most: int = 2 << 20) -> Iterator[tuple[int, list[str]]]:
     """Texts of a column in slices of bounded size, each with its number of rows."""
     part, size = [], 0
     for t in column:
