@@ -1 +1 @@
-"""Split-key sorting on Spark."""
+"""Split-key sorting on Spark: sort keys and locators, copy each value once."""
