@@ -1,6 +1,9 @@
 """All queries of the library by name, and the SQL each is checked against."""
 
-from . import sorts
+from . import measures, relational, sorts, streams
 
-QUERIES: dict = {**sorts.QUERIES}
-ORACLES: dict[str, str] = {**sorts.ORACLES}
+QUERIES: dict = {}
+ORACLES: dict[str, str] = {}
+for _part in (sorts, measures, relational, streams):
+    QUERIES |= _part.QUERIES
+    ORACLES |= _part.ORACLES

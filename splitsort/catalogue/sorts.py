@@ -119,7 +119,7 @@ def slim_index_parquet(spark, sf_dir):
 
 @query(
     "slim_index_klv_offsets",
-    "SELECT sum(14 + octet_length(encode(text))) AS bytes, count(*) AS records, sum(octet_length(encode(text))) AS value_bytes FROM documents",
+    "SELECT sum(14 + octet_length(encode(text)))::BIGINT AS bytes, count(*) AS records, sum(octet_length(encode(text)))::BIGINT AS value_bytes FROM documents",
 )
 def slim_index_klv_offsets(spark, sf_dir):
     """Offsets chain: each value starts a head after the end of the one before; the ends sum to the files' bytes."""

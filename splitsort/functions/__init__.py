@@ -10,9 +10,10 @@ import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DecimalType, StringType
 
 
-@pandas_udf("string")
+@pandas_udf(StringType())
 def double_bits(x: pd.Series) -> pd.Series:
     """Sixteen hex digits whose order is that of the doubles: -0.0 equals 0.0, NaN is last."""
     v = x.to_numpy(np.float64, na_value=np.nan) + 0.0
@@ -57,7 +58,7 @@ def encode_sort_key(parts: list[tuple[Column, str, bool, bool]]) -> Column:
     return F.unhex(F.concat(*out))
 
 
-@pandas_udf("decimal(38,0)")
+@pandas_udf(DecimalType(38, 0))
 def order_checksum(h: pd.Series) -> Decimal:
     """Sum of 64-bit hashes without overflow; the order of rows doesn't matter."""
     return Decimal(sum(int(x) for x in h))
