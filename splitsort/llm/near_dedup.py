@@ -10,8 +10,10 @@ No group is ever expanded into its pairs:
 1. texts with equal shingle sets collapse into one class;
 2. in each band bucket every class is compared with the bucket's least class, and verified links are
    united into components;
-3. what a bucket then still holds of *different* components is compared on signatures, block by
-   block, inside the workers, and only plausible pairs leave them, to be verified in their turn.
+3. what a bucket then still holds of *different* components is compared with its other heads, pair by
+   pair in small buckets, and on signatures inside the workers, block by block, in large ones.  There each
+   class first sends its best few partners to be verified, round after round while that unites
+   anything; then all plausible pairs that still lie between components are verified.
    Pairs already in one component need no test: they can change nothing.
 """
 
@@ -31,10 +33,10 @@ from .common import components, small, staged, unstage
 WORDS_IN_SHINGLE, PERCENT = 5, 75
 #: 40 bands of 4 rows: a pair at similarity 0.75 is missed with a chance of 3e-7.
 BANDS, ROWS = 40, 4
-#: Coordinates of which a pair at 0.75 agrees on fewer than this with a chance under 1e-12.
-PLAUSIBLE = 80
-#: Classes that one block of a large bucket holds.
-BLOCK = 1024
+#: A pair at 0.75 agrees on fewer coordinates than this with a chance of about 1e-6.
+PLAUSIBLE = 94
+#: Classes up to which a bucket is small, classes of one block of a large one, partners sent in a round.
+SMALL, BLOCK, PARTNERS = 16, 1024, 3
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 LOWER = {c: c + 32 for c in range(65, 91)}
 
@@ -79,8 +81,8 @@ def signature(sh: np.ndarray, coordinates: int = BANDS * ROWS) -> np.ndarray:
     first = _permuted((sh ^ (sh >> np.uint64(32))).astype(np.uint32) + np.uint32(0x5BD1E995))
     shift = np.arange(coordinates, dtype=np.uint32)
     out = np.full(coordinates, 0xFFFFFFFF, np.uint32)
-    for at in range(0, len(first), 2048):
-        out = np.minimum(out, _permuted(first[at : at + 2048, None] - shift[None, :]).min(axis=0))
+    for at in range(0, len(first), 512):
+        out = np.minimum(out, _permuted(first[at : at + 512, None] - shift[None, :]).min(axis=0))
     return out
 
 
@@ -153,34 +155,48 @@ def _verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return good
 
 
-def _plausible(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs of one bucket's block pair that differ in component and may reach the threshold."""
-    t = pa.Table.from_batches(list(batches))
-    if not len(t):
-        return
-    node, comp, size, side = (t.column(c).to_numpy() for c in ("node", "comp", "n_shingles", "side"))
-    sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint16).reshape(len(t), -1)
-    left, right = np.flatnonzero(side != 1), np.flatnonzero(side != 0)  # side 2: a block with itself
-    a, b = [], []
-    for i in left:
-        other = right[(comp[right] != comp[i]) & (100 * np.minimum(size[right], size[i]) >= PERCENT * np.maximum(size[right], size[i]))]
-        if side[i] == 2:
-            other = other[other > i]
-        if len(other):
-            other = other[(sig[other] == sig[i]).sum(axis=1) >= PLAUSIBLE]
-            a += [min(node[i], node[j]) for j in other]
-            b += [max(node[i], node[j]) for j in other]
-    if a:
-        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
-
-
-def _across(members: DataFrame, comp: DataFrame, sigs: DataFrame) -> DataFrame:
-    """Plausible pairs between different components inside the buckets ``members(band, node)``."""
+def _plausible(partners: int | None):
+    """Pairs of one block pair that differ in component and may reach the threshold; the best few of each, or all."""
+
+    def run(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        t = pa.Table.from_batches(list(batches))
+        if not len(t):
+            return
+        node, comp, size, side = (t.column(c).to_numpy() for c in ("node", "comp", "n_shingles", "side"))
+        sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint16).reshape(len(t), -1)
+        left, right = np.flatnonzero(side != 1), np.flatnonzero(side != 0)  # side 2: a block with itself
+        a, b = [], []
+        for i in left:
+            other = right[(comp[right] != comp[i]) & (100 * np.minimum(size[right], size[i]) >= PERCENT * np.maximum(size[right], size[i]))]
+            if side[i] == 2:
+                other = other[other > i]
+            if len(other):
+                same = (sig[other] == sig[i]).sum(axis=1)
+                good = np.flatnonzero(same >= PLAUSIBLE)
+                if partners is not None and len(good) > partners:
+                    good = good[np.argsort(-same[good], kind="stable")[:partners]]
+                a += [min(node[i], node[j]) for j in other[good]]
+                b += [max(node[i], node[j]) for j in other[good]]
+        if a:
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+
+    return run
+
+
+def _open(members: DataFrame, comp: DataFrame) -> DataFrame:
+    """``(band, n, node, comp)`` of the buckets that hold several components, ``n`` their classes."""
     known = members.join(comp, "node", "left").select("band", "node", F.coalesce("component", "node").alias("comp"))
     known = staged(known, "known")
     mixed = known.groupBy("band").agg(F.count("*").alias("n"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
-    mixed = staged(mixed.where("lo < hi").select("band", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")), "mixed")
-    rows = known.join(small(mixed, mixed.count()), "band").join(sigs, "node")
+    mixed = staged(mixed.where("lo < hi").select("band", "n"), "mixed")
+    out = staged(known.join(small(mixed, mixed.count()), "band"), "open")
+    unstage(known, mixed)
+    return out
+
+
+def _across(large: DataFrame, sigs: DataFrame, partners: int | None) -> DataFrame:
+    """Plausible pairs between components of large buckets, ``(band, n, node, comp)``, by blocks."""
+    rows = large.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).join(sigs, "node")
     mine = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
     # A block meets itself and every other block once: the row goes to each of these meetings.
     meetings = F.transform(
@@ -189,8 +205,7 @@ def _across(members: DataFrame, comp: DataFrame, sigs: DataFrame) -> DataFrame:
     )
     dealt = rows.select("band", "node", "comp", "n_shingles", "sig", F.explode(meetings).alias("m"))
     dealt = dealt.select("band", "m.p", "m.q", "m.side", "node", "comp", "n_shingles", "sig")
-    found = dealt.groupBy("band", "p", "q").applyInArrow(_plausible, "a long, b long")
-    return found.distinct()
+    return dealt.groupBy("band", "p", "q").applyInArrow(_plausible(partners), "a long, b long").distinct()
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
@@ -221,13 +236,32 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id")
     members = staged(spread.join(heads.select("band", "head"), "band").select("band", "head", "node"), "members")
     sigs = nodes.select("node", "n_shingles", "sig")
     stars = members.where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b")).distinct()
-    stars = _alike(stars, sigs).groupBy("b").agg(F.min("a").alias("a"))  # one head each; the others come in step 3
-    links = _verified(stars.select("a", "b"), texts)
+    stars = staged(_alike(stars, sigs), "stars")
+    links = _verified(stars.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), texts)
     comp = components(links)
-    # 3. what is left between components
-    more = _verified(_across(members.select("band", "node"), comp, sigs), texts)
-    if not more.isEmpty():
-        comp = components(links.unionAll(more))
+    # 3. what is left between components: other heads and small buckets, then large ones
+    of = lambda side: comp.select(F.col("node").alias(side), F.col("component").alias(f"c{side}"))
+    heads = stars.join(of("a"), "a", "left").join(of("b"), "b", "left")
+    heads = heads.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
+    left = _open(members.select("band", "node"), comp)
+    few = left.where(F.col("n") <= SMALL)
+    pairs = few.join(few.select("band", F.col("node").alias("b"), F.col("comp").alias("d")), "band")
+    pairs = pairs.where("node < b AND comp <> d").select(F.col("node").alias("a"), "b").distinct()
+    more = _verified(heads.unionAll(_alike(pairs, sigs)).distinct(), texts)
+    rounds = PARTNERS  # the best partners of each class first, all of them once that unites no more
+    while True:
+        if not more.isEmpty():
+            links = links.unionAll(more)
+            comp = components(links)
+        if rounds is None:
+            break
+        large = _open(members.select("band", "node"), comp).where(F.col("n") > SMALL)
+        if large.isEmpty():
+            break
+        more = _verified(_across(large, sigs, rounds), texts)
+        if more.isEmpty():
+            rounds = None
+            more = _verified(_across(large, sigs, rounds), texts)
     # back to documents
     me = F.col(f"`{doc_id}`")
     final = named.join(comp, "node", "left").select("same", F.coalesce("component", "node").alias("__c"))
