@@ -101,15 +101,19 @@ def point_fetch(
             size = batch.column("vlength").to_numpy().astype(np.int64) if klv else np.full(len(pos), v, np.int64)
             start = pos if klv else pos * width + k
             queue, fulls = OffsetQueue(batch_bytes), []
-            for i, s in enumerate(size.tolist()):
-                full = queue.put(i, s)
-                if full:
-                    fulls.append(full)
-            fulls.append(queue.flush())
+            if batch_bytes:
+                for i, s in enumerate(size.tolist()):
+                    full = queue.put(i, s)
+                    if full:
+                        fulls.append(full)
+                fulls.append(queue.flush())
+            elif len(pos):
+                fulls.append(range(len(pos)))  # no buffer: one request after the other
             for rows in (r for r in fulls if r):
                 a, z = rows[0], rows[-1] + 1
-                values, b, n = read_values(paths, f[a:z], start[a:z], size[a:z], gap_bytes, read_pool)
-                needed, got, asked, fills, count = needed + int(size[a:z].sum()), got + b, asked + n, fills + 1, count + z - a
+                values, b, n = read_values(paths, f[a:z], start[a:z], size[a:z], gap_bytes if batch_bytes else -1, read_pool if batch_bytes else 1)
+                needed, got, asked, count = needed + int(size[a:z].sum()), got + b, asked + n, count + z - a
+                fills += 1 if batch_bytes else n
                 if not counters:
                     yield pa.RecordBatch.from_arrays([*batch.slice(a, z - a).columns, pa.array(values, pa.binary())], [*names, "value"])
         if counters:
