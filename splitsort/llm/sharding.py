@@ -15,6 +15,8 @@ from .common import repeat_salt, small, staged
 
 #: Bytes of text a bucket holds on average, and the least number of buckets.
 BUCKET_BYTES, LEAST_BUCKETS = 16 << 20, 64
+#: Partitions that the buckets are dealt over at most.
+MOST_PARTITIONS = 20_000
 
 
 def shard(
@@ -42,10 +44,10 @@ def shard(
     scattered = docs.select(F.pmod(F.xxhash64(F.lit(~seed), salt, *keys), F.lit(buckets)).alias("__b"), record.alias("__r"))
     # A bucket is brought into one order before it is shuffled, whatever order its rows arrived in.
     byorder = F.array_sort(F.collect_list("__r"), lambda x, y: F.when(x["o"] < y["o"], -1).when(x["o"] > y["o"], 1).otherwise(0))
-    written = staged(
-        scattered.groupBy("__b").agg(F.shuffle(byorder, seed).alias("__rs")).select("__b", F.size("__rs").alias("__n"), "__rs"),
-        "buckets",
-    )
+    # The exchange draws from its partition's stream, so partitions and the order of buckets in them are fixed too.
+    gathered = scattered.repartition(min(buckets, MOST_PARTITIONS), "__b").groupBy("__b").agg(byorder.alias("__rs"))
+    gathered = gathered.sortWithinPartitions("__b").select("__b", F.size("__rs").alias("__n"), F.shuffle("__rs", seed).alias("__rs"))
+    written = staged(gathered, "buckets")
     start = F.sum("__n").over(Window.orderBy("__b").rowsBetween(Window.unboundedPreceding, -1))
     starts = written.select("__b", F.coalesce(start, F.lit(0)).cast("long").alias("__s"))  # one row for each bucket
     rank = F.col("__s") + F.col("__i")
