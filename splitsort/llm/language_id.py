@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import widened
+from .common import small, widened
 
 #: Bounds of the labelled sample: documents of each language, characters of each (for fitting only).
 DOCS_PER_LANG, FIT_CHARS = 800, 4000
@@ -109,10 +109,15 @@ def predict(model: Coder, text: str | None) -> tuple[str, float, bool]:
 def train(docs: DataFrame, text: str = "text", lang: str = "lang", doc_id: str = "doc_id") -> Coder:
     """Fit on at most DOCS_PER_LANG documents of each language, chosen by a hash of the id.
 
-    Rows with null language or text take no part.  The limit for each language is applied before the shuffle.
+    Rows with null language or text take no part.  Languages are counted first; a share of each that holds
+    about four times the sample passes a hash filter, so that what the choice shuffles doesn't grow with the table.
     """
     rows = docs.select(F.col(f"`{doc_id}`").alias("i"), F.col(f"`{lang}`").alias("l"), F.substring(F.col(f"`{text}`"), 1, FIT_CHARS).alias("t"))
     rows = rows.where("l IS NOT NULL AND t IS NOT NULL")
+    each = rows.groupBy("l").agg(F.count("*").alias("n"))
+    share = F.least(F.lit(1.0), F.lit(4.0 * DOCS_PER_LANG) / F.col("n"))
+    passed = F.pmod(F.xxhash64(F.lit(9), "i"), F.lit(1 << 30)) < share * (1 << 30)
+    rows = rows.join(small(each, each.count(), 100_000), "l").where(passed)
     best = Window.partitionBy("l").orderBy(F.xxhash64(F.lit(8), "i"), "t")
     rows = rows.withColumn("k", F.row_number().over(best)).where(F.col("k") <= DOCS_PER_LANG)
     got = sorted((r["l"], r["k"], r["t"]) for r in rows.collect())
