@@ -120,6 +120,10 @@ class Codec:
                 self.chunk = re.compile(f"{MARK}*{LETTER}+(?=[{signs}])|{MARK}*[^{MARK}\n]+|\n|{MARK}+")
         self.starts = bytearray(t == NORMAL and p.startswith(MARK) for p, _, t in pieces)
         self.skip = {i for i, (*_, t) in enumerate(pieces) if t == CONTROL}
+        # What the library decodes each id to by itself; ids from here that depend on their neighbours are odd.
+        self.alone = self.tok.decode_batch([[i] for i in range(len(pieces))], skip_special_tokens=False)
+        high = {i for i, (p, _, t) in enumerate(pieces) if t == BYTE and int(p[1:-1], 16) >= 128}
+        self.odd = self.skip | high | {i for i, (*_, t) in enumerate(pieces) if t == UNKNOWN}
         self.encoded: dict[str, list[int]] = {}
         self.decoded: dict[tuple[int, ...], str] = {}
         if verify:
@@ -141,8 +145,9 @@ class Codec:
         if len(self.encoded) > REMEMBERED:
             self.encoded.clear()
         known, cut = self.encoded, self.chunk.findall
-        split = [[c for c in cut(m) if c] for m in marked]
-        new = list({c for chunks in split for c in chunks if c not in known})
+        known[""] = []
+        split = [cut(m) for m in marked]
+        new = list(set().union(*split).difference(known))
         for c, e in zip(new, self.tok.encode_batch_fast(new, add_special_tokens=False), strict=True):
             known[c] = e.ids
         out = []
@@ -151,12 +156,16 @@ class Codec:
         return out
 
     def decode(self, lists: list[list[int]]) -> list[str]:
-        """Texts of id lists.  Ids are cut before pieces that start with the marker; a byte run is never cut."""
+        """Texts of id lists.  Ids that decode alike everywhere are joined; otherwise ids are cut before pieces that
+        start with the marker, where no byte run is cut."""
         starts, known = self.starts, self.decoded
         if len(known) > REMEMBERED:
             known.clear()
         split, new = [], {}
         for ids in lists:
+            if self.odd.isdisjoint(ids):
+                split.append("".join(map(self.alone.__getitem__, ids)))
+                continue
             if self.skip and not self.skip.isdisjoint(ids):
                 ids = [i for i in ids if i not in self.skip]
             cuts = [k for k, i in enumerate(ids) if starts[i]]
@@ -172,7 +181,7 @@ class Codec:
             known[p] = t
         out = []
         for parts in split:
-            text = "".join([known[p] for p in parts])
+            text = parts if isinstance(parts, str) else "".join([known[p] for p in parts])
             out.append(text[1:] if self.dummy and text.startswith(" ") else text)
         return out
 
