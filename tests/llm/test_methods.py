@@ -320,3 +320,36 @@ def test_line_dedup(spark, sf_dir, texts):
         kept = r["text"].split("\n") if r["text"] else []
         it = iter(texts[r["doc_id"]].split("\n"))
         assert all(k in it for k in kept)
+
+
+def test_line_dedup_long_tokens(spark):
+    """Typos all over long lines of long tokens spoil every pair of words, yet few of the shingles."""
+    from splitsort.llm.line_dedup import dedup_lines
+
+    rng = np.random.default_rng(5)
+    letters = np.array(list("abcdefghijklmnopqrstuvwxyz"))
+    shingles = lambda s: {s[j : j + 10] for j in range(len(s) - 9)}
+    lines = []
+    for k in range(60):
+        n, size = ((12, 75), (12, 40), (20, 60))[k % 3]
+        line = np.array(list(" ".join("".join(rng.choice(letters, size)) for _ in range(n))))
+        for share in (0.0, 0.010, 0.013):
+            typed = line.copy()
+            at = rng.choice(np.flatnonzero(line != " "), int(share * len(line)), replace=False)
+            typed[at] = rng.choice(letters, len(at))
+            lines.append("".join(typed))
+    sets, parent = [shingles(s) for s in lines], list(range(len(lines)))
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for i in range(len(lines)):
+        for j in range(i):
+            if 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j]):
+                parent[root(i)] = root(j)
+    comps = len({root(i) for i in range(len(lines))})
+    assert comps < 80
+    got = rows(dedup_lines(spark.createDataFrame([(i, s) for i, s in enumerate(lines)], SCHEMA)))
+    assert len(lines) - sum(r["n_removed"] for r in got) == comps
