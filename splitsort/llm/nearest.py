@@ -1,11 +1,12 @@
 """Approximate nearest neighbours by collision counting on single-projection sorted arrays.
 
-The largest inner product becomes the least distance by one extra coordinate that brings all vectors
-to the largest norm.  Every block of vectors keeps, for each direction of a random rotation, the sorted
-array of its projections.  Around a query's projections windows open on all arrays at once; a
+Every block of vectors is cut into ranges of nearly equal norm, where the largest inner product becomes the
+least distance by one extra coordinate that brings all vectors to the range's largest norm.  Each range
+keeps, for each direction of a random rotation, the sorted array of its projections.  Around a query's projections windows open on all arrays at once; a
 vector collides where its projection lies in the window.  Virtual rehashing widens all windows by one factor at
 a time until enough vectors exceed the collision threshold; those, and only those, are verified by their inner
-products.  Queries and rows meet in a grid of blocks, and each query keeps its best of each block.
+products.  Ranges follow by falling norm; a query leaves out those whose norm can't reach its k-th score.
+Queries and rows meet in a grid of blocks, and each query keeps its best of each block.
 """
 
 from __future__ import annotations
@@ -19,8 +20,10 @@ from pyspark.sql import functions as F
 
 #: Rows and queries of one meeting; share of the projections on which a candidate collides.
 ROWS, QUERIES, THRESHOLD = 8192, 512, 0.9
-#: Windows widen by GROW from the narrowest of LEVELS; they stop at this share of the block's vectors.
+#: Windows widen by GROW from the narrowest of LEVELS; they stop at this share of the range's vectors.
 GROW, LEVELS, ENOUGH, LEAST = 1.12, 28, 0.06, 200
+#: Largest norm of a range by its least, but in ranges of up to LEAST vectors, which are verified whole.
+EVEN = 1.05
 
 
 def usable(vec: Column) -> Column:
@@ -44,7 +47,7 @@ def exact_scores(x: np.ndarray, q: np.ndarray) -> np.ndarray:
 
 
 class Block:
-    """The collision index of one block of distinct vectors."""
+    """The collision index of distinct vectors, none longer than ``norm``."""
 
     def __init__(self, x: np.ndarray, norm: float, seed: int) -> None:
         self.x = x
@@ -84,6 +87,17 @@ class Block:
             level += 1
 
 
+def norm_ranges(norms: np.ndarray) -> list[np.ndarray]:
+    """Places of all vectors by falling norm, cut where the norm has fallen by EVEN and LEAST vectors are in."""
+    order = np.argsort(-norms, kind="stable")
+    falling, at, out = -norms[order], 0, []
+    while at < len(order):
+        end = max(at + LEAST, int(np.searchsorted(falling, falling[at] / EVEN, "right")))
+        out.append(order[at:end])
+        at = end
+    return out
+
+
 def _meet(k: int, norm: float, seed: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = pa.Table.from_batches(list(batches))
@@ -97,21 +111,33 @@ def _meet(k: int, norm: float, seed: int):
         own, vec = ids[rows][order], flat[rows][order]
         _, first, same = np.unique(np.ascontiguousarray(vec + 0.0).view(f"V{8 * vec.shape[1]}").ravel(), return_index=True, return_inverse=True)
         members = np.split(own[np.argsort(same, kind="stable")], np.bincount(same).cumsum()[:-1])
-        block, qs = Block(vec[first], norm, seed), flat[asked]
-        lo, hi = block.windows(qs)
-        start = min(block.candidates(lo[i], hi[i], 0)[1] for i in range(0, len(asked), -(-len(asked) // 8)))
-        out_q, out_v, out_s = [], [], []
-        for i, q in enumerate(qs):
-            found, _ = block.candidates(lo[i], hi[i], start)
-            rough = block.x[found] @ q
-            if len(rough) > k + 1:
-                found = found[rough >= np.partition(rough, -k - 1)[-k - 1] - 1e-9 * max(1.0, norm**2)]
-            score, me = exact_scores(block.x[found], q), ids[asked[i]]
-            got = [(-s, int(v)) for s, f in zip(score, found, strict=True) for v in members[f][: k + 1] if v != me]
-            got.sort()
-            out_q += [me] * len(got[:k])
-            out_v += [v for _, v in got[:k]]
-            out_s += [-s for s, _ in got[:k]]
+        x, qs = vec[first], flat[asked]
+        norms, lengths = np.sqrt((x**2).sum(axis=1)), np.sqrt((qs**2).sum(axis=1))
+        best: list[list[tuple[float, int]]] = [[] for _ in qs]
+        slack = 1e-9 * max(1.0, norm**2)
+        for part in norm_ranges(norms):
+            top = float(norms[part[0]])
+            # No vector of this range or a later one has a larger product than top times the query's length.
+            live = [i for i, b in enumerate(best) if len(b) < k or -b[-1][0] <= top * lengths[i] + slack]
+            if not live:
+                break
+            block = Block(x[part], top, seed)
+            whole = block.enough == len(part)
+            if not whole:
+                lo, hi = block.windows(qs[live])
+                start = min(block.candidates(lo[i], hi[i], 0)[1] for i in range(0, len(live), -(-len(live) // 8)))
+            for w, i in enumerate(live):
+                q, me = qs[i], ids[asked[i]]
+                found = np.arange(len(part)) if whole else block.candidates(lo[w], hi[w], start)[0]
+                rough = block.x[found] @ q
+                if len(rough) > k + 1:
+                    found = found[rough >= np.partition(rough, -k - 1)[-k - 1] - slack]
+                score = exact_scores(block.x[found], q)
+                got = best[i] + [(-s, int(v)) for s, f in zip(score, part[found], strict=True) for v in members[f][: k + 1] if v != me]
+                got.sort()
+                best[i] = got[:k]
+        out_q = [ids[a] for a, b in zip(asked, best, strict=True) for _ in b]
+        out_v, out_s = [v for b in best for _, v in b], [-s for b in best for s, _ in b]
         yield pa.RecordBatch.from_arrays([pa.array(out_q, pa.int64()), pa.array(out_v, pa.int64()), pa.array(out_s, pa.float64())], ["query_id", "vec_id", "score"])
 
     return run

@@ -215,6 +215,25 @@ def test_collision_counting_recall():
     assert hits / (50 * 21) >= 0.9
 
 
+@pytest.mark.parametrize("spread", [0.1, 0.3, 0.5])
+def test_nearest_recall_uneven_norms(spark, spread):
+    from splitsort.llm.nearest import nearest
+
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(4000, 64))
+    x *= np.exp(spread * rng.normal(size=(4000, 1))) / np.linalg.norm(x, axis=1, keepdims=True)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = collections.defaultdict(set)
+    for r in rows(nearest(df, F.col("vec_id") % 100 == 0)):
+        got[r["query_id"]].add(r["vec_id"])
+    hits = 0
+    for q in range(0, 4000, 100):
+        s = x @ x[q]
+        s[q] = -np.inf
+        hits += len(got[q] & set(np.argsort(-s)[:20]))
+    assert hits / (20 * 40) >= 0.95
+
+
 def test_codec_round_trip_and_parity(spark, sf_dir, texts):
     import sentencepiece
 
