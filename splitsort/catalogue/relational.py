@@ -67,16 +67,25 @@ def join_range(spark, sf_dir):
 SPANS = "SELECT event_id, user_id, epoch_us(ts) // 1000000 AS a, epoch_us(ts) // 1000000 + 600 AS z FROM events"
 
 
-@query("join_interval", f"SELECT x.event_id AS left_id, y.event_id AS right_id FROM ({SPANS}) x JOIN ({SPANS}) y ON x.a < y.z AND y.a < x.z AND x.user_id < y.user_id WHERE x.event_id < 300 AND y.event_id < 300")
-def join_interval(spark, sf_dir):
-    """Overlapping ten-minute spans of the first events; the bound is part of the question asked."""
-    e = t(spark, sf_dir, "events").where("event_id < 300")
+def _overlaps(e):
     at = F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 1000000)
     a = e.select(F.col("event_id").alias("left_id"), F.col("user_id").alias("u"), at.alias("a"), (at + 600).alias("z"))
     b = e.select(F.col("event_id").alias("right_id"), F.col("user_id").alias("v"), at.alias("c"), (at + 600).alias("d"))
     return op.join_overlap(a, b, "a", "z", "c", "d", 600).where("u < v").select("left_id", "right_id")
 
 
+@query("join_interval", f"SELECT x.event_id AS left_id, y.event_id AS right_id FROM ({SPANS}) x JOIN ({SPANS}) y ON x.a < y.z AND y.a < x.z AND x.user_id < y.user_id WHERE x.event_id < 300 AND y.event_id < 300")
+def join_interval(spark, sf_dir):
+    """Overlapping ten-minute spans of the events with an id under 300 only; all events are in ``join_interval_all``."""
+    return _overlaps(t(spark, sf_dir, "events").where("event_id < 300"))
+
+
+@query("join_interval_all", f"SELECT x.event_id AS left_id, y.event_id AS right_id FROM ({SPANS}) x JOIN ({SPANS}) y ON x.a < y.z AND y.a < x.z AND x.user_id < y.user_id")
+def join_interval_all(spark, sf_dir):
+    """Overlapping ten-minute spans of all events."""
+    return _overlaps(t(spark, sf_dir, "events"))
+
+
 @query(
     "join_asof",
     "SELECT p.event_id, q.event_id AS last_purchase FROM (SELECT * FROM events WHERE event_type <> 'purchase') p ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'purchase') q ON p.user_id = q.user_id AND p.ts >= q.ts",
