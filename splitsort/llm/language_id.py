@@ -8,6 +8,7 @@ least total logistic loss against the classifiers' margins.  The gap to the runn
 from __future__ import annotations
 
 import re
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -18,8 +19,8 @@ from pyspark.sql import functions as F
 
 from .common import small, widened
 
-#: Bounds of the labelled sample: documents of each language, characters of each (for fitting only).
-DOCS_PER_LANG, FIT_CHARS = 800, 4000
+#: Documents of each language in the labelled sample (for fitting only).
+DOCS_PER_LANG = 800
 SLOTS, ORDERS, STEPS = 4096, (1, 2, 3), 150
 #: Loss gap to the second codeword under which a prediction is ambiguous.
 AMBIGUOUS = 1.0
@@ -70,10 +71,14 @@ def gram_counts(text: str) -> np.ndarray:
 
 
 def fit(texts: list[str], langs: list[str]) -> Coder:
+    return fit_counts([gram_counts(t) for t in texts], langs)
+
+
+def fit_counts(counts: list[np.ndarray], langs: list[str]) -> Coder:
     names = sorted(set(langs))
     if len(names) < 2:
         return Coder(names, codewords(len(names)), np.zeros((SLOTS, 1), np.float32), np.ones(1, np.float32))
-    x = np.stack([gram_counts(t) for t in texts]).astype(np.float32)
+    x = np.stack(counts).astype(np.float32)
     x /= np.maximum(x.sum(1, keepdims=True), 1)
     scale = 1 / np.sqrt((x**2).mean(0) + 1e-9)
     x *= scale
@@ -111,17 +116,27 @@ def train(docs: DataFrame, text: str = "text", lang: str = "lang", doc_id: str =
 
     Rows with null language or text take no part.  Languages are counted first; a share of each that holds
     about four times the sample passes a hash filter, so that what the choice shuffles doesn't grow with the table.
+    Whole texts are counted on the executors; only counts, SLOTS for each document, are shuffled and collected.
     """
-    rows = docs.select(F.col(f"`{doc_id}`").alias("i"), F.col(f"`{lang}`").alias("l"), F.substring(F.col(f"`{text}`"), 1, FIT_CHARS).alias("t"))
+    rows = docs.select(F.col(f"`{doc_id}`").alias("i"), F.col(f"`{lang}`").alias("l"), F.col(f"`{text}`").alias("t"))
     rows = rows.where("l IS NOT NULL AND t IS NOT NULL")
     each = rows.groupBy("l").agg(F.count("*").alias("n"))
     share = F.least(F.lit(1.0), F.lit(4.0 * DOCS_PER_LANG) / F.col("n"))
     passed = F.pmod(F.xxhash64(F.lit(9), "i"), F.lit(1 << 30)) < share * (1 << 30)
     rows = rows.join(small(each, each.count(), 100_000), "l").where(passed)
-    best = Window.partitionBy("l").orderBy(F.xxhash64(F.lit(8), "i"), "t")
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            c = [zlib.compress(gram_counts(t).tobytes(), 1) for t in batch.column(3).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*[batch.column(k) for k in range(3)], pa.array(c, pa.binary())], ["l", "h", "x", "c"])
+
+    # Ties of the hash of the id fall by the hash of the whole text, then by its counts.
+    rows = rows.select(F.col("l").cast("string").alias("l"), F.xxhash64(F.lit(8), "i").alias("h"), F.xxhash64("t").alias("x"), "t")
+    rows = rows.mapInArrow(count, "l string, h long, x long, c binary")
+    best = Window.partitionBy("l").orderBy("h", "x", "c")
     rows = rows.withColumn("k", F.row_number().over(best)).where(F.col("k") <= DOCS_PER_LANG)
-    got = sorted((r["l"], r["k"], r["t"]) for r in rows.collect())
-    return fit([t for _, _, t in got], [v for v, _, _ in got])
+    got = sorted((r["l"], r["k"], bytes(r["c"])) for r in rows.collect())
+    return fit_counts([np.frombuffer(zlib.decompress(c), np.int64).astype(np.float32) for _, _, c in got], [v for v, _, _ in got])
 
 
 def identify(docs: DataFrame, model: Coder, text: str = "text") -> DataFrame:

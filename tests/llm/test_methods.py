@@ -254,6 +254,15 @@ def test_quality_and_language_held_out(spark, sf_dir):
     assert np.mean([r["lang_pred"] == lang[r["doc_id"]] for r in out]) > 0.97
 
 
+def test_language_is_learned_from_whole_texts(spark):
+    """All documents open alike for 5,000 characters; only what follows tells the languages apart."""
+    head = "lorem ipsum " * 417
+    data = [(i, head + word * 200, lang) for i in range(40) for lang, word in (("en", f"the house {i} "), ("de", f"das schloss {i} "))]
+    model = language_id.train(spark.createDataFrame(data, SCHEMA + ", lang string"))
+    assert language_id.predict(model, "the house " * 50)[0] == "en" and language_id.predict(model, "das schloss " * 50)[0] == "de"
+    assert all(language_id.predict(model, t)[0] == lang for _, t, lang in data)
+
+
 def test_compiled_rules_equal_numpy(spark):
     rng = np.random.default_rng(0)
     x = rng.random((500, 2))
