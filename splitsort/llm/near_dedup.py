@@ -33,8 +33,8 @@ from .common import components, small, staged, unstage
 WORDS_IN_SHINGLE, PERCENT = 5, 75
 #: 40 bands of 4 rows: a pair at similarity 0.75 is missed with a chance of 3e-7.
 BANDS, ROWS = 40, 4
-#: A pair at 0.75 agrees on fewer coordinates than this with a chance of about 1e-6.
-PLAUSIBLE = 94
+#: A pair at 0.75 agrees on fewer coordinates than this with a chance of under 1e-11, were they independent.
+PLAUSIBLE = 80
 #: Classes up to which a bucket is small, classes of one block of a large one, partners sent in a round.
 SMALL, BLOCK, PARTNERS = 16, 1024, 3
 WORD = re.compile(r"[^\x20\x09-\x0D]+")

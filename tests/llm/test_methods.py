@@ -113,6 +113,15 @@ def test_circulant_signature():
     assert len(np.unique(near_dedup._permuted(x.copy()))) == len(x)
 
 
+def test_signature_screen_adds_nothing_to_banding():
+    """At a similarity of 0.75 the screen's chance of losing a pair is far under that of the bands."""
+    import math
+
+    n, p = near_dedup.BANDS * near_dedup.ROWS, 0.75
+    screened = sum(math.comb(n, k) * p**k * (1 - p) ** (n - k) for k in range(near_dedup.PLAUSIBLE))
+    assert screened < 1e-3 * (1 - p**near_dedup.ROWS) ** near_dedup.BANDS
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(0, 200)] + [(1000, i) for i in range(1001, 1100)] + [(5000, 5001)]
     got = dict(common.components(spark.createDataFrame(edges, "a long, b long")).collect())
