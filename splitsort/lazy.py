@@ -27,6 +27,6 @@ def index_join(a: DataFrame, b: DataFrame, on: list[str], how: str = "inner", fe
 
 
 def compress_runs(idx: DataFrame, path: str, codec: str) -> None:
-    """Sorted slim entries written with a codec; ``delta`` stores places as differences too."""
+    """Sorted slim entries written with a codec of Parquet's."""
     ordered = sorter.sort_index(idx)
     ordered.write.option("compression", codec).mode("overwrite").parquet(path)
