@@ -3,7 +3,8 @@
 Conventions of all operators here:
 
 * inputs are DataFrames; the caller names the id and text columns, and all other columns pass
-  through untouched.  Working columns are prefixed with ``__`` so that they meet no input column;
+  through untouched.  Working columns get names that no input column has (see ``apart``);
+* rows are known by their place in the files (see ``placed``), so that an id may be null or repeated;
 * a null text counts as the empty text unless an operator's docstring says otherwise;
 * lineage is cut by written Parquet in the folder named by ``spark.checkpoint.dir``, never by a
   local checkpoint, so that a lost executor costs a re-read and nothing else.
@@ -14,6 +15,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
@@ -35,11 +37,34 @@ def widened(df: DataFrame, **kinds: str) -> StructType:
     return StructType([*df.schema.fields, *new.fields])
 
 
+def apart(df: DataFrame, *names: str) -> list[str]:
+    """The names with as many underscores before them as keep them from the columns of ``df``, whatever the case."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name = "_" + name
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def small_batches(spark: SparkSession, size: int = 8 << 20) -> None:
+    """Bound what one Arrow batch hands to a Python worker: 64 MB by default, of which a worker holds several copies.
+
+    A setting of the session's own stays.
+    """
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    if spark.conf.get(key) == "67108864b":
+        spark.conf.set(key, str(size))
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors see: ``spark.checkpoint.dir``, or in its absence (tests) a new one."""
+    """The folder all executors see: ``spark.checkpoint.dir``, or in its absence, on one machine, a new one."""
     sc = spark.sparkContext
     named = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not named:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="splitsort-"))
         named = sc.getCheckpointDir()
     return named.rstrip("/")
@@ -65,14 +90,41 @@ def unstage(*frames: DataFrame) -> None:
             where.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def _plain_scan(df: DataFrame) -> bool:
+    """Whether ``df`` is filters and projections over one file scan, the same at each evaluation."""
+    node = df._jdf.queryExecution().analyzed()
+    while node.children().size() == 1 and node.nodeName() in ("Project", "Filter", "SubqueryAlias", "View"):
+        node = node.children().apply(0)
+    return node.nodeName() == "LogicalRelation" and df._jdf.queryExecution().analyzed().deterministic()
+
+
+def placed(docs: DataFrame, file: str, row: str) -> DataFrame:
+    """``docs`` with two longs that name each row: a hash of its file's path, and its place in that file.
+
+    Files are read again rather than copied.  What isn't a plain scan of Parquet files is written to the shared
+    folder first.  Ten thousand paths have equal hashes with a chance of 3e-12.
+    """
+    at = [F.xxhash64("_metadata.file_path").alias(file), F.col("_metadata.row_index").alias(row)]
+    if "_metadata" not in docs.columns:
+        try:
+            if _plain_scan(docs):
+                return docs.select("*", *at)
+        except AnalysisException:  # a source without row numbers
+            pass
+        return staged(docs, "docs").select("*", *at)
+    (name,) = apart(docs, "meta")
+    back = staged(docs.withColumnRenamed("_metadata", name), "docs").select("*", *at)
+    return back.withColumnRenamed(name, "_metadata")
+
+
 def small(df: DataFrame, rows: int, limit: int = BROADCAST_ROWS) -> DataFrame:
     """A broadcast hint only where the counted ``rows`` stay within ``limit``."""
     return F.broadcast(df) if rows <= limit else df
 
 
 def doc_crc(doc_id: Column) -> Column:
-    """crc32 of the decimal text of an id, unsigned; used for held-out folds."""
-    return F.crc32(doc_id.cast("string").cast("binary"))
+    """crc32 of the decimal text of an id, unsigned; used for held-out folds.  A null id counts as empty."""
+    return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary"))
 
 
 def words(text: Column) -> Column:

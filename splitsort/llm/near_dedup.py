@@ -10,61 +10,135 @@ No group is ever expanded into its pairs:
 1. texts with equal shingle sets collapse into one class;
 2. in each band bucket every class is compared with the bucket's least class, and verified links are
    united into components;
-3. what a bucket then still holds of *different* components is compared with its other heads, pair by
-   pair in small buckets, and on signatures inside the workers, block by block, in large ones.  There each
-   class first sends its best few partners to be verified, round after round while that unites
-   anything; then all plausible pairs that still lie between components are verified.
-   Pairs already in one component need no test: they can change nothing.
+3. buckets that still hold several components are compared with one member drawn by hash, a few rounds
+   of it, each bucket with its own;
+4. what is then left between components is settled by an exact set join: shingles that no two components
+   share count for nothing, the others are put in order, rarest first, and two sets can only reach the threshold
+   if they meet in the first few of these and enough is left behind the place where they meet.
+Pairs already in one component need no test: they can change nothing.
 """
 
 from __future__ import annotations
 
 import hashlib
-import re
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, small, staged, unstage
+from .common import apart, components, placed, small, small_batches, staged, unstage
 
 WORDS_IN_SHINGLE, PERCENT = 5, 75
 #: 40 bands of 4 rows: a pair at similarity 0.75 is missed with a chance of 3e-7.
 BANDS, ROWS = 40, 4
 #: A pair at 0.75 agrees on fewer coordinates than this with a chance of under 1e-11, were they independent.
 PLAUSIBLE = 80
-#: Classes up to which a bucket is small, classes of one block of a large one, partners sent in a round.
-SMALL, BLOCK, PARTNERS = 16, 1024, 3
-WORD = re.compile(r"[^\x20\x09-\x0D]+")
+#: Rounds against drawn members at most; what they leave open is settled exactly.
+ROUNDS = 3
+#: Bytes that a worker takes up at once; a longer text is cut between words.
+PIECE = 2 << 20
+#: Bytes of a word that the table of multipliers covers; longer words get a digest.
+REACH = 256
+_rng = np.random.default_rng(0x5EED)
+_BYTE = _rng.integers(0, 1 << 63, 256, np.uint64)
+_BYTE[65:91] = _BYTE[97:123]  # A-Z as a-z
+_PLACE = _rng.integers(0, 1 << 63, REACH, np.uint64) | np.uint64(1)
+_GAP = np.zeros(256, bool)
+_GAP[[9, 10, 11, 12, 13, 32]] = True
 LOWER = {c: c + 32 for c in range(65, 91)}
 
 
-def shingles(text: str | None) -> np.ndarray:
-    """Sorted distinct 64-bit hashes of a text's shingles; fewer than five words are one shingle."""
-    found = WORD.findall(text.translate(LOWER)) if text else []
-    if not found:
-        return np.empty(0, np.uint64)
-    # Words are hashed once each, shingles from their words' hashes.
-    seen: dict[str, int] = {}
-    get, blake = seen.get, hashlib.blake2b
-    hashes = np.empty(len(found), np.uint64)
-    for k, w in enumerate(found):
-        h = get(w)
-        if h is None:
-            h = seen[w] = int.from_bytes(blake(w.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little")
-        hashes[k] = h
-    n = min(WORDS_IN_SHINGLE, len(hashes))
-    out = np.full(len(hashes) - n + 1, n, np.uint64)
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x *= np.uint64(0x9E3779B97F4A7C15)
+    x ^= x >> np.uint64(29)
+    x *= np.uint64(0xBF58476D1CE4E5B9)
+    x ^= x >> np.uint64(32)
+    return x
+
+
+def word_hashes(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where the words of UTF-8 bytes start, and a 64-bit hash of each one in lower case (A-Z)."""
+    word = ~_GAP[raw]
+    begin = word.copy()
+    begin[1:] &= ~word[:-1]
+    at = np.flatnonzero(begin)
+    if not len(at):
+        return at, np.empty(0, np.uint64)
+    span = np.diff(at, append=len(raw))
+    place = np.arange(at[0], len(raw), dtype=np.int64) - np.repeat(at, span)
+    term = _BYTE[raw[at[0] :]] * _PLACE[np.minimum(place, REACH - 1)]
+    term[~word[at[0] :]] = 0
+    out = np.add.reduceat(term, at - at[0])
+    size = np.add.reduceat(word[at[0] :], at - at[0], dtype=np.int64)
+    for k in np.flatnonzero(size > REACH):
+        whole = raw[at[k] : at[k] + size[k]].tobytes().lower()
+        out[k] = int.from_bytes(hashlib.blake2b(whole, digest_size=8).digest(), "little")
+    return at, _mixed(out ^ size.astype(np.uint64))
+
+
+def _pieces(raw: np.ndarray) -> Iterator[np.ndarray]:
+    """A long text in stretches that end at a gap."""
+    at = 0
+    while len(raw) - at > PIECE:
+        gaps = np.flatnonzero(_GAP[raw[at + PIECE // 2 : at + PIECE]])
+        end = at + PIECE // 2 + int(gaps[-1]) if len(gaps) else at + PIECE
+        while end < len(raw) and not len(gaps):  # a word longer than a piece
+            gaps = np.flatnonzero(_GAP[raw[end : end + PIECE]])
+            end += int(gaps[0]) if len(gaps) else PIECE
+        yield raw[at:end]
+        at = min(end, len(raw))
+    yield raw[at:]
+
+
+def _set(words: np.ndarray) -> np.ndarray:
+    """Sorted distinct 64-bit hashes of the shingles of a sequence of word hashes."""
+    if not len(words):
+        return words
+    n = min(WORDS_IN_SHINGLE, len(words))
+    m = len(words) - n + 1
+    out = np.full(m, n, np.uint64)
     for j in range(n):
-        out = (out ^ hashes[j : len(hashes) - n + 1 + j]) * np.uint64(0x9E3779B97F4A7C15)
-        out ^= out >> np.uint64(29)
-        out *= np.uint64(0xBF58476D1CE4E5B9)
-        out ^= out >> np.uint64(32)
+        out ^= words[j : j + m]
+        out = _mixed(out)
     return np.unique(out)
 
 
+def shingle_sets(texts: list[bytes | None]) -> Iterator[np.ndarray]:
+    """The shingle set of each text; words are found and hashed for many texts at once."""
+    part: list[bytes] = []
+
+    def flush() -> Iterator[np.ndarray]:
+        raw = np.frombuffer(b"\n".join(part), np.uint8)
+        at, hashes = word_hashes(raw)
+        ends = np.cumsum([len(t) + 1 for t in part])
+        cuts = np.searchsorted(at, ends)
+        a = 0
+        for b in cuts.tolist():
+            yield _set(hashes[a:b])
+            a = b
+
+    size = 0
+    for t in texts:
+        t = t or b""
+        if part and size + len(t) > PIECE:
+            yield from flush()
+            part, size = [], 0
+        if len(t) > PIECE:
+            yield _set(np.concatenate([word_hashes(p)[1] for p in _pieces(np.frombuffer(t, np.uint8))]))
+            continue
+        part.append(t)
+        size += len(t) + 1
+    if part:
+        yield from flush()
+
+
+def shingles(text: str | None) -> np.ndarray:
+    """Sorted distinct 64-bit hashes of a text's shingles; fewer than five words are one shingle."""
+    return next(shingle_sets([text.encode("utf-8", "surrogatepass") if text else None]))
+
+
 def _permuted(x: np.ndarray) -> np.ndarray:
     """A fixed permutation of the 32-bit integers: odd products and shifted sums, each invertible."""
     x ^= x >> np.uint32(16)
@@ -81,53 +155,51 @@ def signature(sh: np.ndarray, coordinates: int = BANDS * ROWS) -> np.ndarray:
     first = _permuted((sh ^ (sh >> np.uint64(32))).astype(np.uint32) + np.uint32(0x5BD1E995))
     shift = np.arange(coordinates, dtype=np.uint32)
     out = np.full(coordinates, 0xFFFFFFFF, np.uint32)
-    for at in range(0, len(first), 512):
-        out = np.minimum(out, _permuted(first[at : at + 512, None] - shift[None, :]).min(axis=0))
+    for at in range(0, len(first), 256):
+        np.minimum(out, _permuted(first[at : at + 256, None] - shift[None, :]).min(axis=0), out=out)
     return out
 
 
 def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Set size, digest of the set, short signature and band keys of each text; texts come last and stay here."""
     mix = np.uint64(0x9E3779B97F4A7C15)
     for batch in batches:
-        ids = batch.column(0)
-        sizes, same, sigs, keys, full = [], [], [], [], []
-        for text in batch.column(1).to_pylist():
-            sh = shingles(text)
+        sizes, same, sigs, keys = [], [], [], []
+        for sh in shingle_sets(batch.column("body").to_pylist()):
             sizes.append(len(sh))
             same.append(hashlib.blake2b(sh.tobytes(), digest_size=16).digest())
-            full.append(len(sh) > 0)
             if not len(sh):
+                sigs.append(None)
+                keys.append(None)
                 continue
             sig = signature(sh)
-            sigs.append(sig.astype(np.uint16).tobytes())
+            sigs.append(sig.astype(np.uint8).tobytes())
             rows = sig.reshape(BANDS, ROWS).astype(np.uint64)
             key = np.arange(BANDS, dtype=np.uint64) + np.uint64(1)
             for j in range(ROWS):
                 key = (key ^ rows[:, j]) * mix
                 key ^= key >> np.uint64(31)
             keys.append(key.astype(np.int64))
-        at = np.cumsum([0] + full)[:-1]
-        yield pa.RecordBatch.from_arrays(
-            [
-                ids,
-                pa.array(sizes, pa.int64()),
-                pa.array(same, pa.binary()),
-                pa.array([sigs[k] if f else None for k, f in zip(at, full, strict=True)], pa.binary()),
-                pa.array([keys[k] if f else None for k, f in zip(at, full, strict=True)], pa.list_(pa.int64())),
-            ],
-            ["uid", "n_shingles", "same", "sig", "bands"],
-        )
+        kept = [n for n in batch.schema.names if n != "body"]
+        new = [pa.array(sizes, pa.int64()), pa.array(same, pa.binary()), pa.array(sigs, pa.binary()), pa.array(keys, pa.list_(pa.int64()))]
+        yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in kept), *new], [*kept, "n_shingles", "same", "sig", "bands"])
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        got = [shingles(t).astype(np.int64) for t in batch.column(1).to_pylist()]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got, pa.list_(pa.int64()))], ["node", "sh"])
+        nodes, at = batch.column("node"), 0
+        got, size = [], 0
+        for k, sh in enumerate(shingle_sets(batch.column("body").to_pylist())):
+            got.append(sh.astype(np.int64))
+            size += len(sh)
+            if size >= PIECE // 8 or k + 1 == batch.num_rows:
+                yield pa.RecordBatch.from_arrays([nodes.slice(at, len(got)), pa.array(got, pa.list_(pa.int64()))], ["node", "sh"])
+                at, got, size = k + 1, [], 0
 
 
 def _agreeing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint16).reshape(batch.num_rows, -1) for c in ("x", "y"))
+        x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(batch.num_rows, -1) for c in ("x", "y"))
         good = pa.array((x == y).sum(axis=1) >= PLAUSIBLE)
         yield pa.RecordBatch.from_arrays([batch.column("a").filter(good), batch.column("b").filter(good)], ["a", "b"])
 
@@ -140,142 +212,177 @@ def _alike(pairs: DataFrame, sigs: DataFrame) -> DataFrame:
     return both.mapInArrow(_agreeing, "a long, b long")
 
 
-def _verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+def _sets_of(nodes: DataFrame, sketch: DataFrame, bodies: DataFrame) -> DataFrame:
+    """``(node, sh)``: the full shingle sets of some ``nodes``, whose texts alone are moved."""
+    wanted = sketch.join(small(nodes, nodes.count()), F.col("uid") == F.col("node"), "left_semi")
+    wanted = staged(wanted.select(F.col("uid").alias("node"), "f", "r"), "wanted")
+    texts = bodies.join(small(wanted, wanted.count()), ["f", "r"]).select("node", "body")
+    out = staged(texts.mapInArrow(_sets, "node long, sh array<long>"), "sets")
+    unstage(wanted)
+    return out
+
+
+def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """Of ``pairs(a, b)`` those whose full shingle sets meet 100 * intersection >= 75 * union."""
-    pairs = staged(pairs, "pairs")
-    nodes = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
-    nodes = staged(nodes, "nodes")
-    wanted = texts.join(small(nodes, nodes.count()), texts["uid"] == nodes["node"]).select("node", "text")
-    sets = staged(wanted.mapInArrow(_sets, "node long, sh array<long>"), "sets")
     both = pairs.join(sets.select(F.col("node").alias("a"), F.col("sh").alias("x")), "a")
     both = both.join(sets.select(F.col("node").alias("b"), F.col("sh").alias("y")), "b")
     common = F.size(F.array_intersect("x", "y"))
-    good = staged(both.where(100 * common >= PERCENT * (F.size("x") + F.size("y") - common)).select("a", "b"), "links")
-    unstage(pairs, nodes, sets)
-    return good
-
-
-def _plausible(partners: int | None):
-    """Pairs of one block pair that differ in component and may reach the threshold; the best few of each, or all."""
-
-    def run(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        t = pa.Table.from_batches(list(batches))
-        if not len(t):
-            return
-        node, comp, size, side = (t.column(c).to_numpy() for c in ("node", "comp", "n_shingles", "side"))
-        sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint16).reshape(len(t), -1)
-        left, right = np.flatnonzero(side != 1), np.flatnonzero(side != 0)  # side 2: a block with itself
-        a, b = [], []
-        for i in left:
-            other = right[(comp[right] != comp[i]) & (100 * np.minimum(size[right], size[i]) >= PERCENT * np.maximum(size[right], size[i]))]
-            if side[i] == 2:
-                other = other[other > i]
-            if len(other):
-                same = (sig[other] == sig[i]).sum(axis=1)
-                good = np.flatnonzero(same >= PLAUSIBLE)
-                if partners is not None and len(good) > partners:
-                    good = good[np.argsort(-same[good], kind="stable")[:partners]]
-                a += [min(node[i], node[j]) for j in other[good]]
-                b += [max(node[i], node[j]) for j in other[good]]
-        if a:
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
-
-    return run
+    return staged(both.where(100 * common >= PERCENT * (F.size("x") + F.size("y") - common)).select("a", "b"), "links")
 
 
 def _open(members: DataFrame, comp: DataFrame) -> DataFrame:
-    """``(band, n, node, comp)`` of the buckets that hold several components, ``n`` their classes."""
-    known = members.join(comp, "node", "left").select("band", "node", F.coalesce("component", "node").alias("comp"))
+    """``(band, node, comp)`` of the buckets that hold several components."""
+    known = members.select("band", "node").join(comp, "node", "left").select("band", "node", F.coalesce("component", "node").alias("comp"))
     known = staged(known, "known")
-    mixed = known.groupBy("band").agg(F.count("*").alias("n"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
-    mixed = staged(mixed.where("lo < hi").select("band", "n"), "mixed")
+    mixed = known.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+    mixed = staged(mixed.where("lo < hi").select("band"), "mixed")
     out = staged(known.join(small(mixed, mixed.count()), "band"), "open")
     unstage(known, mixed)
     return out
 
 
-def _across(large: DataFrame, sigs: DataFrame, partners: int | None) -> DataFrame:
-    """Plausible pairs between components of large buckets, ``(band, n, node, comp)``, by blocks."""
-    rows = large.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).join(sigs, "node")
-    mine = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
-    # A block meets itself and every other block once: the row goes to each of these meetings.
-    meetings = F.transform(
-        F.sequence(F.lit(0), F.col("blocks") - 1),
-        lambda o: F.struct(F.least(o, mine).alias("p"), F.greatest(o, mine).alias("q"), F.when(o == mine, 2).when(mine < o, 0).otherwise(1).alias("side")),
-    )
-    dealt = rows.select("band", "node", "comp", "n_shingles", "sig", F.explode(meetings).alias("m"))
-    dealt = dealt.select("band", "m.p", "m.q", "m.side", "node", "comp", "n_shingles", "sig")
-    return dealt.groupBy("band", "p", "q").applyInArrow(_plausible(partners), "a long, b long").distinct()
+def _drawn(left: DataFrame, k: int) -> DataFrame:
+    """Pairs of each bucket's member drawn in round ``k`` and all of the bucket's members of other components."""
+    order = F.struct(F.xxhash64(F.lit(k), "band", "node").alias("h"), "node", "comp")
+    drawn = left.groupBy("band").agg(F.min(order).alias("x")).select("band", "x.node", "x.comp")
+    drawn = staged(drawn.select("band", F.col("node").alias("c"), F.col("comp").alias("d")), "drawn")
+    pairs = left.join(small(drawn, drawn.count()), "band").where("comp <> d")
+    out = staged(pairs.select(F.least("node", "c").alias("a"), F.greatest("node", "c").alias("b")).distinct(), "pairs")
+    unstage(drawn)
+    return out
 
 
-def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """All rows and columns of ``docs`` with ``n_shingles``, ``component_id`` and ``kept``.
+def least_common(size: Column, other: Column) -> Column:
+    """Shingles that sets of these sizes must share at the threshold."""
+    return F.ceil(F.lit(PERCENT) * (size + other) / F.lit(100 + PERCENT))
 
-    Words are split at space and ASCII controls after lower-casing A-Z; a document's set holds its
-    distinct five-word shingles, or its whole word sequence if that is shorter.  Documents are linked at a
-    Jaccard similarity of 0.75 or more, confirmed on full sets.  ``component_id`` is the least id reachable over
-    links, ``kept`` marks the row with that id (of several such rows, all in one component, the first in
-    scan order).  Null and wordless texts have no shingles, no links, and stay.  A null id is less than
-    any other.  Columns called like the three new ones are replaced; an empty table gives an empty result.
 
-    Texts are shuffled only for documents that have a candidate; buckets move as (band, row number).
+def set_join(sets: DataFrame) -> DataFrame:
+    """Pairs ``(a, b)`` of ``sets(node, comp, sh)``, of different components, that include all links.
+
+    Of a pair's common shingles one comes first in the common order, rarest first; from there on each side
+    must hold as many as the pair has to share.  The longer set therefore shows its first shingles as far as a partner of
+    three quarters its size allows, the shorter as far as one of its own size.  Only shingles that two
+    components share take part; sets that hold too few of these leave at once.
     """
-    docs = docs.drop("n_shingles", "component_id", "kept")
-    cols = docs.columns
-    rows = docs.select(*[F.col(f"`{c}`") for c in cols], F.monotonically_increasing_id().alias("__uid"))
-    rows = staged(rows, "docs")
-    texts = rows.select(F.col("__uid").alias("uid"), F.col(f"`{text}`").alias("text"))
-    sketch = staged(texts.mapInArrow(_sketch, "uid long, n_shingles long, same binary, sig binary, bands array<long>"), "sketch")
+    tokens = staged(sets.select("node", "comp", F.size("sh").cast("long").alias("n"), F.explode("sh").alias("t")), "tokens")
+    rare = tokens.groupBy("t").agg(F.count("*").alias("df"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+    rare = staged(rare.where("lo < hi").select("t", "df"), "shared")
+    seen = tokens.join(small(rare, rare.count()), "t")
+    own = seen.groupBy("node", "comp", "n").agg(F.array_sort(F.collect_list(F.struct("df", "t"))).alias("ts"))
+    c = F.size("ts")
+    long = c - F.ceil(F.lit(PERCENT) * F.col("n") / 100) + 1  # as the longer set of a pair
+    short = c - least_common(F.col("n"), F.col("n")) + 1
+    own = own.where(long > 0).select("node", "comp", "n", c.alias("c"), short.alias("short"), F.posexplode(F.slice("ts", F.lit(1), long.cast("int"))).alias("p", "x"))
+    own = staged(own.select(F.col("x.t").alias("t"), "node", "comp", "n", (F.col("c") - F.col("p")).alias("rest"), (F.col("p") < F.col("short")).alias("first")), "firsts")
+    other = own.where("first").select("t", F.col("node").alias("q"), F.col("comp").alias("qcomp"), F.col("n").alias("qn"), F.col("rest").alias("qrest"))
+    met = own.join(other, "t").where((F.col("comp") != F.col("qcomp")) & (F.col("qn") <= F.col("n")) & (100 * F.col("qn") >= PERCENT * F.col("n")))
+    met = met.where(F.least("rest", "qrest") >= least_common(F.col("n"), F.col("qn")))
+    out = staged(met.select(F.least("node", "q").alias("a"), F.greatest("node", "q").alias("b")).distinct(), "met")
+    unstage(tokens, rare, own)
+    return out
+
+
+def _linked(sketch: DataFrame, bodies: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Classes of equal sets that hold several rows, ``(same, node)``, and ``(node, component)`` over links."""
     # 1. classes of equal sets; a class is named by its least row number
-    named = sketch.where("n_shingles > 0").groupBy("same").agg(F.min("uid").alias("node"))
-    named = staged(named, "classes")
-    nodes = sketch.join(named.select("node"), F.col("uid") == F.col("node"), "left_semi").select(F.col("uid").alias("node"), "n_shingles", "sig", "bands")
+    classes = sketch.where("n_shingles > 0").groupBy("same").agg(F.count("*").alias("k"), F.min("uid").alias("node"))
+    classes = staged(classes.where("k > 1").select("same", "node"), "classes")
+    nodes = sketch.where("n_shingles > 0").join(small(classes, classes.count()), "same", "left").where("node IS NULL OR node = uid")
+    nodes = nodes.select(F.col("uid").alias("node"), "n_shingles", "sig", "bands")
     # 2. stars
     spread = nodes.select("node", F.explode("bands").alias("band"))
-    heads = spread.groupBy("band").agg(F.count("*").alias("n"), F.min("node").alias("head")).where("n > 1")
-    members = staged(spread.join(heads.select("band", "head"), "band").select("band", "head", "node"), "members")
+    heads = staged(spread.groupBy("band").agg(F.count("*").alias("k"), F.min("node").alias("head")).where("k > 1").select("band", "head"), "heads")
+    members = staged(spread.join(small(heads, heads.count()), "band").select("band", "head", "node"), "members")
+    unstage(heads)
     sigs = nodes.select("node", "n_shingles", "sig")
     stars = members.where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b")).distinct()
     stars = staged(_alike(stars, sigs), "stars")
-    links = _verified(stars.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), texts)
+    ends = lambda pairs: pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
+    one = stars.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
+    sets = _sets_of(staged(ends(one), "nodes"), sketch, bodies)
+    links = _verified(one, sets)
+    unstage(sets)
     comp = components(links)
-    # 3. what is left between components: other heads and small buckets, then large ones
-    of = lambda side: comp.select(F.col("node").alias(side), F.col("component").alias(f"c{side}"))
-    heads = stars.join(of("a"), "a", "left").join(of("b"), "b", "left")
-    heads = heads.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
-    left = _open(members.select("band", "node"), comp)
-    few = left.where(F.col("n") <= SMALL)
-    pairs = few.join(few.select("band", F.col("node").alias("b"), F.col("comp").alias("d")), "band")
-    pairs = pairs.where("node < b AND comp <> d").select(F.col("node").alias("a"), "b").distinct()
-    more = _verified(heads.unionAll(_alike(pairs, sigs)).distinct(), texts)
-    rounds = PARTNERS  # the best partners of each class first, all of them once that unites no more
-    while True:
-        if not more.isEmpty():
+    # 3. buckets of several components: their other heads, then drawn members
+    left = _open(members, comp)
+    if not left.isEmpty():
+        sets = _sets_of(staged(left.select("node").distinct(), "nodes"), sketch, bodies)
+        of = lambda side: comp.select(F.col("node").alias(side), F.col("component").alias(f"c{side}"))
+        heads = stars.join(of("a"), "a", "left").join(of("b"), "b", "left")
+        heads = heads.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
+        for k in range(ROUNDS):
+            pairs = _drawn(left, k)
+            more = _verified(_alike(pairs, sigs) if k else heads.union(_alike(pairs, sigs)).distinct(), sets)
+            unstage(pairs)
+            if more.isEmpty():
+                break
             links = links.unionAll(more)
             comp = components(links)
-        if rounds is None:
-            break
-        large = _open(members.select("band", "node"), comp).where(F.col("n") > SMALL)
-        if large.isEmpty():
-            break
-        more = _verified(_across(large, sigs, rounds), texts)
-        if more.isEmpty():
-            rounds = None
-            more = _verified(_across(large, sigs, rounds), texts)
-    # back to documents
-    me = F.col(f"`{doc_id}`")
-    final = named.join(comp, "node", "left").select("same", F.coalesce("component", "node").alias("__c"))
-    slim = sketch.select(F.col("uid").alias("__u"), "n_shingles", "same").join(final, "same", "left")
-    slim = slim.select("__u", "n_shingles", F.coalesce("__c", -1 - F.col("__u")).alias("__c"))
-    slim = slim.join(rows.select(F.col("__uid").alias("__u"), me.alias("__id")), "__u")
+            unstage(left)
+            left = _open(members, comp)
+        # 4. the rest, exactly
+        rest = left.select("node", "comp").distinct()
+        more = _verified(set_join(sets.join(rest, "node")), sets)
+        if not more.isEmpty():
+            comp = components(links.unionAll(more))
+        unstage(left, sets)
+    unstage(members, stars)
+    return classes, comp
+
+
+def near_groups(docs: DataFrame, file: str, row: str, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
+    """``(file, row, n_shingles, component_id, kept)`` of all rows of ``docs``, which ``placed`` has named."""
+    small_batches(docs.sparkSession)
+    body = F.encode(F.col(f"`{text}`"), "UTF-8").alias("body")
+    bodies = docs.select(F.col(file).alias("f"), F.col(row).alias("r"), body)
+    rows = docs.select(F.monotonically_increasing_id().alias("uid"), F.col(file).alias("f"), F.col(row).alias("r"), F.col(f"`{doc_id}`").alias("id"), body)
+    kinds = f"uid long, f long, r long, id {dict(docs.dtypes)[doc_id]}, n_shingles long, same binary, sig binary, bands array<long>"
+    sketch = staged(rows.mapInArrow(_sketch, kinds), "sketch")
+    classes, comp = _linked(sketch, bodies)
+    # back to rows: by class, then by component
+    slim = sketch.select("uid", "f", "r", "id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("same")).alias("same"))
+    slim = slim.join(small(classes, classes.count()), "same", "left").select("uid", "f", "r", "id", "n_shingles", F.coalesce("node", "uid").alias("node"))
+    slim = slim.join(small(comp, comp.count()), "node", "left").select("f", "r", "uid", "id", "n_shingles", F.coalesce("component", "node").alias("c"))
     slim = staged(slim, "assigned")
-    first = slim.groupBy("__c").agg(F.min(F.struct("__id", "__u")).alias("__first"), F.count("*").alias("__k"))
-    first = first.where("__k > 1").select("__c", "__first")
-    done = slim.join(first, "__c", "left").select(
-        "__u",
+    least = slim.groupBy("c").agg(F.min(F.struct("id", "uid")).alias("x"), F.count("*").alias("k")).where("k > 1").select("c", "x")
+    least = staged(least, "least")
+    done = slim.join(small(least, least.count()), "c", "left").select(
+        F.col("f").alias(file),
+        F.col("r").alias(row),
         "n_shingles",
-        F.when(F.col("__first").isNull(), F.col("__id")).otherwise(F.col("__first.__id")).alias("component_id"),
-        (F.col("__first").isNull() | (F.col("__first.__u") == F.col("__u"))).alias("kept"),
+        F.when(F.col("x").isNull(), F.col("id")).otherwise(F.col("x.id")).alias("component_id"),
+        (F.col("x").isNull() | (F.col("x.uid") == F.col("uid"))).alias("kept"),
     )
-    out = rows.join(done, F.col("__uid") == F.col("__u"))
-    return out.select(*[F.col(f"`{c}`") for c in cols], "n_shingles", "component_id", "kept")
+    done = staged(done, "near")
+    unstage(sketch, classes, comp, slim, least)
+    return done
+
+
+def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
+    """All rows and columns of ``docs`` with ``n_shingles``, ``component_id`` and ``kept``.
+
+    Words are split at space and ASCII controls after lower-casing A-Z; a document's set holds its
+    distinct five-word shingles, or its whole word sequence if that is shorter.  Documents are linked at a
+    Jaccard similarity of 0.75 or more, confirmed on full sets.  ``component_id`` is the least id reachable over
+    links, ``kept`` marks the row with that id (of several such rows, all in one component, the first in
+    scan order).  Null and wordless texts have no shingles, no links, and stay.  A null id is less than
+    any other.  Columns called like the three new ones are replaced; an empty table gives an empty result.
+
+    Texts are shuffled only for documents that have a candidate; buckets move as (band, row number).
+    """
+    docs = docs.drop("n_shingles", "component_id", "kept")
+    file, row = apart(docs, "f", "r")
+    rows = placed(docs, file, row)
+    done = near_groups(rows, file, row, text, doc_id)
+    return rows.join(done, [file, row]).select(*[F.col(f"`{c}`") for c in docs.columns], "n_shingles", "component_id", "kept")
+
+
+def without_near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
+    """``docs`` less the rows that ``near_duplicates`` doesn't keep; texts move only where that list is long."""
+    file, row = apart(docs, "f", "r", "n_shingles", "component_id", "kept")[:2]
+    rows = placed(docs, file, row)
+    done = near_groups(rows, file, row, text, doc_id)
+    gone = staged(done.where("NOT kept").select(file, row), "gone")
+    unstage(done)
+    return rows.join(small(gone, gone.count()), [file, row], "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
