@@ -23,6 +23,9 @@ from pyspark.sql.types import StructType
 #: Words of every contract here: maximal runs of anything but space and the ASCII controls 9 to 13.
 WORD = r"[^\x20\x09-\x0D]+"
 
+#: Near duplicates of any kind are linked from this Jaccard similarity, in per cent.
+PERCENT = 75
+
 #: A broadcast side may hold at most this many rows of a few longs each (about 16 MB).
 BROADCAST_ROWS = 1_000_000
 
@@ -198,3 +201,56 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     out = staged(root.join(least, "p").select(F.col("n").alias("node"), "component"), "components")
     unstage(*dead, *hooks, root)
     return out
+
+
+def open_buckets(members: DataFrame, comp: DataFrame) -> DataFrame:
+    """``(band, node, comp)`` of the buckets that hold several components."""
+    known = members.select("band", "node").join(comp, "node", "left").select("band", "node", F.coalesce("component", "node").alias("comp"))
+    known = staged(known, "known")
+    mixed = known.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+    mixed = staged(mixed.where("lo < hi").select("band"), "mixed")
+    out = staged(known.join(small(mixed, mixed.count()), "band"), "open")
+    unstage(known, mixed)
+    return out
+
+
+def drawn_pairs(left: DataFrame, k: int) -> DataFrame:
+    """Pairs of each bucket's member drawn in round ``k`` and all of the bucket's members of other components."""
+    order = F.struct(F.xxhash64(F.lit(k), "band", "node").alias("h"), "node", "comp")
+    drawn = left.groupBy("band").agg(F.min(order).alias("x")).select("band", "x.node", "x.comp")
+    drawn = staged(drawn.select("band", F.col("node").alias("c"), F.col("comp").alias("d")), "drawn")
+    pairs = left.join(small(drawn, drawn.count()), "band").where("comp <> d")
+    out = staged(pairs.select(F.least("node", "c").alias("a"), F.greatest("node", "c").alias("b")).distinct(), "pairs")
+    unstage(drawn)
+    return out
+
+
+def least_common(size: Column, other: Column) -> Column:
+    """Shingles that sets of these sizes must share at the threshold."""
+    return F.ceil(F.lit(PERCENT) * (size + other) / F.lit(100 + PERCENT))
+
+
+def set_join(sets: DataFrame) -> DataFrame:
+    """Pairs ``(a, b)`` of ``sets(node, comp, sh)``, of different components, that include all links.
+
+    Of a pair's common shingles one comes first in the common order, rarest first; from there on each side
+    must hold as many as the pair has to share.  The longer set therefore shows its first shingles as far as a partner of
+    three quarters its size allows, the shorter as far as one of its own size.  Only shingles that two
+    components share take part; sets that hold too few of these leave at once.
+    """
+    tokens = staged(sets.select("node", "comp", F.size("sh").cast("long").alias("n"), F.explode("sh").alias("t")), "tokens")
+    rare = tokens.groupBy("t").agg(F.count("*").alias("df"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+    rare = staged(rare.where("lo < hi").select("t", "df"), "shared")
+    seen = tokens.join(small(rare, rare.count()), "t")
+    own = seen.groupBy("node", "comp", "n").agg(F.array_sort(F.collect_list(F.struct("df", "t"))).alias("ts"))
+    c = F.size("ts")
+    long = c - F.ceil(F.lit(PERCENT) * F.col("n") / 100) + 1  # as the longer set of a pair
+    short = c - least_common(F.col("n"), F.col("n")) + 1
+    own = own.where(long > 0).select("node", "comp", "n", c.alias("c"), short.alias("short"), F.posexplode(F.slice("ts", F.lit(1), F.greatest(F.lit(0), long.cast("int")))).alias("p", "x"))
+    own = staged(own.select(F.col("x.t").alias("t"), "node", "comp", "n", (F.col("c") - F.col("p")).alias("rest"), (F.col("p") < F.col("short")).alias("first")), "firsts")
+    other = own.where("first").select("t", F.col("node").alias("q"), F.col("comp").alias("qcomp"), F.col("n").alias("qn"), F.col("rest").alias("qrest"))
+    met = own.join(other, "t").where((F.col("comp") != F.col("qcomp")) & (F.col("qn") <= F.col("n")) & (100 * F.col("qn") >= PERCENT * F.col("n")))
+    met = met.where(F.least("rest", "qrest") >= least_common(F.col("n"), F.col("qn")))
+    out = staged(met.select(F.least("node", "q").alias("a"), F.greatest("node", "q").alias("b")).distinct(), "met")
+    unstage(tokens, rare, own)
+    return out

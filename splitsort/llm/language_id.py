@@ -17,10 +17,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import small, widened
+from .common import small, small_batches, widened
 
-#: Documents of each language in the labelled sample (for fitting only).
-DOCS_PER_LANG = 800
+#: Documents of each language in the labelled sample (for fitting only), fewer where there are many languages, and the least.
+DOCS_PER_LANG, SAMPLE, FEWEST = 800, 6400, 20
 SLOTS, ORDERS, STEPS = 4096, (1, 2, 3), 150
 #: Loss gap to the second codeword under which a prediction is ambiguous.
 AMBIGUOUS = 1.0
@@ -112,7 +112,8 @@ def predict(model: Coder, text: str | None) -> tuple[str, float, bool]:
 
 
 def train(docs: DataFrame, text: str = "text", lang: str = "lang", doc_id: str = "doc_id") -> Coder:
-    """Fit on at most DOCS_PER_LANG documents of each language, chosen by a hash of the id.
+    """Fit on at most DOCS_PER_LANG documents of each language, chosen by a hash of the id; beyond 8 languages on SAMPLE
+    documents in all, and beyond 320 on FEWEST of each.
 
     Rows with null language or text take no part.  Languages are counted first; a share of each that holds
     about four times the sample passes a hash filter, so that what the choice shuffles doesn't grow with the table.
@@ -121,9 +122,11 @@ def train(docs: DataFrame, text: str = "text", lang: str = "lang", doc_id: str =
     rows = docs.select(F.col(f"`{doc_id}`").alias("i"), F.col(f"`{lang}`").alias("l"), F.col(f"`{text}`").alias("t"))
     rows = rows.where("l IS NOT NULL AND t IS NOT NULL")
     each = rows.groupBy("l").agg(F.count("*").alias("n"))
-    share = F.least(F.lit(1.0), F.lit(4.0 * DOCS_PER_LANG) / F.col("n"))
+    langs = each.count()
+    most = max(FEWEST, min(DOCS_PER_LANG, SAMPLE // max(1, langs)))
+    share = F.least(F.lit(1.0), F.lit(4.0 * most) / F.col("n"))
     passed = F.pmod(F.xxhash64(F.lit(9), "i"), F.lit(1 << 30)) < share * (1 << 30)
-    rows = rows.join(small(each, each.count(), 100_000), "l").where(passed)
+    rows = rows.join(small(each, langs, 100_000), "l").where(passed)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -134,19 +137,20 @@ def train(docs: DataFrame, text: str = "text", lang: str = "lang", doc_id: str =
     rows = rows.select(F.col("l").cast("string").alias("l"), F.xxhash64(F.lit(8), "i").alias("h"), F.xxhash64("t").alias("x"), "t")
     rows = rows.mapInArrow(count, "l string, h long, x long, c binary")
     best = Window.partitionBy("l").orderBy("h", "x", "c")
-    rows = rows.withColumn("k", F.row_number().over(best)).where(F.col("k") <= DOCS_PER_LANG)
+    rows = rows.withColumn("k", F.row_number().over(best)).where(F.col("k") <= most)
     got = sorted((r["l"], r["k"], bytes(r["c"])) for r in rows.collect())
     return fit_counts([np.frombuffer(zlib.decompress(c), np.int64).astype(np.float32) for _, _, c in got], [v for v, _, _ in got])
 
 
-def identify(docs: DataFrame, model: Coder, text: str = "text") -> DataFrame:
-    """All rows and columns of ``docs`` with ``lang_pred``, ``lang_score`` (0 to 1) and ``lang_ambiguous``.
+def identify(docs: DataFrame, model: Coder, text: str = "text", names: tuple[str, ...] = ("lang_pred", "lang_score", "lang_ambiguous")) -> DataFrame:
+    """All rows and columns of ``docs`` with ``lang_pred``, ``lang_score`` (0 to 1) and ``lang_ambiguous``, or other ``names``.
 
     Whole texts are read.  A null text, or one without a letter, is ``und`` with score 0; so is every text under a
     model of no language.  Columns called like the three new ones are replaced.  No shuffle.
     """
-    docs = docs.drop("lang_pred", "lang_score", "lang_ambiguous")
-    schema = widened(docs, lang_pred="string", lang_score="double", lang_ambiguous="boolean")
+    docs = docs.drop(*names)
+    schema = widened(docs, **dict(zip(names, ("string", "double", "boolean"), strict=True)))
+    small_batches(docs.sparkSession)
     at = docs.columns.index(text)
     kinds = (pa.string(), pa.float64(), pa.bool_())
 
@@ -154,6 +158,6 @@ def identify(docs: DataFrame, model: Coder, text: str = "text") -> DataFrame:
         for batch in batches:
             got = [predict(model, t) for t in batch.column(at).to_pylist()]
             new = [pa.array([g[k] for g in got], kinds[k]) for k in range(3)]
-            yield pa.RecordBatch.from_arrays([*batch.columns, *new], [*batch.schema.names, "lang_pred", "lang_score", "lang_ambiguous"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, *new], [*batch.schema.names, *names])
 
     return docs.mapInArrow(run, schema)

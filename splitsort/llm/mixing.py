@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import repeat_salt, small, staged, words
+from .common import apart, placed, repeat_salt, small, staged, unstage, words
 
 #: Weights of sources by rank, repeating; most copies of a document.
 WEIGHTS, MOST = (5.0, 2.0, 1.0), 3.0
@@ -84,6 +84,43 @@ def _pair(frame: pd.DataFrame) -> pd.DataFrame:
     return frame.assign(p=p)
 
 
+def _plan(rows: DataFrame, file: str, row: str, text: str, source: str, seed: int, keys: list[Column]) -> DataFrame:
+    """``(file, row, size, source_size, target, copies)`` of rows that ``placed`` has named."""
+    marked = rows.select(
+        F.col(file).alias("f"),
+        F.col(row).alias("r"),
+        F.xxhash64(F.lit(seed), *keys).alias("h"),
+        words(F.col(f"`{text}`")).alias("size"),
+        F.col(f"`{source}`").alias("source"),
+        F.monotonically_increasing_id().alias("uid"),
+    )
+    marked = staged(marked, "mix")
+    sums = staged(marked.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("rows")), "sources")
+    target = staged(source_targets(sums.select("source", "source_size")), "targets")
+    rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0) + 1e-12
+    per = target.join(sums.select(F.col("source").alias("other"), "rows"), F.col("source").eqNullSafe(F.col("other"))).select(
+        F.col("source").alias("ts"),
+        "source_size",
+        "target",
+        F.floor(rate).alias("base"),
+        (rate - F.floor(rate)).alias("frac"),
+        F.xxhash64("source").alias("sid"),
+        F.ceil(F.col("rows") / GROUP).alias("groups"),
+    )
+    per = small(staged(per, "rates"), sums.count(), 100_000)
+    rated = marked.join(per, F.col("source").eqNullSafe(F.col("ts")))
+    chosen, dead = _pivot(rated, repeat_salt(marked.select("h"), GROUP), seed)
+    n = F.when(F.col("size") > 0, F.col("base") + F.coalesce(F.col("p"), F.lit(0.0))).otherwise(0).cast("int")
+    plan = rated.join(chosen, "uid", "left").select(F.col("f").alias(file), F.col("r").alias(row), "size", "source_size", "target", n.alias("copies"))
+    plan = staged(plan, "copies")
+    unstage(marked, sums, target, *dead)
+    return plan
+
+
+def _keys(docs: DataFrame) -> list[Column]:
+    return [F.col(f"`{c}`").cast("string") if t.startswith("map") else F.col(f"`{c}`") for c, t in docs.dtypes]
+
+
 def mix(
     docs: DataFrame, text: str = "text", source: str = "source", seed: int = 9, carry: list[str] | None = None
 ) -> DataFrame:
@@ -96,69 +133,40 @@ def mix(
     ones are replaced.  Empty in, empty out.
 
     Shuffles: 60 bytes for each document into its group, once, and again less at each level of the
-    tree; the columns carried move at most once, in the join by row number at the end.
+    tree; the columns carried move once, in the join by place at the end.
     """
     new = ("size", "source_size", "target", "copies")
-    docs = docs.drop(*[c for c in new if c not in (text, source)])
     names = [c for c in (docs.columns if carry is None else carry) if c not in new]
-    keys = [F.col(f"`{c}`").cast("string") if t.startswith("map") else F.col(f"`{c}`") for c, t in docs.dtypes]
-    marked = docs.select(
-        *[F.col(f"`{c}`") for c in names],
-        F.xxhash64(F.lit(seed), *keys).alias("__h"),
-        words(F.col(f"`{text}`")).alias("__size"),
-        F.col(f"`{source}`").alias("__source"),
-        F.monotonically_increasing_id().alias("__uid"),
-    )
-    marked = staged(marked, "mix")
-    sums = marked.groupBy("__source").agg(F.sum("__size").alias("source_size"), F.count("*").alias("__rows"))
-    sums = staged(sums, "sources")
-    target = staged(source_targets(sums.select(F.col("__source").alias("source"), "source_size")), "targets")
-    rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0) + 1e-12
-    per = target.join(sums.drop("source_size"), F.col("source").eqNullSafe(F.col("__source"))).select(
-        F.col("source").alias("__ts"),
-        "source_size",
-        "target",
-        F.floor(rate).alias("__base"),
-        (rate - F.floor(rate)).alias("__frac"),
-        F.xxhash64("source").alias("__sid"),
-        F.ceil(F.col("__rows") / GROUP).alias("__groups"),
-    )
-    per = small(staged(per, "rates"), sums.count(), 100_000)
-    rated = marked.join(per, F.col("__source").eqNullSafe(F.col("__ts")))
-    chosen = _pivot(rated, repeat_salt(marked.select("__h"), GROUP), seed)
-    out = rated.join(chosen, "__uid", "left")
-    n = F.when(F.col("__size") > 0, F.col("__base") + F.coalesce(F.col("__p"), F.lit(0.0))).otherwise(0).cast("int")
-    return out.select(*[F.col(f"`{c}`") for c in names], F.col("__size").alias("size"), "source_size", "target", n.alias("copies"))
-
-
-def _pivot(rated: DataFrame, salt: Column, seed: int) -> DataFrame:
-    """``(__uid, __p)``: the documents whose fraction was rounded up (1.0) or down (0.0)."""
-    live = rated.where("__frac > 1e-9 AND __size > 0").select(
-        F.col("__uid").alias("uid"),
-        F.col("__h").alias("h"),
-        F.col("__size").alias("size"),
-        F.col("__frac").alias("p"),
-        F.col("__sid").alias("sid"),
-        F.col("__groups").alias("groups"),
-        F.pmod(F.xxhash64("__h", salt), F.col("__groups")).alias("g"),
+    file, row = apart(docs, "f", "r")
+    rows = placed(docs, file, row)
+    plan = _plan(rows, file, row, text, source, seed, _keys(docs))
+    return rows.select(file, row, *[F.col(f"`{c}`") for c in names]).join(plan, [file, row]).select(*[F.col(f"`{c}`") for c in names], *new)
+
+
+def mixture(docs: DataFrame, text: str = "text", source: str = "source", seed: int = 9) -> DataFrame:
+    """The mix itself: each row of ``docs``, all its columns unchanged, as many times as ``mix`` gives it copies."""
+    file, row, size, source_size, target, n, k = apart(docs, "f", "r", "size", "source_size", "target", "copies", "k")
+    rows = placed(docs, file, row)
+    plan = _plan(rows, file, row, text, source, seed, _keys(docs)).where("copies > 0").select(file, row, F.col("copies").alias(n))
+    out = rows.join(plan, [file, row]).select(*[F.col(f"`{c}`") for c in docs.columns], F.explode(F.array_repeat(F.lit(True), F.col(n))).alias(k))
+    return out.select(*[F.col(f"`{c}`") for c in docs.columns])
+
+
+def _pivot(rated: DataFrame, salt: Column, seed: int) -> tuple[DataFrame, list[DataFrame]]:
+    """``(uid, p)``: the documents whose fraction was rounded up (1.0) or down (0.0); and the tables behind it."""
+    live = rated.where("frac > 1e-9 AND size > 0").select(
+        "uid", "h", "size", F.col("frac").alias("p"), "sid", "groups", F.pmod(F.xxhash64("h", salt), F.col("groups")).alias("g")
     )
     shape = "uid long, h long, size long, p double, sid long, groups long, g long"
-    settled: DataFrame | None = None
+    settled, levels = None, []
     while True:
         level = staged(live.groupBy("sid", "g").applyInPandas(_pair, shape), "pairs")
+        levels.append(level)
         whole = level.where("p <= 0 OR p >= 1").select("uid", "p")
         settled = whole if settled is None else settled.unionAll(whole)
         left = level.where("p > 0 AND p < 1")
         most = left.agg(F.max("groups")).first()[0]
         if most is None or most == 1:  # one residual for each source: rounded alone
             roll = F.shiftrightunsigned(F.xxhash64(F.lit(~seed), "h"), 11) / F.lit(float(1 << 53)) < F.col("p")
-            settled = settled.unionAll(left.select("uid", F.when(roll, 1.0).otherwise(0.0).alias("p")))
-            return settled.select(F.col("uid").alias("__uid"), F.col("p").alias("__p"))
+            return settled.unionAll(left.select("uid", F.when(roll, 1.0).otherwise(0.0).alias("p"))), levels
         live = left.withColumn("g", F.floor(F.col("g") / FAN_IN)).withColumn("groups", F.ceil(F.col("groups") / FAN_IN))
-
-
-def repeated(mixed: DataFrame, names: list[str]) -> DataFrame:
-    """The mix itself: each row as many times as its ``copies`` say."""
-    return mixed.where("copies > 0").select(
-        *[F.col(f"`{c}`") for c in names], F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("__k")
-    ).drop("__k")

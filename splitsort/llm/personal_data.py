@@ -19,7 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import widened
+from .common import small_batches, widened
 
 KINDS = ("email", "ip", "card", "phone")
 #: B- and I- for each kind, O first.
@@ -377,6 +377,7 @@ def find(docs: DataFrame, crf: Crf, text: str = "text") -> DataFrame:
     """
     new = [f"n_{k}" for k in KINDS] + ["base_sha256", "spans"]
     docs = docs.drop(*new)
+    small_batches(docs.sparkSession)
     at, names = docs.columns.index(text), docs.columns
     schema = widened(docs, **{c: "long" if c.startswith("n_") else "string" for c in new})
 

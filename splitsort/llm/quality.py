@@ -13,7 +13,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD
+from .common import WORD, apart
 
 #: Bound of the labelled sample, and the shape of the ensemble.
 SAMPLE, TREES, DEPTH, BINS, LASSO = 20_000, 40, 3, 48, 0.002
@@ -164,5 +164,6 @@ def score(docs: DataFrame, model: RuleEnsemble, text: str = "text") -> DataFrame
     used = sorted({name for _, terms in model.rules for name, _, _ in terms})
     stats = statistics(F.col(f"`{text}`"))
     # Columns that many rules read and that aren't cheap: Spark keeps them in a projection of their own.
-    found = docs.withColumns({f"__{n}": stats[n] for n in used}) if used else docs
-    return found.withColumn("quality_score", model.column({n: F.col(f"__{n}") for n in used})).drop(*[f"__{n}" for n in used])
+    own = dict(zip(used, apart(docs, *used), strict=True))
+    found = docs.withColumns({own[n]: stats[n] for n in used}) if used else docs
+    return found.withColumn("quality_score", model.column({n: F.col(own[n]) for n in used})).drop(*own.values())

@@ -54,7 +54,7 @@ def op5_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     hashed = F.sha2(F.encode(F.coalesce("text", F.lit("")), "UTF-8"), 256)
-    return exact_dedup.exact_dedup(docs).select("doc_id", "keep_id", "group_size", "kept", hashed.alias("text_sha256"))
+    return exact_dedup.exact_dedup(docs.withColumn("text_sha256", hashed)).select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
 
 
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

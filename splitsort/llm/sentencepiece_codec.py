@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import widened
+from .common import small_batches, widened
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
@@ -228,6 +228,7 @@ def encode_decode(docs: DataFrame, text: str = "text", model: str = MODEL) -> Da
     function.  Columns called like the three new ones are replaced.  No shuffle.
     """
     docs = docs.drop("ids", "n_tokens", "decoded")
+    small_batches(docs.sparkSession)
     blob = model_bytes(docs, model)
     at, names = docs.columns.index(text), docs.columns
     schema = widened(docs, ids="array<int>", n_tokens="long", decoded="string")

@@ -11,9 +11,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import repeat_salt, small, staged
+from .common import BROADCAST_ROWS, repeat_salt, small, staged
 
-#: Bytes of text a bucket holds on average, and the least number of buckets.
+#: Bytes of text a bucket holds on average, while a million buckets suffice, and the least number of buckets.
 BUCKET_BYTES, LEAST_BUCKETS = 16 << 20, 64
 #: Partitions that the buckets are dealt over at most.
 MOST_PARTITIONS = 20_000
@@ -38,30 +38,42 @@ def shard(
     n, size = docs.agg(
         F.count("*"), F.coalesce(F.sum(F.coalesce(F.octet_length(F.col(f"`{text}`")), F.lit(0)) + 64), F.lit(0))
     ).first()
-    buckets = max(LEAST_BUCKETS, -(-int(size) // bucket_bytes))
+    buckets = min(BROADCAST_ROWS, max(LEAST_BUCKETS, -(-int(size) // bucket_bytes)))
     salt = repeat_salt(docs.select(F.xxhash64(*keys).alias("h")), max(1000, n // buckets))
-    record = F.struct(F.xxhash64(F.lit(seed), *keys).alias("o"), *[F.col(f"`{c}`") for c in names])
-    scattered = docs.select(F.pmod(F.xxhash64(F.lit(~seed), salt, *keys), F.lit(buckets)).alias("__b"), record.alias("__r"))
+    # The input's columns lie inside one struct, where no name of ours meets theirs.
+    record = F.struct(F.xxhash64(F.lit(seed), *keys).alias("o"), F.struct(*[F.col(f"`{c}`") for c in names]).alias("v"))
+    scattered = docs.select(F.pmod(F.xxhash64(F.lit(~seed), salt, *keys), F.lit(buckets)).cast("int").alias("b"), record.alias("rec"))
     # A bucket is brought into one order before it is shuffled, whatever order its rows arrived in.
-    byorder = F.array_sort(F.collect_list("__r"), lambda x, y: F.when(x["o"] < y["o"], -1).when(x["o"] > y["o"], 1).otherwise(0))
+    byorder = F.array_sort(F.collect_list("rec"), lambda x, y: F.when(x["o"] < y["o"], -1).when(x["o"] > y["o"], 1).otherwise(0))
     # The exchange draws from its partition's stream, so partitions and the order of buckets in them are fixed too.
-    gathered = scattered.repartition(min(buckets, MOST_PARTITIONS), "__b").groupBy("__b").agg(byorder.alias("__rs"))
-    gathered = gathered.sortWithinPartitions("__b").select("__b", F.size("__rs").alias("__n"), F.shuffle("__rs", seed).alias("__rs"))
+    # One bucket is one partition while that many partitions are sensible, so that no task draws several by chance.
+    dealt = scattered.repartitionById(buckets, "b") if buckets <= MOST_PARTITIONS else scattered.repartition(MOST_PARTITIONS, "b")
+    gathered = dealt.groupBy("b").agg(byorder.alias("recs"))
+    gathered = gathered.sortWithinPartitions("b").select("b", F.size("recs").alias("n"), F.shuffle("recs", seed).alias("recs"))
     written = staged(gathered, "buckets")
-    start = F.sum("__n").over(Window.orderBy("__b").rowsBetween(Window.unboundedPreceding, -1))
-    starts = written.select("__b", F.coalesce(start, F.lit(0)).cast("long").alias("__s"))  # one row for each bucket
-    rank = F.col("__s") + F.col("__i")
+    rank = F.col("s") + F.col("i")
     return (
-        written.join(small(starts, buckets), "__b")
-        .select("__s", F.posexplode("__rs").alias("__i", "__r"))
+        written.join(small(_starts(written.select("b", "n"), buckets), buckets), "b")
+        .select("s", F.posexplode("recs").alias("i", "rec"))
         .select(
-            *[F.col(f"__r.`{c}`").alias(c) for c in names],
+            *[F.col(f"rec.v.`{c}`").alias(c) for c in names],
             F.pmod(rank, F.lit(shards)).cast("int").alias("shard"),
             F.floor(rank / shards).cast("long").alias("slot"),
         )
     )
 
 
+def _starts(counts: DataFrame, buckets: int) -> DataFrame:
+    """``(b, s)``: records in all buckets before each one; summed in stretches of buckets, then over stretches."""
+    before = (Window.unboundedPreceding, -1)
+    counts = counts.withColumn("g", F.floor(F.col("b") / F.lit(max(1, round(buckets**0.5)))))
+    inside = F.coalesce(F.sum("n").over(Window.partitionBy("g").orderBy("b").rowsBetween(*before)), F.lit(0))
+    groups = counts.groupBy("g").agg(F.sum("n").alias("gn"))
+    whole = F.coalesce(F.sum("gn").over(Window.orderBy("g").rowsBetween(*before)), F.lit(0))  # about a thousand rows
+    groups = groups.select("g", whole.alias("w"))
+    return counts.withColumn("i", inside).join(F.broadcast(groups), "g").select("b", (F.col("w") + F.col("i")).cast("long").alias("s"))
+
+
 def write_shards(sharded: DataFrame, path: str) -> None:
     """One folder for each shard, files in slot order."""
     sharded.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)

@@ -22,7 +22,8 @@ ODD = [
     (10, "12345 67890", "en", "a", 11),
 ]
 #: Names that operators use for their own results.
-CLASHES = ["size", "target", "shard", "slot", "kept", "keep_id", "n_lines", "ids", "spans", "lang_pred", "quality_score", "component_id", "uid", "__text2"]
+CLASHES = ["size", "target", "shard", "slot", "kept", "keep_id", "n_lines", "ids", "spans", "lang_pred", "quality_score", "component_id", "uid", "__text2",
+           "o", "f", "r", "b", "v", "k", "i", "h", "body", "line", "lines", "gone", "__uid", "__len", "__gid", "__size", "__text", "__l", "__words", "words", "distinct", "id", "node", "copies", "digit"]
 
 
 def operators():
