@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from splitsort.llm import exact_dedup, language_id, mixing, near_dedup, sentencepiece_codec
-from splitsort.llm.common import doc_crc, staged, table, unstage
+from splitsort.llm.common import apart, doc_crc, staged, table, unstage
 
 #: Fitted codes, random rounding and a tokenizer: SQL can't express these stages.
 ORACLE_SQL: str | None = None
@@ -25,24 +25,25 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     The codes are fitted on a bounded sample of the rows with a language outside the held-out fold.
     """
     model = language_id.train(docs.where(doc_crc(F.col("doc_id")) % 4 != 2))
-    found = language_id.identify(docs, model)
-    clear = (F.col("lang_pred") != language_id.UNKNOWN) & ~(F.col("lang_ambiguous") & (F.col("lang_score") < 0.5))
-    return found.where(clear).select(*docs.columns)
+    lang, score, ambiguous = names = apart(docs, "lang_pred", "lang_score", "lang_ambiguous")
+    found = language_id.identify(docs, model, names=tuple(names))
+    clear = (F.col(lang) != language_id.UNKNOWN) & ~(F.col(ambiguous) & (F.col(score) < 0.5))
+    return found.where(clear).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts the one with the largest id stays."""
-    return exact_dedup.exact_dedup(docs).where("kept").select(*docs.columns)
+    return exact_dedup.without_copies(docs)
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near duplicates the one with the least id stays."""
-    return near_dedup.near_duplicates(docs).where("kept").select(*docs.columns)
+    return near_dedup.without_near_duplicates(docs)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as often as the mix takes it."""
-    return mixing.repeated(mixing.mix(docs), docs.columns)
+    return mixing.mixture(docs)
 
 
 def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
