@@ -16,12 +16,15 @@ import pyarrow.parquet as pq
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .plans.concurrency import exclusive_map
 from .records import RecordSpec
 from .sources import files
 
 #: Entries an index may have to be broadcast.
 BROADCAST_ENTRIES = 2_000_000
 BATCH_BYTES, GAP_BYTES, READ_POOL = 8 << 20, 4096, 4
+#: What one request costs in a Python worker, in nanoseconds, and how fast a file is read on, in bytes a nanosecond.
+REQUEST_NS, STREAM = 2000.0, 2.0
 
 
 class OffsetQueue:
@@ -30,16 +33,22 @@ class OffsetQueue:
     def __init__(self, capacity: int) -> None:
         self.capacity, self.waiting, self.size, self.fills = max(1, capacity), [], 0, 0
 
-    def put(self, item, size: int) -> list | None:
-        """The full queue once ``size`` more no longer fits; it starts afresh with this item."""
-        out = None
-        if self.waiting and self.size + size > self.capacity:
-            out = self.flush()
-        self.waiting.append(item)
-        self.size += size
-        return out
-
-    def flush(self) -> list:
+    def put(self, batch: pa.RecordBatch, sizes: np.ndarray) -> Iterator[list[pa.RecordBatch]]:
+        """Take a batch of locators in; hand out the queue each time the next value no longer fits."""
+        at = 0
+        while at < len(sizes):
+            ends = np.cumsum(sizes[at:])
+            n = int(np.searchsorted(ends, self.capacity - self.size, "right"))
+            if n == 0 and not self.waiting:
+                n = 1  # a value longer than the buffer goes alone
+            if n:
+                self.waiting.append(batch.slice(at, n))
+                self.size += int(ends[n - 1])
+                at += n
+            if at < len(sizes):
+                yield self.flush()
+
+    def flush(self) -> list[pa.RecordBatch]:
         out, self.waiting, self.size = self.waiting, [], 0
         self.fills += bool(out)
         return out
@@ -55,74 +64,154 @@ def coalesced(file_id: np.ndarray, start: np.ndarray, size: np.ndarray, gap: int
     new = np.ones(len(order), bool)
     new[1:] = (f[1:] != f[:-1]) | (a[1:] - z[:-1] > gap)
     cuts = np.flatnonzero(new)
-    ends = [*cuts[1:], len(order)]
-    return [(int(f[i]), int(a[i]), int(z[i:j].max()), order[i:j]) for i, j in zip(cuts, ends, strict=True)]
+    ends = [*cuts[1:].tolist(), len(order)]
+    tops = np.maximum.reduceat(z, cuts)
+    return [(int(f[i]), int(a[i]), int(t), order[i:j]) for i, j, t in zip(cuts.tolist(), ends, tops.tolist(), strict=True)]
+
+
+def expected_amplification(density: float, spec: RecordSpec, gap: int) -> float:
+    """Bytes read for each byte needed when a share ``density`` of a file's records is fetched at random.
+
+    Neighbours j records apart share a request where the j - 1 records and the key between them are within ``gap``.
+    """
+    reach = max(0, (gap - spec.key_bytes) // spec.record_bytes + 1) if gap >= spec.key_bytes else 0
+    skipped = sum(density * (1 - density) ** (j - 1) * (j * spec.record_bytes - spec.value_bytes) for j in range(1, reach + 1))
+    return 1 + skipped / spec.value_bytes
+
+
+def best_gap(density: float, spec: RecordSpec, request_ns: float = REQUEST_NS, gb_per_s: float = STREAM) -> int:
+    """The gap at which reading on costs no more than another request, or 0 if no neighbour is that near."""
+    gap = int(request_ns * gb_per_s)
+    return gap if expected_amplification(density, spec, gap) > 1 else 0
 
 
-def read_values(paths: list[str], file_id: np.ndarray, start: np.ndarray, size: np.ndarray, gap: int, pool: int) -> tuple[list[bytes], int, int]:
-    """Values in the order asked for, the bytes read and the requests made."""
-    out: list[bytes] = [b""] * len(start)
+def read_values(paths: list[str], file_id: np.ndarray, start: np.ndarray, size: np.ndarray, gap: int, pool: int, stride: int = 0) -> tuple[pa.Array, int, int]:
+    """Values in the order asked for, the bytes read and the requests made.
+
+    ``stride`` is the record width where all values are equally long and lie on one grid: these are copied by the block.
+    """
     reads = coalesced(file_id, start, size, gap)
+    width = int(size[0]) if stride and len(size) else 0
+    matrix = np.empty((len(start), width), np.uint8) if stride else None
+    out: list[bytes] = [] if stride else [b""] * len(start)
 
     def one(read: tuple) -> int:
         f, a, z, rows = read
         block = files.handle(paths[f]).read_at(z - a, a)
-        for r in rows:
-            out[r] = block[start[r] - a : start[r] - a + size[r]]
+        if stride:
+            raw = np.frombuffer(block, np.uint8)
+            if len(rows) == 1:
+                matrix[rows[0]] = raw
+            else:
+                grid = np.lib.stride_tricks.as_strided(raw, ((z - a - width) // stride + 1, width), (stride, 1))
+                matrix[rows] = grid[(start[rows] - a) // stride]
+        else:
+            for r in rows.tolist():
+                out[r] = block[start[r] - a : start[r] - a + size[r]]
         return z - a
 
     if pool > 1 and len(reads) > 1:
         with ThreadPoolExecutor(pool) as threads:
-            got = sum(threads.map(one, reads))
+            got = sum(threads.map(one, reads, chunksize=1) if len(reads) < 64 else threads.map(lambda part: sum(map(one, part)), [reads[k::pool] for k in range(pool)]))
     else:
         got = sum(map(one, reads))
-    return out, got, len(reads)
+    return files.fixed_binary(matrix) if stride else pa.array(out, pa.binary()), got, len(reads)
 
 
 def point_fetch(
-    idx: DataFrame, path: str, spec: RecordSpec, batch_bytes: int = BATCH_BYTES, gap_bytes: int = GAP_BYTES, read_pool: int = READ_POOL, counters: bool = False
+    idx: DataFrame,
+    path: str,
+    spec: RecordSpec,
+    batch_bytes: int = BATCH_BYTES,
+    gap_bytes: int = GAP_BYTES,
+    read_pool: int = READ_POOL,
+    counters: bool = False,
+    policy: str = "no_sync",
+    refetch_key: bool = False,
 ) -> DataFrame:
     """``idx`` (with file_id, pos and for length-prefixed records vlength) with ``value``; no shuffle.
 
-    Values are fetched a write buffer at a time: sorted by place, near neighbours in one request, put
-    back in the index's order.  ``batch_bytes`` 0 fetches one value at a time.  With ``counters`` the
-    result is one row for each task in place of the data.
+    Values are fetched a write buffer at a time, over as many input batches as it takes: sorted by place, near
+    neighbours in one request, put back in the index's order.  ``batch_bytes`` 0 fetches one value at a time.  With
+    ``counters`` the result is one row for each task in place of the data.
+
+    ``policy`` says how reads and the handing on of rows (the writes) meet: ``no_sync`` one after the other in each task
+    and no task waiting for another; ``overlap`` with two buffers, the next one read while the last is handed on;
+    ``exclusive`` by a barrier, so that at no time one task reads while another writes.  ``refetch_key`` reads whole fixed
+    records, and takes the key from there.
     """
     klv = spec.length_bytes > 0
     paths = [p for p, _ in files.listed(path, ".klv" if klv else ".rec")]
     names, width, k, v = idx.columns, spec.record_bytes, spec.key_bytes, spec.value_bytes
     kinds = ", ".join(f"`{n}` {t}" for n, t in idx.dtypes)
+    if refetch_key and klv:
+        raise ValueError("keys of length-prefixed records are not fetched again")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        needed = got = asked = fills = count = 0
+    def sizes_of(batch: pa.RecordBatch) -> np.ndarray:
+        if klv:
+            return batch.column("vlength").to_numpy().astype(np.int64)
+        return np.full(batch.num_rows, width if refetch_key else v, np.int64)
+
+    def queued(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        queue = OffsetQueue(batch_bytes)
         for batch in batches:
-            f = batch.column("file_id").to_numpy()
-            pos = batch.column("pos").to_numpy()
-            size = batch.column("vlength").to_numpy().astype(np.int64) if klv else np.full(len(pos), v, np.int64)
-            start = pos if klv else pos * width + k
-            queue, fulls = OffsetQueue(batch_bytes), []
-            if batch_bytes:
-                for i, s in enumerate(size.tolist()):
-                    full = queue.put(i, s)
-                    if full:
-                        fulls.append(full)
-                fulls.append(queue.flush())
-            elif len(pos):
-                fulls.append(range(len(pos)))  # no buffer: one request after the other
-            for rows in (r for r in fulls if r):
-                a, z = rows[0], rows[-1] + 1
-                values, b, n = read_values(paths, f[a:z], start[a:z], size[a:z], gap_bytes if batch_bytes else -1, read_pool if batch_bytes else 1)
-                needed, got, asked, count = needed + int(size[a:z].sum()), got + b, asked + n, count + z - a
-                fills += 1 if batch_bytes else n
-                if not counters:
-                    yield pa.RecordBatch.from_arrays([*batch.slice(a, z - a).columns, pa.array(values, pa.binary())], [*names, "value"])
-        if counters:
-            row = ["record_read", count, needed, got, asked, fills]
-            yield pa.RecordBatch.from_arrays([pa.array([x]) for x in row], ["op", "records", "bytes_needed", "bytes_read", "requests", "fills"])
+            if not batch.num_rows:
+                continue
+            if not batch_bytes:
+                yield batch  # no buffer: one request after the other
+                continue
+            for full in queue.put(batch, sizes_of(batch)):
+                yield _joined(full)
+        if queue.waiting:
+            yield _joined(queue.flush())
+
+    def fetched(batch: pa.RecordBatch) -> tuple[pa.RecordBatch, list[int]]:
+        f, pos, size = batch.column("file_id").to_numpy(), batch.column("pos").to_numpy(), sizes_of(batch)
+        start = pos if klv else pos * width + (0 if refetch_key else k)
+        gap, pool = (gap_bytes, read_pool) if batch_bytes else (-1, 1)
+        values, got, asked = read_values(paths, f, start, size, gap, pool, 0 if klv else width)
+        columns = list(batch.columns)
+        if refetch_key:
+            whole = np.frombuffer(values.buffers()[2], np.uint8).reshape(len(pos), width)
+            columns[names.index("key")], values = files.fixed_binary(whole[:, :k]), files.fixed_binary(whole[:, k:])
+        out = pa.RecordBatch.from_arrays([*columns, values], [*names, "value"])
+        return out, [batch.num_rows, int(size.sum()), got, asked, 1 if batch_bytes else asked]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if policy == "overlap":
+            with ThreadPoolExecutor(1) as ahead:
+                coming = None
+                for batch in queued(batches):
+                    following = ahead.submit(fetched, batch)
+                    if coming is not None:
+                        yield coming.result()[0]
+                    coming = following
+                if coming is not None:
+                    yield coming.result()[0]
+            return
+        for batch in queued(batches):
+            yield fetched(batch)[0]
+
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(5, np.int64)
+        for batch in queued(batches):
+            total += fetched(batch)[1]
+        fields = ["records", "bytes_needed", "bytes_read", "requests", "fills"]
+        yield pa.RecordBatch.from_arrays([pa.array(["record_read"]), *(pa.array([int(x)]) for x in total)], ["op", *fields])
 
     if counters:
-        return idx.mapInArrow(run, "op string, records long, bytes_needed long, bytes_read long, requests long, fills long")
-    return idx.mapInArrow(run, f"{kinds}, value binary")
+        return idx.mapInArrow(counted, "op string, records long, bytes_needed long, bytes_read long, requests long, fills long")
+    schema = f"{kinds}, value binary"
+    if policy == "exclusive":
+        slots = idx.sparkSession.sparkContext.defaultParallelism  # all tasks of a barrier stage run at once
+        return exclusive_map(idx.coalesce(slots), queued, lambda batch: fetched(batch)[0], schema)
+    if policy not in ("no_sync", "overlap"):
+        raise ValueError(f"{policy} isn't a policy of the fetch")
+    return idx.mapInArrow(run, schema)
+
+
+def _joined(batches: list[pa.RecordBatch]) -> pa.RecordBatch:
+    return batches[0] if len(batches) == 1 else pa.Table.from_batches(batches).combine_chunks().to_batches()[0]
 
 
 def file_local_fetch(idx: DataFrame, path: str, spec: RecordSpec, batch_bytes: int = 16 * BATCH_BYTES) -> DataFrame:

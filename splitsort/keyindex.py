@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from .records import RecordSpec
 from .sources import register_formats, with_locator
-from .sources.fixedrec import split_ranges
+from .sources.fixedrec import STRIDE_GAP, split_ranges
 
 __all__ = ["build_fixed", "build_klv", "build_parquet", "counters", "split_ranges"]
 
@@ -17,17 +17,18 @@ def _fixed(spark: SparkSession, path: str, spec: RecordSpec, **options):
     return spark.read.format("fixedrec").options(path=path, keyBytes=spec.key_bytes, valueBytes=spec.value_bytes, **options)
 
 
-def build_fixed(spark: SparkSession, path: str, spec: RecordSpec, access: str = "strided", readers: int = 0) -> DataFrame:
+def build_fixed(spark: SparkSession, path: str, spec: RecordSpec, access: str = "strided", readers: int = 0, stride_gap: int = STRIDE_GAP) -> DataFrame:
     """``(key, file_id, pos)`` of fixed records; locators are computed, not read.
 
-    ``strided`` touches keys only, ``sequential`` loads whole records and drops the values.
+    ``strided`` needs keys only, and reads nothing else where values are as long as ``stride_gap``; shorter
+    ones are read over.  ``sequential`` loads whole records and drops the values.
     """
-    return _fixed(spark, path, spec, access=access, readers=readers).load()
+    return _fixed(spark, path, spec, access=access, readers=readers, strideGap=stride_gap).load()
 
 
-def counters(spark: SparkSession, path: str, spec: RecordSpec, access: str = "strided") -> DataFrame:
+def counters(spark: SparkSession, path: str, spec: RecordSpec, access: str = "strided", stride_gap: int = STRIDE_GAP) -> DataFrame:
     """Bytes needed, bytes read and requests of the index load, one row for each reader."""
-    return _fixed(spark, path, spec, access=access, counters="true").load()
+    return _fixed(spark, path, spec, access=access, counters="true", strideGap=stride_gap).load()
 
 
 def records(spark: SparkSession, path: str, spec: RecordSpec) -> DataFrame:

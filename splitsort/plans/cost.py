@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..records import RecordSpec
 from ..sorter import choose_mode
+from .concurrency import penalty
 from .device import PROFILES, Profile
 
 SYSTEMS = ("wide", "one_pass", "two_pass", "in_place", "serial_split", "resorting")
@@ -68,23 +69,6 @@ SLOPES = {
 }
 
 
-def penalty(policy: str, profile: Profile) -> Column:
-    """The factor of a policy on each operation."""
-    read, write = F.col("kind") != "write", F.col("kind") == "write"
-    touched = F.col("kind") != "slim"
-    p = profile
-    if policy == "exclusive":
-        return F.lit(1.0)
-    if policy == "overlap":
-        return F.when(write, p.psi).when(read & touched, p.phi).otherwise(1.0)
-    if policy == "no_sync":
-        return F.when(write, p.psi * p.delta).when(read & touched, p.phi).otherwise(1.0)
-    if policy == "no_sync_buffered_merge":
-        merge = F.col("stage") == "merge"
-        return F.when(write & merge, p.delta).when(write, p.psi * p.delta).when(merge, 1.0).otherwise(p.phi)
-    raise ValueError(policy)
-
-
 def model(ops: DataFrame, policy: str, profile: Profile) -> DataFrame:
     """``system, policy, ns``: modelled nanoseconds a record."""
     return ops.groupBy("system").agg(F.sum(F.col("ns") * penalty(policy, profile)).alias("ns")).withColumn("policy", F.lit(policy))

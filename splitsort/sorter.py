@@ -8,12 +8,13 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import gather, keyindex, merge
+from .plans.concurrency import ConcurrencyPlan
 from .records import RecordSpec
 from .session import new_path, staged
 from .sources import files
 
-#: Slim bytes that one sorted partition should hold.
-PARTITION_BYTES = 64 << 20
+#: Slim bytes that one sorted partition should hold, entries under which another task isn't worth it, bytes for one task alone.
+PARTITION_BYTES, LEAST_ENTRIES, SINGLE_BYTES = 64 << 20, 10_000, 1 << 30
 
 
 @dataclass(frozen=True)
@@ -57,24 +58,72 @@ def with_global_rank(ordered: DataFrame, name: str = "ranked") -> DataFrame:
     return placed.join(F.broadcast(at), part == F.col("__p")).withColumn("rank", F.col("__s") + place + 1).drop("__m", "__p", "__s")
 
 
-def one_pass(spark: SparkSession, path: str, spec: RecordSpec, access: str = "strided", pools: int | None = None, buffered: bool = True) -> DataFrame:
-    """``(rank, key, value)`` of fixed records: index, sort, rank, fetch each value once."""
-    ranked = with_global_rank(sort_index(keyindex.build_fixed(spark, path, spec, access), pools))
-    got = gather.point_fetch(ranked, path, spec, batch_bytes=gather.BATCH_BYTES if buffered else 0)
+def partitions_for(spark: SparkSession, n: int, spec: RecordSpec) -> int:
+    """Ranges of a slim index of ``n`` entries: PARTITION_BYTES each, and as many as there are slots if it is small."""
+    slots = spark.sparkContext.defaultParallelism
+    return max(-(-n * spec.entry_bytes // PARTITION_BYTES), min(slots, -(-n // LEAST_ENTRIES)), 1)
+
+
+def records_in(path: str, spec: RecordSpec) -> int:
+    return sum(size for _, size in files.listed(path, ".rec")) // spec.record_bytes
+
+
+def _fetch_options(plan: ConcurrencyPlan | None, policy: str, read_pool: int) -> dict:
+    if plan is None:
+        return {"policy": policy, "read_pool": read_pool}
+    return {"policy": plan.policy, "read_pool": plan.threads("read_random", read_pool)}
+
+
+def one_pass(
+    spark: SparkSession,
+    path: str,
+    spec: RecordSpec,
+    access: str = "strided",
+    pools: int | None = None,
+    buffered: bool = True,
+    policy: str = "no_sync",
+    read_pool: int = gather.READ_POOL,
+    plan: ConcurrencyPlan | None = None,
+    stride_gap: int = keyindex.STRIDE_GAP,
+    gap_bytes: int = gather.GAP_BYTES,
+    refetch_key: bool = False,
+) -> DataFrame:
+    """``(rank, key, value)`` of fixed records: index, sort, rank, fetch each value once.
+
+    ``plan``, if given, sets the policy, the threads that read values, and as many tasks as it has threads for writing.
+    ``pools`` 1 sorts in one task, for an index of at most SINGLE_BYTES.
+    """
+    n = records_in(path, spec)
+    if pools == 1 and n * spec.entry_bytes > SINGLE_BYTES:
+        raise ValueError(f"an index of {n * spec.entry_bytes} bytes isn't sorted by one task")
+    ranked = with_global_rank(sort_index(keyindex.build_fixed(spark, path, spec, access, stride_gap=stride_gap), pools or partitions_for(spark, n, spec)))
+    if plan is not None:
+        ranked = ranked.coalesce(plan.threads("write_seq", ranked.rdd.getNumPartitions()))
+    options = _fetch_options(plan, policy, read_pool)
+    got = gather.point_fetch(ranked, path, spec, batch_bytes=gather.BATCH_BYTES if buffered else 0, gap_bytes=gap_bytes, refetch_key=refetch_key, **options)
     return got.select("rank", "key", "value")
 
 
-def write_runs(idx: DataFrame, plan: SortPlan, order: Column, parts: int | None = None, compression: str = "zstd") -> str:
+def write_runs(idx: DataFrame, plan: SortPlan, order: Column, parts: int | None = None, compression: str = "zstd", path: str = "") -> str:
     """Sorted slim runs in folders ``run=r/range_id=g``; ``order`` numbers the records from 0.
 
     All runs are made by one job: one range partitioning gives all runs the same cuts.
     """
-    out = new_path(idx.sparkSession, "runs")
+    out = path or new_path(idx.sparkSession, "runs")
     by = ["key", "file_id", "pos"]
     marked = idx.withColumn("run", F.floor(order / plan.records_per_run).cast("int"))
     ranged = marked.repartitionByRange(parts, *by) if parts else marked.repartitionByRange(*by)
     ranged = ranged.withColumn("range_id", F.spark_partition_id()).sortWithinPartitions("run", "range_id", *by)
-    ranged.write.option("compression", compression).partitionBy("run", "range_id").parquet(out)
+    ranged.write.mode("overwrite").option("compression", compression).partitionBy("run", "range_id").parquet(out)
+    return out
+
+
+def next_phase(spark: SparkSession, runs: str, fan_in: int) -> str:
+    """Neighbouring runs merged ``fan_in`` at a time into new ones, range by range."""
+    out, by = new_path(spark, "phase"), ["key", "file_id", "pos"]
+    grouped = spark.read.parquet(runs).withColumn("run", F.floor(F.col("run") / fan_in).cast("int"))
+    grouped = grouped.repartition("run", "range_id").sortWithinPartitions("run", "range_id", *by)
+    grouped.write.partitionBy("run", "range_id").parquet(out)
     return out
 
 
@@ -86,45 +135,85 @@ def record_number(path: str, spec: RecordSpec) -> Column:
     return base + F.col("pos")
 
 
-def _merged(spark: SparkSession, runs: str, fan_in: int, count: int) -> DataFrame:
-    found = spark.read.parquet(runs)
-    found = merge.multi_phase(found, count, fan_in, lambda df: staged(df, "phase"))
-    sizes = sorted((r[0], r[1]) for r in found.groupBy("range_id").count().collect())
+def merged(spark: SparkSession, runs: str, fan_in: int, count: int, extra: str = "", buffer_entries: int = merge.BUFFER_ENTRIES) -> DataFrame:
+    """Ranked entries of ``count`` runs under ``runs``, brought down to ``fan_in`` of them first."""
+    while count > fan_in:
+        runs, count = next_phase(spark, runs, fan_in), -(-count // fan_in)
+    sizes = sorted((r[0], r[1]) for r in spark.read.parquet(runs).groupBy("range_id").count().collect())
     starts, total = [], 0
     for g, n in sizes:
         starts.append((g, total))
         total += n
     at = F.broadcast(spark.createDataFrame(starts or [(0, 0)], "range_id int, __s long"))
-    return merge.merge_runs(found).join(at, "range_id").withColumn("rank", F.col("__s") + F.col("i") + 1).drop("__s", "i", "range_id")
-
-
-def two_pass(spark: SparkSession, path: str, spec: RecordSpec, budget: int, access: str = "strided", parts: int | None = None, fan_in: int = 1000, compression: str = "zstd", batch_bytes: int = gather.BATCH_BYTES) -> DataFrame:
+    ranges = max((g for g, _ in sizes), default=-1) + 1
+    entries = merge.merge_runs(spark, runs, count, ranges, extra, buffer_entries)
+    return entries.join(at, "range_id").withColumn("rank", F.col("__s") + F.col("i") + 1).drop("__s", "i", "range_id")
+
+
+def two_pass(
+    spark: SparkSession,
+    path: str,
+    spec: RecordSpec,
+    budget: int,
+    access: str = "strided",
+    parts: int | None = None,
+    fan_in: int = 1000,
+    compression: str = "zstd",
+    batch_bytes: int = gather.BATCH_BYTES,
+    policy: str = "no_sync",
+    read_pool: int = gather.READ_POOL,
+    plan: ConcurrencyPlan | None = None,
+    stride_gap: int = keyindex.STRIDE_GAP,
+    gap_bytes: int = gather.GAP_BYTES,
+) -> DataFrame:
     """``(rank, key, value)``: slim runs written, merged range by range, values fetched last."""
-    n = sum(size for _, size in files.listed(path, ".rec")) // spec.record_bytes
-    plan = choose_mode(n, spec, budget)
-    runs = write_runs(keyindex.build_fixed(spark, path, spec, access), plan, record_number(path, spec), parts, compression)
-    return gather.point_fetch(_merged(spark, runs, fan_in, plan.runs), path, spec, batch_bytes).select("rank", "key", "value")
+    n = records_in(path, spec)
+    if parts == 1 and n * spec.entry_bytes > SINGLE_BYTES:
+        raise ValueError(f"an index of {n * spec.entry_bytes} bytes isn't sorted by one task")
+    if not n:
+        return one_pass(spark, path, spec)
+    runs_of = choose_mode(n, spec, budget)
+    idx = keyindex.build_fixed(spark, path, spec, access, stride_gap=stride_gap)
+    runs = write_runs(idx, runs_of, record_number(path, spec), parts or partitions_for(spark, n, spec), compression)
+    ranked = merged(spark, runs, fan_in, runs_of.runs, buffer_entries=max(1, budget // spec.entry_bytes))
+    options = _fetch_options(plan, policy, read_pool)
+    return gather.point_fetch(ranked, path, spec, batch_bytes, gap_bytes, **options).select("rank", "key", "value")
 
 
 def sort_records(spark: SparkSession, path: str, spec: RecordSpec, budget: int) -> DataFrame:
     """Whichever mode the budget allows."""
-    n = sum(size for _, size in files.listed(path, ".rec")) // spec.record_bytes
-    return one_pass(spark, path, spec) if choose_mode(n, spec, budget).mode == "one_pass" else two_pass(spark, path, spec, budget)
+    return one_pass(spark, path, spec) if choose_mode(records_in(path, spec), spec, budget).mode == "one_pass" else two_pass(spark, path, spec, budget)
+
+
+def klv_runs(spark: SparkSession, path: str, spec: RecordSpec, budget: int, anchors: bool = True) -> tuple[str, SortPlan]:
+    """Slim runs of length-prefixed records, none of more entries than the budget holds.
+
+    Only a scan can number such records: the index is written once, in the order of the input, and numbered from the counts of
+    its partitions.
+    """
+    idx = staged(keyindex.build_klv(spark, path, spec, anchors).withColumn("m", F.monotonically_increasing_id()), "klv-index")
+    part = F.shiftright("m", 33)
+    sizes = sorted((r[0], r[1]) for r in idx.groupBy(part.alias("p")).count().collect())
+    starts, total = [], 0
+    for p, n in sizes:
+        starts.append((p, total))
+        total += n
+    at = F.broadcast(spark.createDataFrame(starts or [(0, 0)], "p long, s long"))
+    plan = choose_mode(total, spec, budget)
+    number = F.col("s") + F.col("m").bitwiseAND(F.lit((1 << 33) - 1))
+    numbered = idx.join(at, part == F.col("p")).select("key", "vlength", "file_id", "pos", number.alias("number"))
+    marked = numbered.withColumn("number", F.floor(F.col("number") / F.lit(max(1, plan.records_per_run))))
+    runs = write_runs(marked, SortPlan(plan.mode, plan.runs, plan.index_bytes, 1), F.col("number"), partitions_for(spark, total, spec))
+    return runs, plan
 
 
 def sort_klv(spark: SparkSession, path: str, spec: RecordSpec, budget: int | None = None, anchors: bool = True) -> DataFrame:
     """``(rank, key, vlength, value)`` of length-prefixed records, in one pass or two."""
-    idx = keyindex.build_klv(spark, path, spec, anchors)
     if budget is None:
-        ranked = with_global_rank(sort_index(idx))
+        ranked = with_global_rank(sort_index(keyindex.build_klv(spark, path, spec, anchors)))
     else:
-        idx = staged(idx, "klv-index")
-        size = sum(s for _, s in files.listed(path, ".klv"))
-        plan = choose_mode(idx.count(), spec, budget)
-        # Runs are stretches of input bytes: the record number of a length-prefixed file isn't known without a scan.
-        share = F.col("pos") / F.lit(max(1, size)) * plan.runs
-        runs = write_runs(idx, SortPlan(plan.mode, plan.runs, plan.index_bytes, 1), F.least(F.floor(share), F.lit(plan.runs - 1)))
-        ranked = _merged(spark, runs, 1000, plan.runs)
+        runs, plan = klv_runs(spark, path, spec, budget, anchors)
+        ranked = merged(spark, runs, 1000, plan.runs, "vlength int", max(1, budget // spec.entry_bytes))
     return gather.point_fetch(ranked, path, spec).select("rank", "key", "vlength", "value")
 
 

@@ -22,11 +22,11 @@ def handle(path: str):
     return system.open_input_file(name)
 
 
-def listed(path: str, suffix: str) -> list[tuple[str, int]]:
+def listed(path: str, suffix: str, missing: bool = False) -> list[tuple[str, int]]:
     """(path, size) of the folder's files with a suffix, in the order of their names: the file ids."""
     system, name = opened(path)
     prefix = path.rstrip("/")
-    found = system.get_file_info(fs.FileSelector(name.rstrip("/")))
+    found = system.get_file_info(fs.FileSelector(name.rstrip("/"), allow_not_found=missing))
     return sorted((f"{prefix}/{f.base_name}", f.size) for f in found if f.is_file and f.base_name.endswith(suffix) and not f.base_name.startswith("_"))
 
 

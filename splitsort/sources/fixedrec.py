@@ -2,7 +2,11 @@
 
 ``access`` says what a scan touches: ``strided`` the keys only, ``sequential`` whole records of
 which the values are dropped, ``full`` whole records.  ``counters`` true returns one row of byte and
-request counts for each partition in place of the data.
+request counts for each partition in place of the data: bytes that were needed, and bytes that were read.
+
+A strided load of values shorter than option ``stridegap`` reads whole blocks and skips the values in memory, since
+files, unlike byte-addressable devices, serve a small gap faster than a request; it then reads as much as a
+sequential load.  ``stridegap`` 0 reads each key by a request of its own, and not one byte more.
 """
 
 from __future__ import annotations
@@ -48,6 +52,7 @@ class FixedReader(DataSourceReader):
         self.access, self.readers = options.get("access", "full"), int(options.get("readers", 0))
         self.per_task = int(options.get("taskbytes", 64 << 20))
         self.counters = options.get("counters", "false") == "true"
+        self.gap = int(options.get("stridegap", STRIDE_GAP))
 
     def partitions(self) -> list[Range]:
         width, out = self.k + self.v, []
@@ -66,7 +71,7 @@ class FixedReader(DataSourceReader):
         for a in range(part.first, part.last, step):
             b = min(part.last, a + step)
             f = files.handle(part.path)
-            if self.access == "strided" and self.v >= STRIDE_GAP:
+            if self.access == "strided" and self.v >= self.gap:
                 keys = np.frombuffer(b"".join(f.read_at(self.k, r * width) for r in range(a, b)), np.uint8).reshape(b - a, self.k)
                 block, asked, got = None, asked + b - a, got + (b - a) * self.k
             else:

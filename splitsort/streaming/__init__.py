@@ -6,11 +6,11 @@ import uuid
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from .. import merge, sorter
+from .. import sorter
 from ..session import new_path
 from ..sources import stream
 
@@ -62,20 +62,29 @@ def late_split(df: DataFrame, delay_s: int) -> tuple[DataFrame, DataFrame]:
     return df.where(F.col("at") >= edge), df.where(F.col("at") < edge)
 
 
-def stream_runs(df: DataFrame, path: str, key) -> None:
-    """One sorted slim run a micro-batch, named by the batch: a restart writes the same runs again."""
+def stream_runs(df: DataFrame, path: str, key: Column, checkpoint: str = "", bounds: list[bytes] | None = None) -> None:
+    """One sorted slim run a micro-batch, named by the batch: a batch that is tried again writes the same run again.
+
+    With the ``checkpoint`` of an earlier call only files that came since are read, as further runs.  ``bounds`` cut the
+    keys into ranges, the same for all runs, of which each is merged by a task of its own.
+    """
+    cuts = sorted(bounds or [])
 
     def write(batch: DataFrame, number: int) -> None:
+        range_id = sum([(F.col("key") >= F.lit(bytearray(c))).cast("int") for c in cuts], F.lit(0))
         slim = batch.select(key.alias("key"), F.lit(0).alias("file_id"), F.col("event_id").alias("pos"))
-        ordered = sorter.sort_index(slim).withColumn("range_id", F.lit(0))
-        ordered.write.mode("overwrite").parquet(f"{path}/run={number}")
+        ordered = slim.withColumn("range_id", range_id).repartition("range_id").sortWithinPartitions("range_id", "key", "file_id", "pos")
+        ordered.write.mode("overwrite").partitionBy("range_id").parquet(f"{path}/run={number}")
 
-    q = df.writeStream.foreachBatch(write).option("checkpointLocation", new_path(df.sparkSession, "checkpoint")).trigger(availableNow=True).start()
+    at = checkpoint or new_path(df.sparkSession, "checkpoint")
+    q = df.writeStream.foreachBatch(write).option("checkpointLocation", at).trigger(availableNow=True).start()
     q.awaitTermination()
 
 
 def merged_runs(spark: SparkSession, path: str) -> DataFrame:
-    return merge.merge_runs(spark.read.parquet(path)).withColumn("rank", F.col("i") + 1)
+    """All runs so far, ranked."""
+    count = spark.read.parquet(path).agg(F.max("run")).first()[0]
+    return sorter.merged(spark, path, 1000, 0 if count is None else count + 1)
 
 
 def stream_topk(df: DataFrame, k: int) -> DataFrame:

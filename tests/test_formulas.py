@@ -1,6 +1,7 @@
 """Closed forms, and the pure parts of merge, gather and mode choice."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from splitsort import gather, merge, sorter
@@ -39,23 +40,55 @@ def test_redistribute_keeps_the_sum():
     assert merge.redistribute([30, 31, 30], 1) == [46, 0, 45]
 
 
-def test_heap_merge_against_sorted():
+def _stream(rows, size):
+    for k in range(0, len(rows), size):
+        cols = zip(*rows[k : k + size], strict=True)
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.binary(), pa.int32(), pa.int64()), strict=True)], list(merge.BY))
+
+
+def test_merge_against_sorted():
     rng = np.random.default_rng(0)
     slices = [sorted((bytes(rng.integers(0, 3, 2, dtype=np.uint8)), r, i) for i in range(n)) for r, n in enumerate((0, 1, 50, 7))]
     for buffer in (1, 4, 1000):
-        out, trace = merge.heap_merge(slices, buffer)
+        trace = dict.fromkeys(merge.TRACE, 0)
+        out = [tuple(r.values()) for t in merge.merge_streams([_stream(s, 8) for s in slices], buffer, trace) for r in t.to_pylist()]
         assert out == sorted(x for s in slices for x in s)
-        assert trace["refills"] >= 3
-    assert merge.heap_merge([]) == ([], {"refills": 0, "comparisons": 0, "drained": 0})
+        assert trace["refills"] >= 3 and trace["compared"] + trace["drained"] == 58
+    apart, trace = [[(b"%03d" % i, r, i) for i in range(100 * r, 100 * r + 40)] for r in range(2)], dict.fromkeys(merge.TRACE, 0)
+    out = [x for t in merge.merge_streams([_stream(s, 8) for s in apart], 8, trace) for x in t.column("pos").to_pylist()]
+    assert out == [*range(40), *range(100, 140)] and trace["drained"] >= 30  # one run outlives the other
+    trace = dict.fromkeys(merge.TRACE, 0)
+    assert list(merge.merge_streams([], 10, trace)) == [] and not any(trace.values())
     assert [merge.phases(r, 4) for r in (1, 4, 5, 16, 17)] == [0, 1, 2, 2, 3]
 
 
+def test_merge_holds_no_more_than_its_buffer(monkeypatch):
+    rng, most, held = np.random.default_rng(1), [0], {}
+    refill = merge.Cursor.refill
+
+    def counted(self, entries):
+        got = refill(self, entries)
+        held[id(self)] = 0 if self.held is None else self.held.num_rows
+        if entries is not None:
+            most[0] = max(most[0], sum(held.values()))
+        return got
+
+    monkeypatch.setattr(merge.Cursor, "refill", counted)
+    slices = [sorted((rng.bytes(4), r, i) for i in range(500)) for r in range(6)]
+    trace = dict.fromkeys(merge.TRACE, 0)
+    out = [tuple(r.values()) for t in merge.merge_streams([_stream(s, 64) for s in slices], 60, trace) for r in t.to_pylist()]
+    assert out == sorted(x for s in slices for x in s)
+    assert most[0] <= 60 and trace["refills"] >= 40 and trace["comparisons"] <= 5 * 3000
+
+
 def test_offset_queue_fills():
-    q, full = gather.OffsetQueue(10), 0
-    for i in range(23):
-        full += q.put(i, 1) is not None
-    q.flush()
-    assert q.fills == 3 and full == 2
+    batch = pa.RecordBatch.from_arrays([pa.array(range(23))], ["pos"])
+    q = gather.OffsetQueue(10)
+    full = list(q.put(batch.slice(0, 4), np.ones(4, np.int64))) + list(q.put(batch.slice(4), np.ones(19, np.int64)))
+    assert [sum(b.num_rows for b in f) for f in full] == [10, 10]
+    assert sum(b.num_rows for b in q.flush()) == 3 and q.fills == 3
+    long = list(q.put(batch, np.full(23, 50)))  # values longer than the buffer go alone
+    assert [sum(b.num_rows for b in f) for f in long] == [1] * 22
 
 
 def test_coalesced_reads():
