@@ -74,14 +74,8 @@ def _overlaps(e):
     return op.join_overlap(a, b, "a", "z", "c", "d", 600).where("u < v").select("left_id", "right_id")
 
 
-@query("join_interval", f"SELECT x.event_id AS left_id, y.event_id AS right_id FROM ({SPANS}) x JOIN ({SPANS}) y ON x.a < y.z AND y.a < x.z AND x.user_id < y.user_id WHERE x.event_id < 300 AND y.event_id < 300")
+@query("join_interval", f"SELECT x.event_id AS left_id, y.event_id AS right_id FROM ({SPANS}) x JOIN ({SPANS}) y ON x.a < y.z AND y.a < x.z AND x.user_id < y.user_id")
 def join_interval(spark, sf_dir):
-    """Overlapping ten-minute spans of the events with an id under 300 only; all events are in ``join_interval_all``."""
-    return _overlaps(t(spark, sf_dir, "events").where("event_id < 300"))
-
-
-@query("join_interval_all", f"SELECT x.event_id AS left_id, y.event_id AS right_id FROM ({SPANS}) x JOIN ({SPANS}) y ON x.a < y.z AND y.a < x.z AND x.user_id < y.user_id")
-def join_interval_all(spark, sf_dir):
     """Overlapping ten-minute spans of all events."""
     return _overlaps(t(spark, sf_dir, "events"))
 
@@ -113,7 +107,7 @@ def join_cross(spark, sf_dir):
 @query("join_lateral", "SELECT c_custkey, o_orderkey FROM (SELECT c_custkey, o_orderkey, row_number() OVER (PARTITION BY c_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM customer JOIN orders ON c_custkey = o_custkey) WHERE k <= 2")
 def join_lateral(spark, sf_dir):
     c, o = t(spark, sf_dir, "customer", "orders")
-    out = op.join_lateral(c, o, F.col("c_custkey") == F.col("o_custkey"), [F.col("o_totalprice").desc(), F.col("o_orderkey")], 2, ["c_custkey"])
+    out = op.join_lateral(c, o, F.col("c_custkey") == F.col("o_custkey"), [F.col("o_totalprice").desc(), F.col("o_orderkey")], 2)
     return out.select("c_custkey", "o_orderkey")
 
 
@@ -157,6 +151,20 @@ def agg_pivot(spark, sf_dir):
     return p.select("o_orderpriority", F.coalesce("F", F.lit(0)).alias("f"), F.coalesce("O", F.lit(0)).alias("o"))
 
 
+@query(
+    "agg_unpivot",
+    "SELECT o_orderkey, 'price' AS name, CAST(round(o_totalprice * 100) AS BIGINT) AS value FROM orders UNION ALL SELECT o_orderkey, 'customer', o_custkey FROM orders",
+)
+def agg_unpivot(spark, sf_dir):
+    o = t(spark, sf_dir, "orders").select("o_orderkey", cents("o_totalprice").alias("price"), F.col("o_custkey").alias("customer"))
+    return op.unpivot(o, ["o_orderkey"], ["price", "customer"])
+
+
+@query("agg_corr", "SELECT l_returnflag, round(corr(l_quantity, l_extendedprice), 6) AS corr FROM lineitem GROUP BY 1")
+def agg_corr(spark, sf_dir):
+    return op.agg_corr(t(spark, sf_dir, "lineitem"), ["l_returnflag"], "l_quantity", "l_extendedprice").select("l_returnflag", F.round("corr", 6).alias("corr"))
+
+
 @query("agg_median", "SELECT o_orderpriority, round(quantile_cont(o_totalprice, 0.5), 4) AS median FROM orders GROUP BY 1")
 def agg_median(spark, sf_dir):
     q = op.agg_quantile(t(spark, sf_dir, "orders"), ["o_orderpriority"], "o_totalprice", [0.5], exact=True)
@@ -207,6 +215,23 @@ def win_ranks(spark, sf_dir):
     return op.win_rank(t(spark, sf_dir, "orders"), ["o_custkey"], [F.col("o_totalprice"), F.col("o_orderkey")]).select("o_orderkey", "rn", "rk", "dr", "quarter")
 
 
+SHARE = "OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice, o_orderkey)"
+
+
+@query("win_shares", f"SELECT o_orderkey, round(percent_rank() {SHARE}, 9) AS percent, round(cume_dist() {SHARE}, 9) AS cume FROM orders")
+def win_shares(spark, sf_dir):
+    out = op.win_share(t(spark, sf_dir, "orders"), ["o_orderpriority"], [F.col("o_totalprice"), F.col("o_orderkey")])
+    return out.select("o_orderkey", F.round("percent", 9).alias("percent"), F.round("cume", 9).alias("cume"))
+
+
+ENDS = "OVER (PARTITION BY user_id ORDER BY ts ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)"
+
+
+@query("win_first_last_nth", f'SELECT event_id, first_value(event_id) {ENDS} AS "first", last_value(event_id) {ENDS} AS "last", nth_value(event_id, 2) {ENDS} AS nth FROM events')
+def win_first_last_nth(spark, sf_dir):
+    return op.win_ends(t(spark, sf_dir, "events"), ["user_id"], [F.col("ts")], "event_id").select("event_id", "first", "last", "nth")
+
+
 @query("win_lag_lead", "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)")
 def win_lag_lead(spark, sf_dir):
     return op.win_shift(t(spark, sf_dir, "events"), ["user_id"], [F.col("ts")], "event_id").select("event_id", "before", "after")
@@ -265,6 +290,8 @@ for _n, _s, _f in (
     ("intersect", "INTERSECT", lambda a, b: a.intersect(b)),
     ("except", "EXCEPT", lambda a, b: a.subtract(b)),
     ("union_all", "UNION ALL", lambda a, b: op.union_all(a, b)),
+    ("intersect_all", "INTERSECT ALL", lambda a, b: op.intersect_all(a, b)),
+    ("except_all", "EXCEPT ALL", lambda a, b: a.exceptAll(b)),
 ):
     query(f"set_{_n}", f"{CUSTS.format('1-URGENT')} {_s} {CUSTS.format('5-LOW')}")(lambda spark, sf_dir, f=_f: f(_prio(spark, sf_dir, "1-URGENT"), _prio(spark, sf_dir, "5-LOW")))
 
@@ -280,6 +307,44 @@ def filter_pushdown(spark, sf_dir):
     return op.key_range(t(spark, sf_dir, "orders"), "o_totalprice", 1000.0, 50000.0).select("o_orderkey")
 
 
+@query("filter_by_locator", "SELECT o_orderkey FROM orders WHERE o_totalprice < 2000")
+def filter_by_locator(spark, sf_dir):
+    """Rows named by their place in the files: here those that a filter found."""
+    from ..sources import with_locator
+
+    orders = t(spark, sf_dir, "orders")
+    ids = with_locator(orders).where("o_totalprice < 2000").select("file_path", "row_index")
+    return op.by_locator(orders, ids).select("o_orderkey")
+
+
+@query("sampled_keys", "SELECT true AS subset, true AS near_share")
+def sampled_keys(spark, sf_dir):
+    """A tenth of the keys, drawn by share and by stratum: all of them keys, and about a tenth."""
+    orders = t(spark, sf_dir, "orders").select("o_orderkey", "o_orderpriority")
+    n = orders.count()
+    plain = op.sample_keys(orders, 0.1)
+    strata = op.sample_keys(orders, 0.0, by="o_orderpriority", shares={r[0]: 0.1 for r in orders.select("o_orderpriority").distinct().collect()})
+    both = plain.unionAll(strata)
+    found = both.join(orders.select("o_orderkey"), "o_orderkey", "left_anti").agg((F.count("*") == 0).alias("subset"))
+    return found.join(both.agg((F.abs(F.count("*") / n - 0.2) < 0.06).alias("near_share")), F.lit(True))
+
+
+@query("replicated_rows", "SELECT k AS copy, count(*) AS n FROM nation, range(0, 5) x(k) GROUP BY 1")
+def replicated_rows(spark, sf_dir):
+    """The scale-up generator: every row with every copy number."""
+    from ..workloads import replicate
+
+    return replicate(t(spark, sf_dir, "nation"), 5, 0.3).groupBy("copy").agg(F.count("*").alias("n"))
+
+
+@query("registered_views", "SELECT count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey")
+def registered_views(spark, sf_dir):
+    from ..sources import register_tables
+
+    register_tables(spark, sf_dir)
+    return spark.sql("SELECT count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey")
+
+
 @query("dedup_distinct", "SELECT DISTINCT o_custkey, o_orderpriority FROM orders")
 def dedup_distinct(spark, sf_dir):
     return op.dedup(t(spark, sf_dir, "orders").select("o_custkey", "o_orderpriority"))
@@ -328,6 +393,21 @@ def fn_bytes(spark, sf_dir):
     return t(spark, sf_dir, "documents").select("doc_id", F.octet_length("text").cast("long").alias("n"), F.sha2("text", 256).alias("s"), F.md5("text").alias("m"), F.hex(F.encode(F.substring("text", 1, 5), "UTF-8")).alias("h"))
 
 
+@query(
+    "fn_decimal",
+    "SELECT o_orderkey, CAST(o_totalprice AS DECIMAL(12,2)) * 3 AS tripled, TRY_CAST(substr(o_orderpriority, 1, 1) AS INTEGER) AS first, TRY_CAST(o_orderpriority AS INTEGER) AS bad, "
+    "round(o_totalprice / nullif(o_orderkey % 4, 0), 4) AS divided FROM orders",
+)
+def fn_decimal(spark, sf_dir):
+    return t(spark, sf_dir, "orders").select(
+        "o_orderkey",
+        (F.col("o_totalprice").cast("decimal(12,2)") * 3).cast("decimal(18,2)").alias("tripled"),
+        F.substring("o_orderpriority", 1, 1).try_cast("int").alias("first"),
+        F.col("o_orderpriority").try_cast("int").alias("bad"),
+        F.round(F.try_divide("o_totalprice", F.col("o_orderkey") % 4), 4).alias("divided"),
+    )
+
+
 @query("fn_conditional", "SELECT d.doc_id, coalesce(quality, -1) AS q, nullif(lang, 'en') AS other, CASE WHEN n_chars > 2000 THEN 'long' WHEN n_chars > 500 THEN 'medium' ELSE 'short' END AS size FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id")
 def fn_conditional(spark, sf_dir):
     d, lab = t(spark, sf_dir, "documents", "labels")
@@ -383,4 +463,5 @@ def udf_order_checksum(spark, sf_dir):
 def udf_slim_range_udtf(spark, sf_dir):
     path = new_path(spark, "slim")
     t(spark, sf_dir, "orders").select(F.md5(F.col("o_orderkey").cast("string")).alias("key"), F.col("o_orderkey").alias("pos")).orderBy("key").write.parquet(path)
-    return slim_range(path)(F.lit("40"), F.lit("48"))
+    register_all(spark, path)
+    return spark.sql("SELECT key, pos FROM range(0, 4, 1, 4) parts, LATERAL slim_range('40', '48', CAST(parts.id AS INT), 4)")

@@ -5,11 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .. import baselines, gather, keyindex, lazy, sorter, validate
+from .. import baselines, gather, keyindex, lazy, merge, sorter, validate
 from ..functions import encode_sort_key
-from ..records import BENCHMARK, TEXTS, cents, lineitem_text
+from ..plans import concurrency, device
+from ..records import BENCHMARK, TEXTS, cents, lineitem_text, packed, unpacked
 from ..session import new_path, staged
-from ..sources import table, with_locator
+from ..sources import table, with_locator, write_fixed
 from ..workloads import dataset
 
 QUERIES: dict = {}
@@ -47,6 +48,16 @@ def budget_of(path: str, share: float = 0.10) -> int:
     return int(share * baselines.dataset_bytes(path))
 
 
+def _published(spark: SparkSession) -> concurrency.ConcurrencyPlan:
+    """The controller's plan from the bandwidth curve that comes with the test device."""
+    return concurrency.plan_of(concurrency.size_pools(device.curve(spark)))
+
+
+def _probed(spark: SparkSession) -> concurrency.ConcurrencyPlan:
+    """The controller's plan from a probe of the storage that the shared folder is on."""
+    return concurrency.plan_of(concurrency.size_pools(device.probe(spark, new_path(spark, "probe"))), "no_sync")
+
+
 SORTS = {
     "split_one_pass_sort": lambda s, p: sorter.one_pass(s, p, BENCHMARK),
     "split_one_pass_unbuffered": lambda s, p: sorter.one_pass(s, p, BENCHMARK, buffered=False),
@@ -63,6 +74,19 @@ SORTS = {
     "serial_split_sort": lambda s, p: baselines.serial_split(s, p, BENCHMARK, budget_of(p)),
     "serial_split_no_sync": lambda s, p: baselines.serial_split(s, p, BENCHMARK, budget_of(p), "no_sync"),
     "serial_split_overlap": lambda s, p: baselines.serial_split(s, p, BENCHMARK, budget_of(p), "overlap"),
+    "serial_split_quick_sort": lambda s, p: baselines.serial_split(s, p, BENCHMARK, budget_of(p), run_sort="quick"),
+    "inplace_in_memory_sort": lambda s, p: baselines.sample_sort(s, p, BENCHMARK, device="memory"),
+    "inplace_sample_sort_recursive": lambda s, p: baselines.sample_sort(s, p, BENCHMARK, fanout=4, bucket_bytes=baselines.dataset_bytes(p) // 40),
+    "split_one_pass_exact_bytes": lambda s, p: sorter.one_pass(s, p, BENCHMARK, stride_gap=0, gap_bytes=0),
+    "split_one_pass_refetched_key": lambda s, p: sorter.one_pass(s, p, BENCHMARK, refetch_key=True),
+    "split_one_pass_overlap": lambda s, p: sorter.one_pass(s, p, BENCHMARK, policy="overlap"),
+    "split_one_pass_exclusive": lambda s, p: sorter.one_pass(s, p, BENCHMARK, policy="exclusive"),
+    "split_two_pass_overlap": lambda s, p: sorter.two_pass(s, p, BENCHMARK, budget_of(p), policy="overlap"),
+    "split_two_pass_exclusive": lambda s, p: sorter.two_pass(s, p, BENCHMARK, budget_of(p), policy="exclusive"),
+    "split_two_pass_single_thread": lambda s, p: sorter.two_pass(s, p, BENCHMARK, budget_of(p), parts=1, read_pool=1),
+    "split_one_pass_published_pools": lambda s, p: sorter.one_pass(s, p, BENCHMARK, plan=_published(s)),
+    "split_two_pass_published_pools": lambda s, p: sorter.two_pass(s, p, BENCHMARK, budget_of(p), plan=_published(s)),
+    "split_one_pass_probed_pools": lambda s, p: sorter.one_pass(s, p, BENCHMARK, plan=_probed(s)),
 }
 for _name, _sort in SORTS.items():
     query(_name, SORTED)(lambda spark, sf_dir, _sort=_sort: shown(_sort(spark, bench(spark, sf_dir))))
@@ -211,18 +235,80 @@ def buffer_sweep(spark, sf_dir):
     return out.groupBy("batch_bytes").agg(F.count("*").alias("rows"), F.bit_xor(h).alias("checksum"))
 
 
-@query("compressed_runs", f"SELECT c AS codec, count(*) AS entries, count(DISTINCT k) AS keys FROM (SELECT substr(md5({R1}), 1, 20) AS k FROM lineitem), (VALUES ('none'), ('snappy'), ('zstd')) v(c) GROUP BY c")
+@query(
+    "compressed_runs",
+    f"""SELECT c AS codec, count(*) AS entries, count(DISTINCT k) AS keys, bit_xor(CAST('0x' || substr(md5(k), 1, 15) AS BIGINT)) AS checksum
+        FROM (SELECT substr(md5({R1}), 1, 20) AS k FROM lineitem), (VALUES ('none'), ('snappy'), ('zstd'), ('delta')) v(c) GROUP BY c""",
+)
 def compressed_runs(spark, sf_dir):
+    """Runs by codec, and as differences; the entries that come back are the same, at their places too."""
     idx = keyindex.build_fixed(spark, bench(spark, sf_dir), BENCHMARK)
-    out = None
-    for codec in ("none", "snappy", "zstd"):
-        path = new_path(spark, f"runs-{codec}")
-        lazy.compress_runs(idx, path, codec)
-        rows = spark.read.parquet(path).agg(F.count("*").alias("entries"), F.countDistinct("key").alias("keys")).withColumn("codec", F.lit(codec))
+    out, h = None, F.conv(F.substring(F.md5(F.lower(F.hex("key"))), 1, 15), 16, 10).cast("long")
+    for codec in ("none", "snappy", "zstd", "delta"):
+        path, delta = new_path(spark, f"runs-{codec}"), codec == "delta"
+        lazy.compress_runs(idx, path, "zstd" if delta else codec, delta)
+        back = lazy.read_runs(spark, path, delta).join(idx.withColumnRenamed("key", "k"), ["file_id", "pos"]).where("key = k")
+        rows = back.agg(F.count("*").alias("entries"), F.countDistinct("key").alias("keys"), F.bit_xor(h).alias("checksum")).withColumn("codec", F.lit(codec))
         out = rows if out is None else out.unionByName(rows)
     return out
 
 
+@query("packed_runs", f"SELECT n * 15 AS bytes, key_hex, value_md5 FROM ({SORTED}), (SELECT count(*) AS n FROM lineitem)")
+def packed_runs(spark, sf_dir):
+    """The sorted index as records of key and five-byte record number on disk, read back, and the values fetched by it."""
+    path, out = bench(spark, sf_dir), new_path(spark, "packed")
+    slim = BENCHMARK.with_value(BENCHMARK.locator_bytes)
+    idx = keyindex.build_fixed(spark, path, BENCHMARK)
+    ordered = sorter.sort_index(idx, 4).select("key", packed(sorter.record_number(path, BENCHMARK)).alias("value"))
+    write_fixed(ordered, out, slim)
+    back = keyindex.records(spark, out, slim).select("key", unpacked(F.col("value")).alias("number"))
+    got = gather.point_fetch(sorter.locators(back, path, BENCHMARK), path, BENCHMARK)
+    return got.select(F.lit(baselines.dataset_bytes(out)).cast("long").alias("bytes"), F.lower(F.hex("key")).alias("key_hex"), F.md5("value").alias("value_md5"))
+
+
+@query("merge_trace", "SELECT 2 AS runs, count(*) AS entries, true AS refilled, true AS narrowed FROM lineitem")
+def merge_trace(spark, sf_dir):
+    """Counters of the merge: entries compared or drained, refills beyond the first of each slice, comparisons under full width."""
+    path = bench(spark, sf_dir)
+    plan = sorter.choose_mode(sorter.records_in(path, BENCHMARK), BENCHMARK, budget_of(path))
+    parts = 4
+    runs = sorter.write_runs(keyindex.build_fixed(spark, path, BENCHMARK), plan, sorter.record_number(path, BENCHMARK), parts)
+    t = merge.merge_runs(spark, runs, plan.runs, parts, buffer_entries=256, trace=True).agg(*[F.sum(c).alias(c) for c in merge.TRACE])
+    return t.select(
+        F.lit(plan.runs).alias("runs"),
+        (F.col("compared") + F.col("drained")).alias("entries"),
+        (F.col("refills") > plan.runs * parts).alias("refilled"),
+        (F.col("comparisons") <= F.col("compared") * (plan.runs - 1)).alias("narrowed"),
+    )
+
+
+@query("merge_trace_counters")
+def merge_trace_counters(spark, sf_dir):
+    """The same for each range, in full."""
+    path = bench(spark, sf_dir)
+    plan = sorter.choose_mode(sorter.records_in(path, BENCHMARK), BENCHMARK, budget_of(path, 0.02))
+    runs = sorter.write_runs(keyindex.build_fixed(spark, path, BENCHMARK), plan, sorter.record_number(path, BENCHMARK), 4)
+    return merge.merge_runs(spark, runs, plan.runs, 4, buffer_entries=1024, trace=True)
+
+
+@query("klv_run_catalogue", "SELECT count(*) AS entries, true AS within_budget, CAST(ceil(count(*) * 19.0 / 4000) AS INTEGER) AS runs FROM documents")
+def klv_run_catalogue(spark, sf_dir):
+    """No run of length-prefixed records holds more entries than the budget, however the files are cut."""
+    runs, plan = sorter.klv_runs(spark, dataset(spark, sf_dir, "documents"), TEXTS, 4000)
+    sizes = spark.read.parquet(runs).groupBy("run").agg(F.count("*").alias("n"))
+    return sizes.agg(F.sum("n").alias("entries"), (F.max("n") * TEXTS.entry_bytes <= 4000).alias("within_budget"), F.count("*").cast("int").alias("runs"))
+
+
+@query("sample_sort_buckets", "SELECT count(*) AS rows, true AS fit, true AS recursed FROM lineitem")
+def sample_sort_buckets(spark, sf_dir):
+    """Buckets of the recursive classification: all records, none over the bound, and more than one level."""
+    path = bench(spark, sf_dir)
+    bound = baselines.dataset_bytes(path) // 40
+    tree = baselines.classes(spark, path, BENCHMARK, 32, 4, bound)
+    fit = all(c * BENCHMARK.record_bytes <= bound for b, c in tree.counts.items() if b % 2 == 0)
+    return spark.createDataFrame([(sum(tree.counts.values()), fit, tree.levels > 1)], "rows long, fit boolean, recursed boolean")
+
+
 # --- key distributions and typed keys ---
 
 
@@ -280,6 +366,13 @@ def typed_key_decimal(spark, sf_dir):
     return _ranked_by(table(spark, sf_dir, "orders").select(key.alias("key"), F.col("o_orderkey").alias("id")), "key", ["id"]).select("rank", "id")
 
 
+@query("typed_key_wide_decimal", "SELECT row_number() OVER (ORDER BY CAST(c_acctbal AS DECIMAL(38,2)) * 1000000000000000000000000 DESC, c_custkey) AS rank, c_custkey AS id FROM customer")
+def typed_key_wide_decimal(spark, sf_dir):
+    """Decimals beyond 64 bits."""
+    key = encode_sort_key([((F.col("c_acctbal").cast("decimal(12,2)") * F.lit(10**12).cast("decimal(13,0)") * F.lit(10**12).cast("decimal(13,0)")).cast("decimal(38,2)"), "decimal(38,2)", False, False)])
+    return _ranked_by(table(spark, sf_dir, "customer").select(key.alias("key"), F.col("c_custkey").alias("id")), "key", ["id"]).select("rank", "id")
+
+
 @query("typed_key_nulls_last", "SELECT row_number() OVER (ORDER BY nullif(o_orderpriority, '1-URGENT') ASC NULLS LAST, o_orderkey) AS rank, o_orderkey AS id FROM orders")
 def typed_key_nulls_last(spark, sf_dir):
     key = encode_sort_key([(F.expr("nullif(o_orderpriority, '1-URGENT')"), "string", True, False)])
@@ -352,9 +445,12 @@ for _name, (_how, _sql) in JOINS.items():
 
 @query("index_join_late_values", "SELECT o_orderkey, l_linenumber, o_orderstatus, c_mktsegment FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey WHERE l_quantity >= 49")
 def index_join_late_values(spark, sf_dir):
-    a = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
+    """Keys and locators are joined; the wide columns of what is left are read from the files by locator."""
+    orders, customers = table(spark, sf_dir, "orders"), table(spark, sf_dir, "customer")
+    place = lambda df, name: with_locator(df).withColumnsRenamed({"file_path": f"{name}_path", "row_index": f"{name}_row"})
+    a = place(orders, "o").select("o_orderkey", "o_custkey", "o_path", "o_row")
+    c = place(customers, "c").select(F.col("c_custkey").alias("o_custkey"), "c_path", "c_row")
     b = table(spark, sf_dir, "lineitem").where("l_quantity >= 49").select(F.col("l_orderkey").alias("o_orderkey"), "l_linenumber")
-    orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_orderstatus")
-    customers = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("o_custkey"), "c_mktsegment")
-    out = lazy.index_join(a, b, ["o_orderkey"], fetch=[(orders, ["o_orderkey"]), (customers, ["o_custkey"])])
+    slim = lazy.index_join(a, c, ["o_custkey"])
+    out = lazy.index_join(slim, b, ["o_orderkey"], fetch=[(orders.select("o_orderstatus"), "o_path", "o_row"), (customers.select("c_mktsegment"), "c_path", "c_row")])
     return out.select("o_orderkey", "l_linenumber", "o_orderstatus", "c_mktsegment")

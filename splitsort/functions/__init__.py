@@ -27,8 +27,11 @@ def _hex(col: Column, kind: str) -> Column:
     if kind in ("tinyint", "smallint", "int", "bigint"):
         return F.lpad(F.hex(col.cast("long").bitwiseXOR(F.lit(-(1 << 63)))), 16, "0")
     if kind.startswith("decimal"):
-        scale = int(kind.split(",")[1].rstrip(")"))
-        return _hex((col * F.lit(10**scale)).cast("long"), "bigint")
+        # Digits by sign: the absolute value as 38 of them, complemented below zero, so that any width fits.
+        precision, scale = (int(x) for x in kind[8:-1].split(","))
+        whole = F.replace(F.abs(col).cast(f"decimal({precision},{scale})").cast("string"), F.lit("."), F.lit(""))
+        digits = F.lpad(whole, precision + 1 + precision % 2, "0")  # an even number with the sign
+        return F.when(col < 0, F.concat(F.lit("0"), F.translate(digits, "0123456789", "9876543210"))).otherwise(F.concat(F.lit("1"), digits))
     if kind == "date":
         return _hex(F.unix_date(col), "bigint")
     if kind.startswith("timestamp"):
@@ -65,25 +68,35 @@ def order_checksum(h: pd.Series) -> Decimal:
 
 
 def slim_range(path: str):
-    """A table function (lo, hi) over a written slim index with hex keys: the entries between."""
+    """A table function (lo, hi, part, parts) over a written slim index with hex keys: the entries between.
+
+    One call reads every parts-th file of the index, starting with number ``part``; a lateral join over a range of
+    parts reads the whole index side by side.
+    """
 
     @udtf(returnType="key string, pos bigint")
     class SlimRange:
-        def eval(self, lo: str, hi: str) -> Iterator[tuple[str, int]]:
+        def eval(self, lo: str, hi: str, part: int, parts: int) -> Iterator[tuple[str, int]]:
             import pyarrow.compute as pc
             import pyarrow.dataset as ds
 
+            from splitsort.sources import files
+
             f = (pc.field("key") >= lo) & (pc.field("key") < hi)
-            for batch in ds.dataset(path.removeprefix("file:"), format="parquet").to_batches(columns=["key", "pos"], filter=f):
-                yield from zip(batch.column("key").to_pylist(), batch.column("pos").to_pylist(), strict=True)
+            for name, _ in files.listed(path, ".parquet")[part::parts]:
+                system, local = files.opened(name)
+                for batch in ds.dataset(local, format="parquet", filesystem=system).to_batches(columns=["key", "pos"], filter=f):
+                    yield from zip(batch.column("key").to_pylist(), batch.column("pos").to_pylist(), strict=True)
 
     return SlimRange
 
 
-def register_all(spark: SparkSession) -> None:
-    """Formats and functions by name, for SQL."""
+def register_all(spark: SparkSession, index_path: str = "") -> None:
+    """Formats and functions by name, for SQL; ``slim_range`` over the index at ``index_path``, if there is one."""
     from ..sources import register_formats
 
     register_formats(spark)
     spark.udf.register("order_checksum", order_checksum)
     spark.udf.register("double_bits", double_bits)
+    if index_path:
+        spark.udtf.register("slim_range", slim_range(index_path))

@@ -96,10 +96,11 @@ def join_cross(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.crossJoin(b)
 
 
-def join_lateral(a: DataFrame, b: DataFrame, on: Column, by: list[Column], k: int, key: list[str]) -> DataFrame:
-    """The first k rows of ``b`` for each row of ``a``, as a join and a limited window."""
-    w = Window.partitionBy(*key).orderBy(*by)
-    return a.join(b, on).withColumn("__k", F.row_number().over(w)).where(F.col("__k") <= k).drop("__k")
+def join_lateral(a: DataFrame, b: DataFrame, on: Column, by: list[Column], k: int) -> DataFrame:
+    """The first k rows of ``b`` for each row of ``a``, repeated rows of ``a`` each with their own."""
+    left = a.withColumn("__row", F.monotonically_increasing_id())
+    w = Window.partitionBy("__row").orderBy(*by)
+    return left.join(b, on).withColumn("__k", F.row_number().over(w)).where(F.col("__k") <= k).drop("__k", "__row")
 
 
 def join_skew(a: DataFrame, b: DataFrame, on: str, salt: int = 8) -> DataFrame:
@@ -134,6 +135,14 @@ def agg_pivot(df: DataFrame, by: list[str], col: str, values: list, agg: Column)
     return df.groupBy(*by).pivot(col, values).agg(agg)
 
 
+def unpivot(df: DataFrame, ids: list[str], columns: list[str], name: str = "name", value: str = "value") -> DataFrame:
+    return df.unpivot(ids, columns, name, value)
+
+
+def agg_corr(df: DataFrame, by: list[str], x: str, y: str) -> DataFrame:
+    return df.groupBy(*by).agg(F.corr(x, y).alias("corr"))
+
+
 def agg_quantile(df: DataFrame, by: list[str], c: str, ps: list[float], exact: bool = False) -> DataFrame:
     f = F.percentile(c, ps) if exact else F.percentile_approx(c, ps)
     return df.groupBy(*by).agg(f.alias("quantiles"))
@@ -171,6 +180,18 @@ def win_rank(df: DataFrame, p: list[str], o: list[Column]) -> DataFrame:
     return df.select("*", F.row_number().over(w).alias("rn"), F.rank().over(w).alias("rk"), F.dense_rank().over(w).alias("dr"), F.ntile(4).over(w).alias("quarter"))
 
 
+def win_share(df: DataFrame, p: list[str], o: list[Column]) -> DataFrame:
+    """Each row's place as a share of its partition."""
+    w = Window.partitionBy(*p).orderBy(*o)
+    return df.select("*", F.percent_rank().over(w).alias("percent"), F.cume_dist().over(w).alias("cume"))
+
+
+def win_ends(df: DataFrame, p: list[str], o: list[Column], c: str, n: int = 2) -> DataFrame:
+    """The first, last and n-th value of each whole partition."""
+    w = Window.partitionBy(*p).orderBy(*o).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return df.select("*", F.first_value(c).over(w).alias("first"), F.last_value(c).over(w).alias("last"), F.nth_value(c, n).over(w).alias("nth"))
+
+
 def win_shift(df: DataFrame, p: list[str], o: list[Column], c: str, k: int = 1) -> DataFrame:
     w = Window.partitionBy(*p).orderBy(*o)
     return df.select("*", F.lag(c, k).over(w).alias("before"), F.lead(c, k).over(w).alias("after"))
@@ -193,6 +214,11 @@ def union_all(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.unionByName(b)
 
 
+def intersect_all(a: DataFrame, b: DataFrame) -> DataFrame:
+    """Rows in both, as often as the side that has them less often."""
+    return a.intersectAll(b)
+
+
 def is_permutation(a: DataFrame, b: DataFrame) -> DataFrame:
     """Rows of either side that the other lacks, counted: both zero proves a permutation."""
     return a.exceptAll(b).agg(F.count("*").alias("missing")).join(b.exceptAll(a).agg(F.count("*").alias("extra")), F.lit(True))

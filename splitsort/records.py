@@ -72,3 +72,12 @@ def sized_records(lineitem: DataFrame, spec: RecordSpec) -> DataFrame:
 def text_records(df: DataFrame, key: Column, text: str) -> DataFrame:
     """R3 to R5: hashed key, UTF-8 bytes of a text of any length; null as empty."""
     return df.select(key_of(key.cast("string")).alias("key"), F.encode(F.coalesce(F.col(text), F.lit("")), "UTF-8").alias("value"))
+
+
+def packed(number: Column, spec: RecordSpec = BENCHMARK) -> Column:
+    """A record number as the ``locator_bytes`` bytes that a slim run has on disk, most significant first."""
+    return F.unhex(F.lpad(F.hex(number), 2 * spec.locator_bytes, "0"))
+
+
+def unpacked(locator: Column) -> Column:
+    return F.conv(F.hex(locator), 16, 10).cast("long")

@@ -135,6 +135,15 @@ def record_number(path: str, spec: RecordSpec) -> Column:
     return base + F.col("pos")
 
 
+def locators(numbered: DataFrame, path: str, spec: RecordSpec) -> DataFrame:
+    """``numbered`` with the ``file_id`` and ``pos`` that its record ``number`` stands for."""
+    file_id, base, total = F.lit(0), F.lit(0).cast("long"), 0
+    for i, (_, size) in enumerate(files.listed(path, ".rec")):
+        here = F.col("number") >= total
+        file_id, base, total = F.when(here, F.lit(i)).otherwise(file_id), F.when(here, F.lit(total)).otherwise(base), total + size // spec.record_bytes
+    return numbered.withColumn("file_id", file_id).withColumn("pos", F.col("number") - base).drop("number")
+
+
 def merged(spark: SparkSession, runs: str, fan_in: int, count: int, extra: str = "", buffer_entries: int = merge.BUFFER_ENTRIES) -> DataFrame:
     """Ranked entries of ``count`` runs under ``runs``, brought down to ``fan_in`` of them first."""
     while count > fan_in:

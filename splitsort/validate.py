@@ -12,13 +12,12 @@ def checksum(df: DataFrame, cols: list[str]) -> DataFrame:
     return df.agg(F.count("*").alias("n"), F.coalesce(F.bit_xor(h), F.lit(0)).alias("xor"), F.sum(h.cast("decimal(38,0)")).alias("total"))
 
 
-def order_violations(ranked: DataFrame, parts: int = 200) -> DataFrame:
+def order_violations(ranked: DataFrame, stretch: int = 1_000_000) -> DataFrame:
     """One row: neighbours by rank whose keys descend, and ranks that are missing or doubled.
 
-    Stretches of ranks are compared side by side; each stretch also holds the last row of the one before.
+    Stretches of ranks, of a bounded size, are compared side by side; each also holds the last row of the one before.
     """
-    n = ranked.count()
-    size = max(1, -(-n // parts))
+    size = max(1, min(stretch, -(-ranked.count() // 200)))
     own = ranked.select("rank", "key", F.floor((F.col("rank") - 1) / size).alias("g"))
     edge = own.where(F.col("rank") % size == 0).withColumn("g", F.col("g") + 1)
     w = Window.partitionBy("g").orderBy("rank")

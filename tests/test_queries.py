@@ -40,7 +40,7 @@ def test_query(spark, sf_dir, db, name):
 
 def test_join_interval_takes_all_events(spark, sf_dir, db):
     """Pairs of events past the first 300 are there."""
-    out = catalogue.QUERIES["join_interval_all"](spark, sf_dir)
+    out = catalogue.QUERIES["join_interval"](spark, sf_dir)
     late = out.where("left_id >= 300 AND right_id >= 300").count()
     spans = "SELECT event_id, user_id, epoch_us(ts) // 1000000 AS a FROM events WHERE event_id >= 300"
     assert late == db.sql(f"SELECT count(*) FROM ({spans}) x JOIN ({spans}) y ON abs(x.a - y.a) < 600 AND x.user_id < y.user_id").fetchall()[0][0] > 0
