@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from .. import baselines, gather, keyindex, merge, sorter
+from .. import baselines, merge, sorter
 from ..plans import concurrency, cost, device, measures
 from ..records import BENCHMARK
 from ..sources import table
@@ -97,25 +97,6 @@ def distinct_lines_touched(spark, sf_dir):
     return rows.groupBy("line").agg(F.countDistinct(F.floor(F.col("at") / F.col("line"))).alias("first_lines"), F.sum(touched).alias("touches"))
 
 
-@query(
-    "strided_vs_sequential",
-    "SELECT a AS op, n AS records, CASE a WHEN 'run_read_strided' THEN n * 10 ELSE n * 100 END AS bytes_needed FROM (SELECT count(*) AS n FROM lineitem), (VALUES ('run_read_strided'), ('run_read_sequential')) v(a)",
-)
-def strided_vs_sequential(spark, sf_dir):
-    """Counted by the readers themselves."""
-    path = dataset(spark, sf_dir, "benchmark")
-    both = keyindex.counters(spark, path, BENCHMARK, "strided").unionAll(keyindex.counters(spark, path, BENCHMARK, "sequential"))
-    return both.groupBy("op").agg(F.sum("records").alias("records"), F.sum("bytes_needed").alias("bytes_needed"))
-
-
-@query("record_read_counters", "SELECT 'record_read' AS op, count(*) AS records, count(*) * 90 AS bytes_needed FROM lineitem")
-def record_read_counters(spark, sf_dir):
-    path = dataset(spark, sf_dir, "benchmark")
-    ranked = sorter.with_global_rank(sorter.sort_index(keyindex.build_fixed(spark, path, BENCHMARK)))
-    got = gather.point_fetch(ranked, path, BENCHMARK, counters=True)
-    return got.groupBy("op").agg(F.sum("records").alias("records"), F.sum("bytes_needed").alias("bytes_needed"))
-
-
 @query(
     "mode_choice_sweep",
     "SELECT f AS percent, CAST(n * f // 100 AS BIGINT) AS records, CASE WHEN (n * f // 100) * 15 <= n * 10 THEN 'one_pass' ELSE 'two_pass' END AS mode, "
@@ -184,7 +165,7 @@ def pool_sizing(spark, sf_dir):
 def device_probe(spark, sf_dir):
     from ..session import new_path
 
-    return device.probe(spark, new_path(spark, "probe").removeprefix("file:"))
+    return device.probe(spark, new_path(spark, "probe"))
 
 
 # --- the model: nanoseconds a record, in SQL of its own ---
@@ -220,17 +201,70 @@ POLICY_SQL = {
 }
 
 
+#: Kind and modelled nanoseconds of each operation, in the order of issue.
+STAGES_SQL = f"""(SELECT system, op, seq, kind, CASE cost WHEN 'strided' THEN strided WHEN 'value' THEN value WHEN 'put' THEN put WHEN 'put_slim' THEN put_slim WHEN 'slim' THEN slim ELSE load END AS ns
+    FROM {MODEL}, (VALUES ('one_pass', 'run_read', 0, 'read', 'strided'), ('one_pass', 'record_read', 3, 'read', 'value'), ('one_pass', 'run_write', 4, 'write', 'put'),
+        ('two_pass', 'run_read', 0, 'read', 'strided'), ('two_pass', 'run_write', 1, 'write', 'put_slim'), ('two_pass', 'merge_read', 2, 'slim', 'slim'),
+        ('two_pass', 'record_read', 3, 'read', 'value'), ('two_pass', 'merge_write', 4, 'write', 'put'),
+        ('serial_split', 'run_read', 0, 'read', 'load'), ('serial_split', 'run_write', 1, 'write', 'put_slim'), ('serial_split', 'merge_read', 2, 'slim', 'slim'),
+        ('serial_split', 'record_read', 3, 'read', 'value'), ('serial_split', 'merge_write', 4, 'write', 'put')) o(system, op, seq, kind, cost) WHERE v = 90)"""
+
+
 def policy_sql(policy: str) -> str:
-    r, w, s = POLICY_SQL[policy]
-    return f"""SELECT s AS system, '{policy}' AS policy, round(CASE s WHEN 'two_pass' THEN {r} * (strided + value) + {s} * slim + {w} * (put + put_slim)
-        WHEN 'one_pass' THEN {r} * (strided + value) + {w} * put ELSE {r} * (load + value) + {s} * slim + {w} * (put + put_slim) END, 4) AS ns
-        FROM {MODEL}, (VALUES ('one_pass'), ('two_pass'), ('serial_split')) y(s) WHERE v = 90"""
+    r, w, m = POLICY_SQL[policy]
+    return f"""WITH o AS (SELECT system, op, seq, ns * CASE kind WHEN 'write' THEN {w} WHEN 'slim' THEN {m} ELSE {r} END AS ns FROM {STAGES_SQL})
+        SELECT system, op, round(sum(ns) OVER w - ns, 4) AS start_ns, round(sum(ns) OVER w, 4) AS end_ns FROM o WINDOW w AS (PARTITION BY system ORDER BY seq)"""
+
+
+def _in_order(o):
+    """R8b's operations with the order in which a system issues them."""
+    turn = {"run_read": 0, "run_write": 1, "merge_read": 2, "record_read": 3, "merge_write": 4}
+    seq = F.lit(0)
+    for op, k in turn.items():
+        seq = F.when(F.col("op") == op, k).otherwise(seq)
+    return o.withColumn("seq", F.when((F.col("system") == "one_pass") & (F.col("op") == "run_write"), 4).otherwise(seq))
+
+
+def _schedule(spark, sf_dir, policy):
+    """When each operation of a system starts and ends, in nanoseconds a record."""
+    p = device.PROFILES["test_device"]
+    o = cost.ops(spark, 1, BENCHMARK, p).where(F.col("system").isin("one_pass", "two_pass", "serial_split"))
+    t = concurrency.schedule(_in_order(o).withColumn("seconds", F.col("ns")), policy, p)
+    return t.select("system", "op", F.round("start_s", 4).alias("start_ns"), F.round("end_s", 4).alias("end_ns"))
 
 
 for _policy in POLICY_SQL:
-    query(f"schedule_{_policy}", policy_sql(_policy))(
-        lambda spark, sf_dir, policy=_policy: _model(spark, sf_dir, 90, ("one_pass", "two_pass", "serial_split"), policy).withColumn("ns", F.round("ns", 4))
-    )
+    query(f"schedule_{_policy}", policy_sql(_policy))(lambda spark, sf_dir, policy=_policy: _schedule(spark, sf_dir, policy))
+
+
+@query(
+    "schedule_duplex",
+    """WITH o AS (SELECT system, seq, kind, ns * CASE kind WHEN 'write' THEN 1.6 WHEN 'slim' THEN 1.0 ELSE 2.0 END AS ns FROM @STAGES),
+        h AS (SELECT *, CASE WHEN kind = 'write' AND lag(kind) OVER w <> 'write' THEN least(ns, lag(ns) OVER w) ELSE 0 END AS hidden FROM o WINDOW w AS (PARTITION BY system ORDER BY seq))
+        SELECT system, round(sum(ns - hidden), 4) AS ns FROM h GROUP BY 1""".replace("@STAGES", STAGES_SQL),
+)
+def schedule_duplex(spark, sf_dir):
+    """The rejected reading, for comparison: overlapped writes hide behind the read before them."""
+    p = device.PROFILES["test_device"]
+    o = cost.ops(spark, 1, BENCHMARK, p).where(F.col("system").isin("one_pass", "two_pass", "serial_split"))
+    t = concurrency.schedule(_in_order(o).withColumn("seconds", F.col("ns")), "overlap", p, duplex=True)
+    return t.groupBy("system").agg(F.round(F.max("end_s"), 4).alias("ns"))
+
+
+@query(
+    "device_overlap",
+    f"""SELECT d AS profile, s AS system, round(CAST(CASE WHEN d <> 'test_device' THEN 1 WHEN s = 'one_pass' THEN (2 * (strided + value) + 1.6 * put) / (strided + value + put)
+        ELSE (2 * (strided + value) + slim + 1.6 * (put + put_slim)) / (strided + value + slim + put + put_slim) END AS DOUBLE), 6) AS ratio
+        FROM {MODEL}, (VALUES ('test_device'), ('slow_random'), ('symmetric'), ('slow_write')) x(d), (VALUES ('one_pass'), ('two_pass')) y(s) WHERE v = 90""",
+)
+def device_overlap(spark, sf_dir):
+    """Overlapped against exclusive modelled time: alike where reads and writes don't disturb each other."""
+    out = None
+    for name in device.PROFILES:
+        a, b = (_model(spark, sf_dir, 90, ("one_pass", "two_pass"), policy, name).select("system", F.col("ns").alias(policy)) for policy in ("overlap", "exclusive"))
+        one = a.join(b, "system").select(F.lit(name).alias("profile"), "system", F.round(F.col("overlap") / F.col("exclusive"), 6).alias("ratio"))
+        out = one if out is None else out.unionAll(one)
+    return out
 
 
 @query(
@@ -320,15 +354,15 @@ def advise_plan(spark, sf_dir):
 
 
 def _timed(spark, sf_dir):
-    """Operations of wide and one_pass with their order and modelled seconds."""
+    """Operations of wide, one_pass and two_pass with their order and modelled seconds."""
     n = count(spark, sf_dir)
-    o = cost.ops(spark, n, BENCHMARK, device.PROFILES["test_device"]).where(F.col("system").isin("wide", "one_pass"))
-    seq = F.when(F.col("op") == "run_read", 0).when(F.col("op") == "record_read", 1).when(F.col("op") == "run_write", 2).when(F.col("op") == "merge_read", 3).otherwise(4)
-    return o.withColumn("seq", seq).withColumn("seconds", F.col("ns") * n / 1e9)
+    o = cost.ops(spark, n, BENCHMARK, device.PROFILES["test_device"]).where(F.col("system").isin("wide", "one_pass", "two_pass"))
+    return _in_order(o).withColumn("seconds", F.col("ns") * n / 1e9)
 
 
-OPS_SQL = """(SELECT * FROM (VALUES ('wide', 'run_read', 0, 100.0, 100 / 22.2), ('wide', 'run_write', 2, 100.0, 40.0), ('wide', 'merge_read', 3, 100.0, 100 / 22.2), ('wide', 'merge_write', 4, 100.0, 40.0),
-    ('one_pass', 'run_read', 0, 10.0, 100 / 22.2), ('one_pass', 'record_read', 1, 90.0, 5.0), ('one_pass', 'run_write', 2, 100.0, 40.0)) v(system, op, seq, b, ns))"""
+OPS_SQL = """(SELECT * FROM (VALUES ('wide', 'run_read', 0, 100.0, 100 / 22.2), ('wide', 'run_write', 1, 100.0, 40.0), ('wide', 'merge_read', 2, 100.0, 100 / 22.2), ('wide', 'merge_write', 4, 100.0, 40.0),
+    ('one_pass', 'run_read', 0, 10.0, 100 / 22.2), ('one_pass', 'record_read', 3, 90.0, 5.0), ('one_pass', 'run_write', 4, 100.0, 40.0),
+    ('two_pass', 'run_read', 0, 10.0, 100 / 22.2), ('two_pass', 'run_write', 1, 15.0, 6.0), ('two_pass', 'merge_read', 2, 15.0, 15 / 22.2), ('two_pass', 'record_read', 3, 90.0, 5.0), ('two_pass', 'merge_write', 4, 100.0, 40.0)) v(system, op, seq, b, ns))"""
 
 
 @query("stage_shares", f"SELECT system, op, round(ns / sum(ns) OVER (PARTITION BY system), 6) AS share FROM {OPS_SQL}")

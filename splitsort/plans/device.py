@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import os
 import time
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -88,7 +89,7 @@ def probe(spark: SparkSession, path: str, sizes: tuple[int, ...] = (4096, 65536)
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for op, size, n in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                name = f"{path}/probe-{os.getpid()}-{op}-{size}-{n}"
+                name = f"{path}/probe-{uuid.uuid4().hex}-{op}-{size}-{n}"
                 blocks = max(1, total // size)
                 began = time.perf_counter()
                 files.write_bytes(name, [os.urandom(size)] * blocks)

@@ -11,7 +11,7 @@ from . import gather, keyindex, merge
 from .plans.concurrency import ConcurrencyPlan
 from .records import RecordSpec
 from .session import new_path, staged
-from .sources import files
+from .sources import files, write_fixed
 
 #: Slim bytes that one sorted partition should hold, entries under which another task isn't worth it, bytes for one task alone.
 PARTITION_BYTES, LEAST_ENTRIES, SINGLE_BYTES = 64 << 20, 10_000, 1 << 30
@@ -104,6 +104,15 @@ def one_pass(
     return got.select("rank", "key", "value")
 
 
+def write_sorted_records(spark: SparkSession, path: str, spec: RecordSpec, out: str) -> None:
+    """One-pass sort into record files whose order is that of the ranks: the slim index is dealt by rank, values go from file to file."""
+    n = records_in(path, spec)
+    parts = partitions_for(spark, n, spec)
+    ranked = with_global_rank(sort_index(keyindex.build_fixed(spark, path, spec), parts))
+    dealt = ranked.repartitionById(parts, F.floor((F.col("rank") - 1) * parts / max(1, n)).cast("int")).sortWithinPartitions("rank")
+    write_fixed(gather.point_fetch(dealt, path, spec), out, spec)
+
+
 def write_runs(idx: DataFrame, plan: SortPlan, order: Column, parts: int | None = None, compression: str = "zstd", path: str = "") -> str:
     """Sorted slim runs in folders ``run=r/range_id=g``; ``order`` numbers the records from 0.
 
