@@ -80,10 +80,46 @@ def stream_interval_join(spark, sf_dir):
     return st.collected(st.stream_pair(a, b, "30 MINUTES")).select("first_id", "second_id")
 
 
-@query("stream_run_merge", "SELECT row_number() OVER (ORDER BY md5(CAST(event_id AS VARCHAR))) AS rank, event_id FROM events")
+HOUR = 3_600_000_000
+
+
+@query(
+    "stream_late_dropped",
+    f"""WITH e AS (SELECT event_id, epoch_us(ts) AS us, (epoch_us(ts) // {HOUR}) * {HOUR} AS start_us FROM events),
+        m AS (SELECT ((max(us) FILTER (event_id % 3 = 0) - {HOUR}) // 1000) * 1000 AS late, ((max(us) - {HOUR}) // 1000) * 1000 AS closed FROM e)
+        SELECT start_us, count(*) AS n FROM e, m WHERE (event_id % 3 < 2 OR start_us + {HOUR} > late) AND start_us + {HOUR} <= closed GROUP BY 1""",
+)
+def stream_late_dropped(spark, sf_dir):
+    """A third of the events comes when the watermark has passed nearly all of them: windows that are closed drop them.
+
+    In append mode a window comes out once, when the watermark passes its end.
+    """
+    e, path = table(spark, sf_dir, "events"), new_path(spark, "late-events")
+    for k in range(3):  # one file, and so one micro-batch, each
+        e.where(F.col("event_id") % 3 == k).coalesce(1).write.mode("append").parquet(path)
+    rows = st.stream(spark, path, e.schema, 1).withColumn("at", F.col("ts").cast("timestamp"))
+    return shown(st.collected(st.stream_window(st.with_watermark(rows), "tumbling", "1 hour"), "append")).select("start_us", "n")
+
+
+RANKED = "SELECT row_number() OVER (ORDER BY md5(CAST(event_id AS VARCHAR))) AS rank, event_id FROM events"
+QUARTERS = [b"\x40", b"\x80", b"\xc0"]
+
+
+@query("stream_run_merge", RANKED)
 def stream_run_merge(spark, sf_dir):
     path = new_path(spark, "stream-runs")
-    st.stream_runs(events(spark, sf_dir), path, F.unhex(F.md5(F.col("event_id").cast("string"))))
+    st.stream_runs(events(spark, sf_dir), path, F.unhex(F.md5(F.col("event_id").cast("string"))), bounds=QUARTERS)
+    return st.merged_runs(spark, path).select("rank", F.col("pos").alias("event_id"))
+
+
+@query("stream_restart", RANKED)
+def stream_restart(spark, sf_dir):
+    """Runs made in two goes from one checkpoint, and a third go that finds nothing new: each event is in one run."""
+    e, source, path, checkpoint = table(spark, sf_dir, "events"), *(new_path(spark, n) for n in ("restart-events", "restart-runs", "restart-checkpoint"))
+    for k in (0, 1, None):
+        if k is not None:
+            e.where(F.col("event_id") % 2 == k).repartition(2).write.mode("append").parquet(source)
+        st.stream_runs(st.stream(spark, source, e.schema, 1), path, F.unhex(F.md5(F.col("event_id").cast("string"))), checkpoint, QUARTERS)
     return st.merged_runs(spark, path).select("rank", F.col("pos").alias("event_id"))
 
 
