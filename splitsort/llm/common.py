@@ -26,8 +26,8 @@ WORD = r"[^\x20\x09-\x0D]+"
 #: Near duplicates of any kind are linked from this Jaccard similarity, in per cent.
 PERCENT = 75
 
-#: A broadcast side may hold at most this many rows of a few longs each (about 16 MB).
-BROADCAST_ROWS = 1_000_000
+#: A broadcast side may hold at most this many rows of a few longs each (about 30 MB on the heap).
+BROADCAST_ROWS = 400_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -204,9 +204,9 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
 
 
 def open_buckets(members: DataFrame, comp: DataFrame) -> DataFrame:
-    """``(band, node, comp)`` of the buckets that hold several components."""
-    known = members.select("band", "node").join(comp, "node", "left").select("band", "node", F.coalesce("component", "node").alias("comp"))
-    known = staged(known, "known")
+    """``(band, k, node, comp)`` of the buckets of ``members(band, k, node)`` that hold several components."""
+    known = members.select("band", "k", "node").join(small(comp, comp.count()), "node", "left")
+    known = staged(known.select("band", "k", "node", F.coalesce("component", "node").alias("comp")), "known")
     mixed = known.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"))
     mixed = staged(mixed.where("lo < hi").select("band"), "mixed")
     out = staged(known.join(small(mixed, mixed.count()), "band"), "open")
@@ -215,16 +215,24 @@ def open_buckets(members: DataFrame, comp: DataFrame) -> DataFrame:
 
 
 def drawn_pairs(left: DataFrame, k: int) -> DataFrame:
-    """Pairs of each bucket's member drawn in round ``k`` and all of the bucket's members of other components."""
-    order = F.struct(F.xxhash64(F.lit(k), "band", "node").alias("h"), "node", "comp")
-    drawn = left.groupBy("band").agg(F.min(order).alias("x")).select("band", "x.node", "x.comp")
-    drawn = staged(drawn.select("band", F.col("node").alias("c"), F.col("comp").alias("d")), "drawn")
+    """Pairs of one member of each bucket's largest component, drawn in round ``k``, and all members of the others."""
+    order = F.struct(F.xxhash64(F.lit(k), "band", "node").alias("h"), "node")
+    each = left.groupBy("band", "comp").agg(F.count("*").alias("n"), F.min(order).alias("x"))
+    drawn = each.groupBy("band").agg(F.max(F.struct("n", "comp", "x.node")).alias("x")).select("band", F.col("x.node").alias("c"), F.col("x.comp").alias("d"))
+    drawn = staged(drawn, "drawn")
     pairs = left.join(small(drawn, drawn.count()), "band").where("comp <> d")
     out = staged(pairs.select(F.least("node", "c").alias("a"), F.greatest("node", "c").alias("b")).distinct(), "pairs")
     unstage(drawn)
     return out
 
 
+def close_pairs(left: DataFrame) -> DataFrame:
+    """All pairs between components inside buckets ``(band, node, comp)`` of few members."""
+    other = left.select("band", F.col("node").alias("b"), F.col("comp").alias("d"))
+    pairs = left.join(other, "band").where("node < b AND comp <> d")
+    return staged(pairs.select(F.col("node").alias("a"), "b").distinct(), "close")
+
+
 def least_common(size: Column, other: Column) -> Column:
     """Shingles that sets of these sizes must share at the threshold."""
     return F.ceil(F.lit(PERCENT) * (size + other) / F.lit(100 + PERCENT))
@@ -238,7 +246,7 @@ def set_join(sets: DataFrame) -> DataFrame:
     three quarters its size allows, the shorter as far as one of its own size.  Only shingles that two
     components share take part; sets that hold too few of these leave at once.
     """
-    tokens = staged(sets.select("node", "comp", F.size("sh").cast("long").alias("n"), F.explode("sh").alias("t")), "tokens")
+    tokens = sets.select("node", "comp", F.size("sh").cast("long").alias("n"), F.explode("sh").alias("t"))
     rare = tokens.groupBy("t").agg(F.count("*").alias("df"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
     rare = staged(rare.where("lo < hi").select("t", "df"), "shared")
     seen = tokens.join(small(rare, rare.count()), "t")
@@ -252,5 +260,5 @@ def set_join(sets: DataFrame) -> DataFrame:
     met = own.join(other, "t").where((F.col("comp") != F.col("qcomp")) & (F.col("qn") <= F.col("n")) & (100 * F.col("qn") >= PERCENT * F.col("n")))
     met = met.where(F.least("rest", "qrest") >= least_common(F.col("n"), F.col("qn")))
     out = staged(met.select(F.least("node", "q").alias("a"), F.greatest("node", "q").alias("b")).distinct(), "met")
-    unstage(tokens, rare, own)
+    unstage(rare, own)
     return out

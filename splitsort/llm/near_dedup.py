@@ -8,11 +8,10 @@ full shingle sets were compared.
 No group is ever expanded into its pairs:
 
 1. texts with equal shingle sets collapse into one class;
-2. in each band bucket every class is compared with the bucket's least class, and verified links are
-   united into components;
-3. buckets that still hold several components are compared with one member drawn by hash, a few rounds
-   of it, each bucket with its own;
-4. what is then left between components is settled by an exact set join: shingles that no two components
+2. every class is compared with the least class that shares a bucket with it, and verified links are united into components;
+3. small buckets that still hold several components are compared pair by pair; in larger ones the other components
+   are compared with a member of the largest one, drawn by hash, a few rounds of it;
+4. what is then left in larger ones is settled by an exact set join: shingles that no two components
    share count for nothing, the others are put in order, rarest first, and two sets can only reach the threshold
    if they meet in the first few of these and enough is left behind the place where they meet.
 Pairs already in one component need no test: they can change nothing.
@@ -28,15 +27,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import PERCENT, apart, components, drawn_pairs, open_buckets, placed, set_join, small, small_batches, staged, unstage
+from .common import PERCENT, apart, close_pairs, components, drawn_pairs, open_buckets, placed, set_join, small, small_batches, staged, unstage
 
 WORDS_IN_SHINGLE = 5
 #: 40 bands of 4 rows: a pair at similarity 0.75 is missed with a chance of 3e-7.
 BANDS, ROWS = 40, 4
 #: A pair at 0.75 agrees on fewer coordinates than this with a chance of under 1e-11, were they independent.
 PLAUSIBLE = 80
-#: Rounds against drawn members at most; what they leave open is settled exactly.
-ROUNDS = 3
+#: Rounds against drawn members at most, and members of a bucket whose pairs are then all compared.
+ROUNDS, SMALL = 3, 16
 #: Bytes that a worker takes up at once; a longer text is cut between words.
 PIECE = 2 << 20
 #: Bytes of a word that the table of multipliers covers; longer words get a digest.
@@ -239,41 +238,45 @@ def _linked(sketch: DataFrame, bodies: DataFrame) -> tuple[DataFrame, DataFrame]
     nodes = nodes.select(F.col("uid").alias("node"), "n_shingles", "sig", "bands")
     # 2. stars
     spread = nodes.select("node", F.explode("bands").alias("band"))
-    heads = staged(spread.groupBy("band").agg(F.count("*").alias("k"), F.min("node").alias("head")).where("k > 1").select("band", "head"), "heads")
-    members = staged(spread.join(small(heads, heads.count()), "band").select("band", "head", "node"), "members")
+    heads = staged(spread.groupBy("band").agg(F.count("*").alias("k"), F.min("node").alias("head")).where("k > 1"), "heads")
+    members = staged(spread.join(small(heads, heads.count()), "band").select("band", "k", "head", "node"), "members")
     unstage(heads)
     sigs = nodes.select("node", "n_shingles", "sig")
-    stars = members.where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b")).distinct()
+    stars = members.groupBy(F.col("node").alias("b")).agg(F.min("head").alias("a")).where("a < b").select("a", "b")
     stars = staged(_alike(stars, sigs), "stars")
-    ends = lambda pairs: pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
-    one = stars.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-    sets = _sets_of(staged(ends(one), "nodes"), sketch, bodies)
-    links = _verified(one, sets)
+    sets = _sets_of(staged(stars.select(F.col("a").alias("node")).union(stars.select("b")).distinct(), "nodes"), sketch, bodies)
+    links = _verified(stars, sets)
     unstage(sets)
     comp = components(links)
-    # 3. buckets of several components: their other heads, then drawn members
+    # 3. buckets of several components: all pairs where there are few, drawn members elsewhere
     left = open_buckets(members, comp)
+    close, large = close_pairs(left.where(F.col("k") <= SMALL)), staged(left.where(F.col("k") > SMALL), "large")
+    more = staged(_alike(close, sigs), "alike")
+    unstage(left, close)
+    nodes = more.select(F.col("a").alias("node")).union(more.select("b")).union(large.select("node")).distinct()
+    sets = _sets_of(staged(nodes, "nodes"), sketch, bodies)
+    links = links.unionAll(_verified(more, sets))
+    comp = components(links)
+    for k in range(ROUNDS):
+        left = open_buckets(large, comp)
+        if left.isEmpty():
+            break
+        drawn = drawn_pairs(left, k)
+        found = _verified(_alike(drawn, sigs), sets)
+        unstage(drawn, left)
+        if found.isEmpty():
+            break
+        links = links.unionAll(found)
+        comp = components(links)
+    # 4. the rest, exactly
+    left = open_buckets(large, comp)
     if not left.isEmpty():
-        sets = _sets_of(staged(left.select("node").distinct(), "nodes"), sketch, bodies)
-        of = lambda side: comp.select(F.col("node").alias(side), F.col("component").alias(f"c{side}"))
-        heads = stars.join(of("a"), "a", "left").join(of("b"), "b", "left")
-        heads = heads.where(F.coalesce("ca", "a") != F.coalesce("cb", "b")).select("a", "b")
-        for k in range(ROUNDS):
-            pairs = drawn_pairs(left, k)
-            more = _verified(_alike(pairs, sigs) if k else heads.union(_alike(pairs, sigs)).distinct(), sets)
-            unstage(pairs)
-            if more.isEmpty():
-                break
-            links = links.unionAll(more)
-            comp = components(links)
-            unstage(left)
-            left = open_buckets(members, comp)
-        # 4. the rest, exactly
-        rest = left.select("node", "comp").distinct()
-        more = _verified(set_join(sets.join(rest, "node")), sets)
-        if not more.isEmpty():
-            comp = components(links.unionAll(more))
-        unstage(left, sets)
+        rest = staged(left.select("node", "comp").distinct(), "rest")
+        found = _verified(set_join(sets.join(small(rest, rest.count()), "node")), sets)
+        if not found.isEmpty():
+            comp = components(links.unionAll(found))
+        unstage(rest)
+    unstage(left, large, more, sets)
     unstage(members, stars)
     return classes, comp
 
