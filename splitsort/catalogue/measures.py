@@ -274,18 +274,20 @@ def device_overlap(spark, sf_dir):
         UNION ALL SELECT 'wide', 'exclusive', 2 * wide + 2 * put FROM {MODEL} WHERE v = 90
         UNION ALL SELECT 'one_pass', 'exclusive', strided + value + put FROM {MODEL} WHERE v = 90
         UNION ALL SELECT 'two_pass', p, f * (strided + value) + slim + g * (put + put_slim) FROM {MODEL}, (VALUES ('exclusive', 1.0, 1.0), ('overlap', 2.0, 1.6), ('no_sync', 2.0, 2.128)) x(p, f, g) WHERE v = 90
-        UNION ALL SELECT 'serial_split', p, f * (load + value) + slim + g * (put + put_slim) FROM {MODEL}, (VALUES ('overlap', 2.0, 1.6), ('no_sync', 2.0, 2.128)) x(p, f, g) WHERE v = 90)""",
+        UNION ALL SELECT 'serial_split', p, f * (load + value) + slim + g * (put + put_slim) FROM {MODEL}, (VALUES ('overlap', 2.0, 1.6), ('no_sync', 2.0, 2.128)) x(p, f, g) WHERE v = 90
+        UNION ALL SELECT 'two_pass', 'single_thread', (strided + value + slim) / 0.09 + (put + put_slim) / 0.45 FROM {MODEL} WHERE v = 90
+        UNION ALL SELECT 'serial_split', 'single_thread', (load + value + slim) / 0.09 + (put + put_slim) / 0.45 FROM {MODEL} WHERE v = 90)""",
 )
 def concurrency_model_matrix(spark, sf_dir):
     """Systems under their concurrency models, least modelled time first."""
     from pyspark.sql import Window
 
-    cells = [("wide", "no_sync_buffered_merge"), ("wide", "exclusive"), ("one_pass", "exclusive"), ("two_pass", "exclusive"), ("two_pass", "overlap"), ("two_pass", "no_sync"), ("serial_split", "overlap"), ("serial_split", "no_sync")]
+    cells = [("wide", "no_sync_buffered_merge"), ("wide", "exclusive"), ("one_pass", "exclusive"), ("two_pass", "exclusive"), ("two_pass", "overlap"), ("two_pass", "no_sync"), ("serial_split", "overlap"), ("serial_split", "no_sync"), ("two_pass", "single_thread"), ("serial_split", "single_thread")]
     out = None
     for system, policy in cells:
         one = _model(spark, sf_dir, 90, (system,), policy).select("system", "policy", "ns")
         out = one if out is None else out.unionAll(one)
-    return out.select("system", "policy", F.round("ns", 4).alias("ns"), F.row_number().over(Window.orderBy("ns")).cast("long").alias("place"))  # eight rows
+    return out.select("system", "policy", F.round("ns", 4).alias("ns"), F.row_number().over(Window.orderBy("ns")).cast("long").alias("place"))  # ten rows
 
 
 def _background(spark, kind):
@@ -389,6 +391,23 @@ def timeline_buckets(spark, sf_dir):
     return t.where(F.col("bytes") / n > 1e-6).select("system", "bucket", "op", per.alias("bytes_per_record"))
 
 
+@query(
+    "advise_with_amplification",
+    """SELECT a AS amplification, s AS system, row_number() OVER (PARTITION BY a ORDER BY ns) AS place FROM (SELECT a, s, CASE s WHEN 'one_pass' THEN 6.25 + (a - 1) * 90 / 32.0 WHEN 'wide' THEN 12.5 ELSE 6.875 END AS ns
+        FROM (VALUES (1), (2), (7)) x(a), (VALUES ('one_pass'), ('wide'), ('in_place')) y(s))""",
+)
+def advise_with_amplification(spark, sf_dir):
+    """What reading over gaps does to the choice: where a value costs several, whole records are sorted instead."""
+    n, out = count(spark, sf_dir), None
+    for a in (1, 2, 7):
+        one = cost.advise(spark, "symmetric", n, BENCHMARK, n * 20, amplification=float(a)).where("system <> 'two_pass'")
+        one = one.select(F.lit(a).alias("amplification"), "system", "seconds")
+        out = one if out is None else out.unionAll(one)
+    from pyspark.sql import Window
+
+    return out.select("amplification", "system", F.row_number().over(Window.partitionBy("amplification").orderBy("seconds")).cast("long").alias("place"))
+
+
 @query("compression_pays", "SELECT * FROM (VALUES ('fast_codec', true), ('slow_codec', false)) v(case_name, pays)")
 def compression_pays(spark, sf_dir):
     rows = [("fast_codec", cost.compress_pays(100, 40, 22.2, 2.5, 5.0, 20.0)), ("slow_codec", cost.compress_pays(100, 90, 22.2, 2.5, 0.5, 2.0))]

@@ -429,6 +429,40 @@ for _fmt in ("csv", "json", "orc", "parquet"):
     query(f"fmt_{_fmt}_roundtrip", ROUND)(_roundtrip)
 
 
+@query("fmt_text_lines", "SELECT count(*) AS lines, sum(octet_length(encode(c_name)))::BIGINT AS bytes FROM customer")
+def fmt_text_lines(spark, sf_dir):
+    path = new_path(spark, "text")
+    write_sorted(t(spark, sf_dir, "customer").select(F.col("c_name").alias("value")), path, "text")
+    return read(spark, path, "text").agg(F.count("*").alias("lines"), F.sum(F.octet_length("value")).alias("bytes"))
+
+
+@query("fmt_binary_files", "SELECT count(*) * 100 AS bytes, true AS whole_records FROM lineitem")
+def fmt_binary_files(spark, sf_dir):
+    """Record files read whole, as binary files."""
+    found = read(spark, dataset(spark, sf_dir, "benchmark"), "binaryFile", pathGlobFilter="*.rec")
+    return found.agg(F.sum("length").alias("bytes"), F.min((F.octet_length("content") == F.col("length")) & (F.col("length") % 100 == 0)).alias("whole_records"))
+
+
+@query("sink_partitioned", "SELECT o_orderpriority, count(*) AS n FROM orders WHERE o_orderpriority < '3' GROUP BY 1")
+def sink_partitioned(spark, sf_dir):
+    """Folders by value: a filter on them reads no other."""
+    path = new_path(spark, "partitioned")
+    write_sorted(t(spark, sf_dir, "orders").select("o_orderkey", "o_orderpriority").sortWithinPartitions("o_orderpriority", "o_orderkey"), path, by=["o_orderpriority"])
+    return read(spark, path, "parquet").where("o_orderpriority < '3'").groupBy("o_orderpriority").agg(F.count("*").alias("n"))
+
+
+@query("sink_bucketed_join", "SELECT o_orderkey, count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1")
+def sink_bucketed_join(spark, sf_dir):
+    """Tables bucketed and sorted by the join key, joined by merging them."""
+    names = []
+    for source, key in (("orders", "o_orderkey"), ("lineitem", "l_orderkey")):
+        path = new_path(spark, f"bucketed-{source}")
+        names.append(f"bucketed_{path.rsplit('-', 1)[1]}_{source}")
+        write_sorted(t(spark, sf_dir, source).select(key), path, by=[key], buckets=4, table_name=names[-1])
+    a, b = (spark.table(n) for n in names)
+    return a.join(b.hint("MERGE"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderkey").agg(F.count("*").alias("n"))
+
+
 @query("fmt_fixedrec_roundtrip", "SELECT count(*) AS n, count(*) * 100 AS bytes FROM lineitem")
 def fmt_fixedrec_roundtrip(spark, sf_dir):
     df = read(spark, dataset(spark, sf_dir, "benchmark"), "fixedrec", keyBytes=10, valueBytes=90)

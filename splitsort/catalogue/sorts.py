@@ -317,31 +317,39 @@ def _ranked_by(df: DataFrame, key, tie: list[str]) -> DataFrame:
     return sorter.with_global_rank(df.repartitionByRange(key, *tie).sortWithinPartitions(key, *tie))
 
 
+def _indexed(df: DataFrame, parts: list, wide: list[str]) -> DataFrame:
+    """A Parquet table in the order of encoded keys: index of keys and locators, rank, and the columns asked for by locator."""
+    ranked = sorter.with_global_rank(sorter.sort_index(keyindex.build_parquet(df, encode_sort_key(parts))))
+    return gather.parquet_fetch(ranked, df.select(*wide)).select("rank", *wide)
+
+
 @query("key_ties", "SELECT row_number() OVER (ORDER BY o_orderpriority, o_orderkey) AS rank, o_orderkey AS id FROM orders")
 def key_ties(spark, sf_dir):
-    return _ranked_by(table(spark, sf_dir, "orders").select(F.col("o_orderpriority").alias("key"), F.col("o_orderkey").alias("id")), "key", ["id"]).select("rank", "id")
+    parts = [(F.col("o_orderpriority"), "string", True, True), (F.col("o_orderkey"), "bigint", True, True)]
+    return _indexed(table(spark, sf_dir, "orders"), parts, ["o_orderkey"]).withColumnRenamed("o_orderkey", "id")
 
 
 @query("key_presorted", "SELECT row_number() OVER (ORDER BY ts, event_id) AS rank, event_id AS id FROM events")
 def key_presorted(spark, sf_dir):
-    return _ranked_by(table(spark, sf_dir, "events").select(F.col("ts").alias("key"), F.col("event_id").alias("id")), "key", ["id"]).select("rank", "id")
+    return _indexed(table(spark, sf_dir, "events"), [(F.col("ts"), "timestamp_ntz", True, True)], ["event_id"]).withColumnRenamed("event_id", "id")
 
 
 @query("key_reversed", "SELECT row_number() OVER (ORDER BY ts DESC, event_id) AS rank, event_id AS id FROM events")
 def key_reversed(spark, sf_dir):
-    key = encode_sort_key([(F.col("ts"), "timestamp_ntz", False, False)])
-    return _ranked_by(table(spark, sf_dir, "events").select(key.alias("key"), F.col("event_id").alias("id")), "key", ["id"]).select("rank", "id")
+    return _indexed(table(spark, sf_dir, "events"), [(F.col("ts"), "timestamp_ntz", False, False)], ["event_id"]).withColumnRenamed("event_id", "id")
 
 
 @query("key_skew", f"SELECT row_number() OVER (ORDER BY l_returnflag, t) AS rank, md5(t) AS row_md5 FROM (SELECT l_returnflag, {R1} AS t FROM lineitem)")
 def key_skew(spark, sf_dir):
-    df = table(spark, sf_dir, "lineitem").select(F.col("l_returnflag").alias("key"), lineitem_text().alias("t"))
-    return _ranked_by(df, "key", ["t"]).select("rank", F.md5("t").alias("row_md5"))
+    names = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"]
+    parts = [(F.col("l_returnflag"), "string", True, True), (lineitem_text(), "string", True, True)]
+    return _indexed(table(spark, sf_dir, "lineitem"), parts, names).select("rank", F.md5(lineitem_text()).alias("row_md5"))
 
 
 @query("key_all_equal", "SELECT row_number() OVER (ORDER BY o_orderkey) AS rank, o_orderkey AS id FROM orders")
 def key_all_equal(spark, sf_dir):
-    return _ranked_by(table(spark, sf_dir, "orders").select(F.lit(0).alias("key"), F.col("o_orderkey").alias("id")), "key", ["id"]).select("rank", "id")
+    """One key for all rows: the locator alone orders them, as they lie in the file."""
+    return _indexed(table(spark, sf_dir, "orders"), [(F.lit(0), "int", True, True)], ["o_orderkey"]).withColumnRenamed("o_orderkey", "id")
 
 
 TYPED = {

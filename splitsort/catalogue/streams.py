@@ -38,6 +38,13 @@ def stream_tumbling(spark, sf_dir):
     return shown(st.collected(st.stream_window(st.with_watermark(events(spark, sf_dir)), "tumbling", "1 hour", by=["event_type"]), "complete"))
 
 
+@query("stream_update_mode", f"SELECT (epoch_us(ts) // 3600000000) * 3600000000 AS start_us, count(*) AS n, {VALUE} FROM events GROUP BY 1")
+def stream_update_mode(spark, sf_dir):
+    """Each batch puts out the windows it changed; the last state of each is the sum of all."""
+    out = shown(st.collected(st.stream_window(st.with_watermark(events(spark, sf_dir)), "tumbling", "1 hour"), "update"))
+    return out.groupBy("start_us").agg(F.max("n").alias("n"), F.max_by("cents", "n").alias("cents"))
+
+
 @query("stream_sliding", f"SELECT (epoch_us(ts) // 1800000000 - k) * 1800000000 AS start_us, count(*) AS n, {VALUE} FROM events, (VALUES (0), (1)) v(k) GROUP BY 1")
 def stream_sliding(spark, sf_dir):
     return shown(st.collected(st.stream_window(st.with_watermark(events(spark, sf_dir)), "sliding", "1 hour", "30 minutes"), "complete"))

@@ -10,9 +10,9 @@ from pyspark import BarrierTaskContext
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .device import Profile
+from .device import READ_CURVE, WRITE_CURVE, Profile
 
-POLICIES = ("no_sync", "no_sync_buffered_merge", "overlap", "exclusive")
+POLICIES = ("single_thread", "no_sync", "no_sync_buffered_merge", "overlap", "exclusive")
 
 
 @dataclass(frozen=True)
@@ -65,6 +65,8 @@ def penalty(policy: str, profile: Profile) -> Column:
     p = profile
     if policy == "exclusive":
         return F.lit(1.0)
+    if policy == "single_thread":
+        return F.when(write, 1 / WRITE_CURVE[1]).otherwise(1 / READ_CURVE[1])
     if policy == "overlap":
         return F.when(write, p.psi).when(read & touched, p.phi).otherwise(1.0)
     if policy == "no_sync":

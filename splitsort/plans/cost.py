@@ -84,12 +84,17 @@ def compress_pays(raw: int, packed: int, read_gbps: float, write_gbps: float, pa
     return (raw - packed) / write_gbps + (raw - packed) / read_gbps > raw / pack_gbps + raw / unpack_gbps
 
 
-def advise(spark: SparkSession, profile: str, n: int, spec: RecordSpec, budget: int) -> DataFrame:
-    """Plans by modelled seconds, then by bytes written, with ``place`` 1 for the best."""
+def advise(spark: SparkSession, profile: str, n: int, spec: RecordSpec, budget: int, amplification: float = 1.0) -> DataFrame:
+    """Plans by modelled seconds, then by bytes written, with ``place`` 1 for the best.
+
+    ``amplification`` is what the fetch of values reads for each byte it needs (``gather.expected_amplification``).
+    """
     p = PROFILES[profile]
     plan = choose_mode(n, spec, budget)
     use = ["two_pass", "wide", "in_place"] + (["one_pass"] if plan.mode == "one_pass" else [])
     o = ops(spark, n, spec, p).where(F.col("system").isin(use))
+    fetch = F.when(F.col("op") == "record_read", amplification).otherwise(1.0)
+    o = o.withColumn("ns", F.col("ns") * fetch).withColumn("bytes", F.col("bytes") * fetch)
     seconds = o.groupBy("system").agg(
         (F.sum("ns") * n / 1e9).alias("seconds"),
         F.sum(F.when(F.col("kind") == "write", F.col("bytes")).otherwise(0)).alias("written"),

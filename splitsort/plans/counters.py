@@ -17,6 +17,7 @@ class Counted:
     spill_bytes: int
     output_bytes: int
     input_bytes: int
+    cpu_seconds: float
 
 
 def counted(spark: SparkSession, work: Callable[[], object]) -> Counted:
@@ -27,15 +28,15 @@ def counted(spark: SparkSession, work: Callable[[], object]) -> Counted:
     work()
     took = time.perf_counter() - began
     sc.listenerBus().waitUntilEmpty()
-    totals = [0, 0, 0, 0]
+    totals = [0, 0, 0, 0, 0]
     for k in range(first, sc.dagScheduler().nextStageId()):
         try:
             s = store.lastStageAttempt(k)
         except Py4JJavaError:  # a stage that was planned and never submitted
             continue
-        for i, v in enumerate((s.shuffleWriteBytes(), s.diskBytesSpilled(), s.outputBytes(), s.inputBytes())):
+        for i, v in enumerate((s.shuffleWriteBytes(), s.diskBytesSpilled(), s.outputBytes(), s.inputBytes(), s.executorCpuTime())):
             totals[i] += v
-    return Counted(took, *totals)
+    return Counted(took, *totals[:4], totals[4] / 1e9)
 
 
 def written(df: DataFrame) -> Callable[[], None]:
