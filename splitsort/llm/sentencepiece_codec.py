@@ -72,14 +72,14 @@ class Codec:
     def __init__(self, blob: bytes, verify: bool = True) -> None:
         from tokenizers import Regex, Tokenizer, decoders, models, normalizers
 
-        pieces, kind, charsmap, dummy, squeeze, escape, fallback = [], UNIGRAM, b"", True, True, True, False
+        pieces, kind, charsmap, dummy, squeeze, escape, fallback, surface = [], UNIGRAM, b"", True, True, True, False, " \u2047 ".encode()
         for field, value in _fields(blob):
             if field == 1:
                 p = dict(_fields(value))
                 pieces.append((p[1].decode(), struct.unpack("<f", p.get(2, b"\0\0\0\0"))[0], p.get(3, NORMAL)))
             elif field == 2:
                 t = dict(_fields(value))
-                kind, fallback = t.get(3, UNIGRAM), bool(t.get(35, 0))
+                kind, fallback, surface = t.get(3, UNIGRAM), bool(t.get(35, 0)), t.get(44, surface)
             elif field == 3:
                 n = dict(_fields(value))
                 charsmap, dummy, squeeze, escape = n.get(2, b""), bool(n.get(3, 1)), bool(n.get(4, 1)), bool(n.get(5, 1))
@@ -102,7 +102,7 @@ class Codec:
         mark = MARK if escape else " "
         steps = [normalizers.Precompiled(charsmap)] if charsmap else []
         if squeeze:
-            steps += [normalizers.Replace(Regex(" {2,}"), " "), normalizers.Strip(left=True, right=True)]
+            steps += [normalizers.Replace(Regex(" {2,}"), " "), normalizers.Replace(Regex(r"\A | \z"), "")]
         self.clean = normalizers.Sequence(steps) if steps else None
         self.escape = escape
         self.tok = Tokenizer(model)
@@ -118,6 +118,10 @@ class Codec:
             if fallback and signs and not any("\n" in p for p in plain):
                 signs = re.escape("".join(signs))
                 self.chunk = re.compile(f"{MARK}*{LETTER}+(?=[{signs}])|{MARK}*[^{MARK}\n]+|\n|{MARK}+")
+        # A unigram lattice would take a control or byte piece that a text spells out; such texts go to the other library.
+        self.literal = re.compile("|".join(re.escape(p) for p, _, t in pieces if t != NORMAL)) if kind == UNIGRAM else None
+        self.unk, self.surface, self.squeeze = unk, surface.decode(), squeeze
+        self.lead = {i: p == MARK for i, (p, _, t) in enumerate(pieces) if t == NORMAL and p.startswith(MARK)}
         self.starts = bytearray(t == NORMAL and p.startswith(MARK) for p, _, t in pieces)
         self.skip = {i for i, (*_, t) in enumerate(pieces) if t == CONTROL}
         # What the library decodes each id to by itself; ids from here that depend on their neighbours are odd.
@@ -139,6 +143,12 @@ class Codec:
 
     def encode(self, texts: list[str]) -> list[list[int]]:
         """Ids of whole texts; chunks that are not known yet go to the library in one multithreaded batch."""
+        if self.literal is not None and (spelt := [k for k, t in enumerate(texts) if self.literal.search(t)]):
+            import sentencepiece
+
+            ref, some = sentencepiece.SentencePieceProcessor(model_proto=self.blob), set(spelt)
+            own = iter(self.encode([t for k, t in enumerate(texts) if k not in some]))
+            return [ref.encode(t) if k in some else next(own) for k, t in enumerate(texts)]
         marked = [self._marked(t) for t in texts]
         if self.chunk is None:
             return [e.ids for e in self.tok.encode_batch_fast(marked, add_special_tokens=False)]
@@ -168,6 +178,11 @@ class Codec:
                 continue
             if self.skip and not self.skip.isdisjoint(ids):
                 ids = [i for i in ids if i not in self.skip]
+            if self.unk in ids:  # runs between unknowns are decoded by themselves
+                at = [-1, *[k for k, i in enumerate(ids) if i == self.unk], len(ids)]
+                runs = [ids[a + 1 : b] for a, b in zip(at, at[1:], strict=False)]
+                split.append(self.surface.join(self.tok.decode_batch(runs, skip_special_tokens=False)))
+                continue
             cuts = [k for k, i in enumerate(ids) if starts[i]]
             if not cuts or cuts[0]:
                 cuts.insert(0, 0)
@@ -180,11 +195,24 @@ class Codec:
         for p, t in zip(fresh, self.tok.decode_batch([list(p) for p in fresh], skip_special_tokens=False), strict=True):
             known[p] = t
         out = []
-        for parts in split:
+        for ids, parts in zip(lists, split, strict=True):
             text = parts if isinstance(parts, str) else "".join([known[p] for p in parts])
-            out.append(text[1:] if self.dummy and text.startswith(" ") else text)
+            out.append(text[self._leading(ids) :])
         return out
 
+    def _leading(self, ids: list[int]) -> int:
+        """Spaces that markers at the start stand for and the text hasn't: one, or one for each lone marker where spaces are squeezed."""
+        n = 0
+        for i in ids if self.dummy or self.squeeze else ():
+            if i in self.skip:
+                continue
+            if i not in self.lead:
+                break
+            n += 1
+            if not self.lead[i] or not self.squeeze:
+                break
+        return n
+
     def verify(self, texts: list[str]) -> None:
         """Raise unless ids and texts equal those of the sentencepiece library."""
         import sentencepiece
