@@ -72,6 +72,8 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
 
 TOKEN = re.compile(r"\S+")
 TRIM = "\"'<>[]{}*#%&$!?,;:|"
+#: An address with its signs spelt out between brackets, as some write them.
+SPELT = re.compile(r"[(\[{](?:at|dot)[)\]}]")
 
 
 def shape(token: str) -> str:
@@ -92,14 +94,16 @@ def token_features(token: str) -> list[str]:
         out.append("quad" if all(p.isdigit() and len(p) <= 3 and int(p) <= 255 for p in parts) else "badquad")
     if "@" in core:
         out.append("dotted" if re.search(r"@[\w-]+(\.[\w-]+)+$", core) else "undotted")
-    if digits >= 12 and digits + core.count("-") == len(core):
-        out.append("luhn" if digits <= 19 and luhn(core.replace("-", "")) else "noluhn")
+    if digits >= 12 and digits + core.count("-") + core.count(".") == len(core):
+        out.append("luhn" if digits <= 19 and luhn(core.replace("-", "").replace(".", "")) else "noluhn")
+    if SPELT.search(token):
+        out.append("spelt")
     if core.isalpha():
         out.append("word")
     return out
 
 
-def labelled_table(n: int = 240, seed: int = 3) -> list[tuple[list[str], list[str]]]:
+def labelled_table(n: int = 320, seed: int = 3) -> list[tuple[list[str], list[str]]]:
     """The small labelled table: token sequences made by rule, with their labels.
 
     Personal data in several notations among plain words, beside numbers, versions, hashes, prices and
@@ -122,12 +126,13 @@ def labelled_table(n: int = 240, seed: int = 3) -> list[tuple[list[str], list[st
         ("email", lambda: f"{w()}.{w()}@{w()}.com"), ("email", lambda: f"{w()}{d(2)}@{w()}.example.org"), ("email", lambda: f"{w()}_{w()}@mail.{w()}.net"),
         ("ip", quad), ("card", lambda: card((16,), "")), ("card", lambda: card((4, 4, 4, 4), " ")), ("card", lambda: card((4, 4, 4, 4), "-")), ("card", lambda: card((4, 6, 5), " ")),
         ("phone", lambda: f"+{d(1)} ({d(3)}) {d(3)}-{d(4)}"), ("phone", lambda: f"+{d(2)} {d(3)} {d(3)} {d(4)}"), ("phone", lambda: f"+{d(11)}"),
-        ("phone", lambda: f"({d(3)}) {d(3)}-{d(4)}"), ("phone", lambda: f"{d(3)}-{d(3)}-{d(4)}"),
+        ("phone", lambda: f"({d(3)}) {d(3)}-{d(4)}"), ("phone", lambda: f"{d(3)}-{d(3)}-{d(4)}"), ("phone", lambda: f"{d(3)}.{d(3)}.{d(4)}"),
+        ("email", lambda: f"{w()}.{w()} (at) {w()}.com"), ("email", lambda: f"{w()} [at] {w()} [dot] org"), ("email", lambda: f"{w()}{d(2)}(at){w()}(dot)net"), ("card", lambda: card((4, 4, 4, 4), ".")),
     ]
     decoys = [
         lambda: d(int(rng.integers(1, 8))), lambda: f"{d(1)}.{d(2)}", lambda: f"v{d(1)}.{d(1)}.{d(1)}", lambda: f"{d(4)}-{d(2)}-{d(2)}", lambda: f"${d(3)}.{d(2)}",
         lambda: "".join(rng.choice(list("0123456789abcdef"), 40)), lambda: quad(256) + "." + d(2), lambda: ".".join(str(x) for x in rng.integers(256, 999, 4)),
-        lambda: card((16,), "", False), lambda: card((4, 4, 4, 4), "-", False), lambda: f"@{w()}", lambda: f"{w()}@{w()}", lambda: f"{d(2)}:{d(2)}", lambda: f"{d(3)}-{d(4)}", lambda: f"{d(1)}/{d(1)}", lambda: f"({d(4)})", lambda: f"+{d(2)}", lambda: f"({w()})", lambda: f"{w()}-{w()}", lambda: f"{w()}.{w()}",
+        lambda: card((16,), "", False), lambda: card((4, 4, 4, 4), "-", False), lambda: card((4, 4, 4, 4), ".", False), lambda: f"{d(3)}.{d(3)}", lambda: f"({w()})", lambda: f"[{w()}]", lambda: "at", lambda: "dot", lambda: f"@{w()}", lambda: f"{w()}@{w()}", lambda: f"{d(2)}:{d(2)}", lambda: f"{d(3)}-{d(4)}", lambda: f"{d(1)}/{d(1)}", lambda: f"({d(4)})", lambda: f"+{d(2)}", lambda: f"({w()})", lambda: f"{w()}-{w()}", lambda: f"{w()}.{w()}",
     ]
     tails = ["", "", "", "", ",", ".", "!!", "***", "%%%", "$$$", "###", "&&&"]
     table = []
@@ -345,11 +350,11 @@ def _plausible(text: str, span: tuple[int, int, str]) -> bool:
     """A label sequence is only kept if its text can be of the kind at all."""
     s, digits = text[span[0] : span[1]], sum(c in "0123456789" for c in text[span[0] : span[1]])
     if span[2] == "email":
-        return "@" in s
+        return "@" in s or "at" in (m.group()[1:-1] for m in SPELT.finditer(s))
     if span[2] == "phone":
         return 9 <= digits <= 15 and not any(c.isalpha() for c in s)
     if span[2] == "card":
-        d = re.sub(r"[ -]", "", s)
+        d = re.sub(r"[ .-]", "", s)
         return d.isascii() and d.isdigit() and 12 <= len(d) <= 19 and luhn(d)
     return s.count(".") == 3 and all(p.isascii() and p.isdigit() and int(p) <= 255 for p in s.split(".") if len(p) <= 3) and all(0 < len(p) <= 3 for p in s.split("."))
 
