@@ -49,7 +49,7 @@ def exact_scores(x: np.ndarray, q: np.ndarray) -> np.ndarray:
 class Block:
     """The collision index of distinct vectors, none longer than ``norm``."""
 
-    def __init__(self, x: np.ndarray, norm: float, seed: int) -> None:
+    def __init__(self, x: np.ndarray, norm: float, seed: int, least: int = LEAST) -> None:
         self.x = x
         lift = np.sqrt(np.maximum(norm**2 - (x**2).sum(axis=1), 0.0))
         self.basis = rotation(x.shape[1] + 1, seed)
@@ -59,7 +59,7 @@ class Block:
         self.norm = norm
         self.radius = norm / np.sqrt(x.shape[1] + 1) * GROW ** np.arange(LEVELS)
         self.allowed = proj.shape[1] - int(np.ceil(THRESHOLD * proj.shape[1]))
-        self.enough = min(len(x), max(LEAST, int(ENOUGH * len(x))))
+        self.enough = min(len(x), max(least, int(ENOUGH * len(x))))
 
     def windows(self, queries: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ends of the windows of all queries, levels and arrays: queries x levels x arrays."""
@@ -87,18 +87,20 @@ class Block:
             level += 1
 
 
-def norm_ranges(norms: np.ndarray) -> list[np.ndarray]:
-    """Places of all vectors by falling norm, cut where the norm has fallen by EVEN and LEAST vectors are in."""
+def norm_ranges(norms: np.ndarray, least: int = LEAST) -> list[np.ndarray]:
+    """Places of all vectors by falling norm, cut where the norm has fallen by EVEN and ``least`` vectors are in."""
     order = np.argsort(-norms, kind="stable")
     falling, at, out = -norms[order], 0, []
     while at < len(order):
-        end = max(at + LEAST, int(np.searchsorted(falling, falling[at] / EVEN, "right")))
+        end = max(at + least, int(np.searchsorted(falling, falling[at] / EVEN, "right")))
         out.append(order[at:end])
         at = end
     return out
 
 
 def _meet(k: int, norm: float, seed: int):
+    least = max(LEAST, 4 * k)  # a block must hold more candidates than answers
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = pa.Table.from_batches(list(batches))
         ids, query = t.column("vec_id").to_numpy(), t.column("query").to_numpy()
@@ -115,13 +117,13 @@ def _meet(k: int, norm: float, seed: int):
         norms, lengths = np.sqrt((x**2).sum(axis=1)), np.sqrt((qs**2).sum(axis=1))
         best: list[list[tuple[float, int]]] = [[] for _ in qs]
         slack = 1e-9 * max(1.0, norm**2)
-        for part in norm_ranges(norms):
+        for part in norm_ranges(norms, least):
             top = float(norms[part[0]])
             # No vector of this range or a later one has a larger product than top times the query's length.
             live = [i for i, b in enumerate(best) if len(b) < k or -b[-1][0] <= top * lengths[i] + slack]
             if not live:
                 break
-            block = Block(x[part], top, seed)
+            block = Block(x[part], top, seed, least)
             whole = block.enough == len(part)
             if not whole:
                 lo, hi = block.windows(qs[live])
