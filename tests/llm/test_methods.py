@@ -390,3 +390,188 @@ def test_line_dedup_long_tokens(spark):
     assert comps < 80
     got = rows(dedup_lines(spark.createDataFrame([(i, s) for i, s in enumerate(lines)], SCHEMA)))
     assert len(lines) - sum(r["n_removed"] for r in got) == comps
+
+
+def _unigram_model(fallback=True, normal=()):
+    """The bytes of a small unigram model with byte fallback, written field by field."""
+    import struct
+
+    def varint(n):
+        out = b""
+        while n >= 128:
+            out, n = out + bytes([n & 127 | 128]), n >> 7
+        return out + bytes([n])
+
+    field = lambda k, v: varint(k << 3 | 2) + varint(len(v)) + v if isinstance(v, bytes) else varint(k << 3) + varint(v)
+    pieces = [("<unk>", 0.0, 2), ("<s>", 0.0, 3), ("</s>", 0.0, 3)]
+    if fallback:
+        pieces += [(f"<0x{b:02X}>", 0.0, 6) for b in range(256)]
+    words = ["▁", *"abcdefghijklmnopqrstuvwxyz<>/.,", "▁the", "he", "th", "in", "▁in", "er", "▁a", "ing", "▁house", "use", "ou", "▁t", "st", *normal]
+    pieces += [(p, -2.0 - 0.37 * k, 1) for k, p in enumerate(words)]
+    out = b"".join(field(1, field(1, p.encode()) + varint(2 << 3 | 5) + struct.pack("<f", s) + field(3, t)) for p, s, t in pieces)
+    out += field(2, field(3, 1) + field(4, len(pieces)) + field(35, int(fallback)))
+    return out + field(3, field(1, b"identity") + field(3, 1) + field(4, 1) + field(5, 1))
+
+
+@pytest.mark.parametrize("fallback", [True, False])
+def test_unigram_parity(spark, fallback):
+    """Scores, marker, byte fallback and white space of a unigram model, against the sentencepiece library."""
+    import sentencepiece
+
+    blob = _unigram_model(fallback)
+    own, ref = sentencepiece_codec.Codec(blob), sentencepiece.SentencePieceProcessor(model_proto=blob)
+    rng = np.random.default_rng(2)
+    texts = ["the house in the string", "  other   thing ", "Größe 日本 <s> x", "", "zzz\tqq"] + ["".join(rng.choice(list("aehinorst  u.é<>"), rng.integers(1, 60))) for _ in range(300)]
+    ids = own.encode(texts)
+    assert ids == ref.encode(texts)
+    assert own.decode(ids) == [ref.decode(i) for i in ids]
+
+
+def test_added_spans_on_notations_the_base_misses():
+    """Spans that only the CRF finds, on sentences written by hand, and none in their neighbours."""
+    tagger = personal_data.Tagger(personal_data.default_crf())
+    wanted = {
+        "call (555) 123-4567 tomorrow": [("phone", "(555) 123-4567")],
+        "my number is 555-867-5309, thanks": [("phone", "555-867-5309")],
+        "ring 415.555.0132 please": [("phone", "415.555.0132")],
+        "write to jane.miller (at) example.com today": [("email", "jane.miller (at) example.com")],
+        "paid with 4111.1111.1111.1111 yesterday": [("card", "4111.1111.1111.1111")],
+        "the meeting (at) noon was on 2024-05-17 in room 12": [],
+        "version v1.2.3 costs $300.00 at 10:30": [],
+        "plain words only here": [],
+    }
+    hits = total = 0
+    for text, spans in wanted.items():
+        base = personal_data.base_spans(text)
+        added = [(k, text[a:b]) for a, b, k in personal_data.all_spans(text, base, tagger.tag([text])[0]) if (a, b, k) not in base]
+        hits, total = hits + len(set(added) & set(spans)), total + len(spans)
+        assert spans or not added, (text, added)
+    assert hits >= total - 1
+
+
+def test_pruned_decoding_equals_plain_viterbi(texts):
+    """Stand-ins and the proof that a line is free change no label."""
+    crf = personal_data.default_crf()
+    tagger = personal_data.Tagger(crf)
+
+    def plain(text):
+        out, at = [], 0
+        for line in text.split("\n"):
+            tokens = [m for m in personal_data.TOKEN.finditer(line)]
+            if tokens:
+                s = np.stack([crf.scores(m.group()) for m in tokens])
+                e = s[:, 1].copy()
+                e[1:] += s[:-1, 0]
+                e[:-1] += s[1:, 2]
+                labels = personal_data.viterbi(e[None], np.array([len(tokens)]), crf.move, crf.start)[0]
+                out += [(at + m.start(), v) for m, v in zip(tokens, labels, strict=True) if v]
+            at += len(line) + 1
+        return out
+
+    some = [t for t in list(texts.values())[:60]] + ODD_TEXTS[:4]
+    for t in some:
+        labelled = {a for a, _ in plain(t)}
+        kept = set()
+        for at, places, e in tagger.lines(t):
+            labels = personal_data.viterbi(e[None], np.array([len(places)]), crf.move, crf.start)[0]
+            kept |= {at + places[k][0] for k in np.flatnonzero(labels)}
+        assert kept == labelled
+
+
+def test_redact(spark):
+    df = spark.createDataFrame([(1, "mail a.b@c.de or 10.0.0.1 now"), (2, None), (3, "clean")], SCHEMA)
+    out = personal_data.redact(personal_data.find(df, personal_data.default_crf()))
+    assert [r["text"] for r in out.orderBy("doc_id").collect()] == ["mail [email] or [ip] now", None, "clean"]
+    assert personal_data.labelled_frame(spark).count() == len(personal_data.labelled_table())
+
+
+def test_write_shards(spark, tmp_path):
+    df = spark.createDataFrame([(i, f"text {i}") for i in range(50)], SCHEMA)
+    sharding.write_shards(sharding.shard(df, 3), f"file://{tmp_path}/shards")
+    back = spark.read.parquet(f"file://{tmp_path}/shards")
+    assert sorted(r["doc_id"] for r in back.collect()) == list(range(50)) and back.select("shard").distinct().count() == 3
+
+
+def test_near_dedup_of_common_passages_stays_linear(spark, monkeypatch):
+    """Texts that share most of their words and link with none: pairs that are verified don't grow with their square."""
+    rng, seen = np.random.default_rng(4), []
+    shared = " ".join(f"s{i}" for i in range(300))
+    joined = common.set_join
+
+    def counted(sets):
+        out = joined(sets)
+        seen.append(out.count())
+        return out
+
+    monkeypatch.setattr(near_dedup, "set_join", counted)
+    for n in (60, 120):
+        seen.clear()
+        data = [(i, shared + " " + " ".join(f"u{i}x{j}" for j in range(70 + int(rng.integers(0, 5))))) for i in range(n)]
+        out = near_dedup.near_duplicates(spark.createDataFrame(data, SCHEMA))
+        assert out.where("doc_id <> component_id").isEmpty()
+        assert seen and max(seen) <= 2 * n
+
+
+def test_near_dedup_of_a_large_group(spark):
+    """Many copies of one text, each with words of its own: all that link are one component."""
+    rng = np.random.default_rng(6)
+    base = [f"w{i}" for i in range(200)]
+    data = {}
+    for k in range(150):
+        words = list(base)
+        for j in rng.choice(200, int(rng.integers(0, 9)), replace=False):
+            words[j] = f"x{k}y{j}"
+        data[k] = " ".join(words)
+    want = _near_brute(data)
+    out = near_dedup.near_duplicates(spark.createDataFrame(list(data.items()), SCHEMA))
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in rows(out)} == want
+
+
+def test_word_hashes_of_long_words_and_pieces(monkeypatch):
+    """Texts cut into pieces, words beyond the table of multipliers, and case: the same sets as text by text."""
+    long = "A" * 300 + " " + "a" * 300 + " " + "a" * 299 + "B"
+    at, h = near_dedup.word_hashes(np.frombuffer(long.encode(), np.uint8))
+    assert h[0] == h[1] != h[2] and at.tolist() == [0, 301, 602]
+    text = " ".join(f"wörd{i % 50} number{i}" for i in range(400))
+    whole = near_dedup.shingles(text)
+    monkeypatch.setattr(near_dedup, "PIECE", 256)
+    assert np.array_equal(near_dedup.shingles(text), whole)
+    got = list(near_dedup.shingle_sets([b"a b", None, text.encode(), b"", b"a b", ("z" * 700).encode()]))
+    assert np.array_equal(got[2], whole) and [len(g) for g in got] == [1, 0, len(whole), 0, 1, 1] and np.array_equal(got[0], got[4])
+
+
+def test_line_dedup_of_a_hot_band(spark):
+    """Unlike lines around one common core: nothing is removed; alike ones around another: one stays."""
+    from splitsort.llm.line_dedup import dedup_lines
+
+    rng = np.random.default_rng(7)
+    word = lambda n: "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz"), n))
+    core, other = " ".join(word(7) for _ in range(20)), " ".join(word(7) for _ in range(40))
+    lines = [f"{core} {' '.join(word(7) for _ in range(10))}" for _ in range(120)]
+    lines += [f"{other} {word(6)}" for _ in range(120)]
+    got = rows(dedup_lines(spark.createDataFrame(list(enumerate(lines)), SCHEMA)))
+    assert {r["doc_id"] for r in got if r["n_removed"]} == set(range(121, 240))
+    doubled = spark.createDataFrame([(5, "same line\nother one here"), (3, "same line"), (None, "x\nsame line"), (4, None)], SCHEMA)
+    assert {r["doc_id"]: r["text"] for r in rows(dedup_lines(doubled))} == {5: "other one here", 3: "", None: "x\nsame line", 4: None}
+
+
+@pytest.mark.parametrize("outlier", [False, True])
+def test_nearest_recall_over_a_whole_block(spark, outlier):
+    """A block of more than 8,000 vectors, one of them ten times as long in the second case."""
+    from splitsort.llm.nearest import nearest
+
+    rng = np.random.default_rng(9)
+    x = rng.normal(size=(9000, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    if outlier:
+        x[17] *= 10
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = collections.defaultdict(set)
+    for r in rows(nearest(df, F.col("vec_id") % 300 == 0)):
+        got[r["query_id"]].add(r["vec_id"])
+    hits = 0
+    for q in range(0, 9000, 300):
+        s = x @ x[q]
+        s[q] = -np.inf
+        hits += len(got[q] & set(np.argsort(-s)[:20]))
+    assert hits / (20 * 30) >= 0.95
