@@ -2,6 +2,7 @@
 
 import datetime
 import math
+from decimal import Decimal
 
 import pytest
 from pyspark.sql import functions as F
@@ -12,6 +13,8 @@ CASES = {
     "double": [0.0, -0.0, 1.5, -1.5, math.inf, -math.inf, math.nan, 5e-324, -1e300, None],
     "bigint": [0, 1, -1, 2**63 - 1, -(2**63), 255, 256, None],
     "string": ["", "a", "aa", "b", "é", "z", "\x00", "a\x00b", "日本", None],
+    "decimal(38,2)": [Decimal("0"), Decimal("-0.01"), Decimal("123456789012345678901234567890123456.78"), Decimal("-99999999999999999999.99"), Decimal("5"), None],
+    "decimal(5,0)": [Decimal("0"), Decimal("-7"), Decimal("99999"), Decimal("12"), None],
     "boolean": [True, False, None],
     "date": [datetime.date(1970, 1, 1), datetime.date(1969, 12, 31), datetime.date(2024, 2, 29), None],
 }

@@ -1,9 +1,12 @@
 """Every sort gives the sorted permutation, on edge inputs too; plans are slim."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from splitsort import baselines, gather, keyindex, sorter, validate
+from splitsort.plans import counters, device
+from splitsort.plans.concurrency import ConcurrencyPlan
 from splitsort.records import TEXTS, RecordSpec
 from splitsort.session import new_path
 from splitsort.sources import write_fixed, write_klv
@@ -30,13 +33,22 @@ def records(request, spark):
     return path, data
 
 
-@pytest.mark.parametrize("sort", ["one", "unbuffered", "two", "wide", "sample", "resort", "serial"])
+@pytest.mark.parametrize("sort", ["one", "unbuffered", "exact", "refetch", "overlap", "exclusive", "planned", "two", "two-overlap", "wide", "sample", "deep", "memory", "resort", "serial", "quick"])
 def test_sorts(spark, records, sort):
     path, data = records
     budget = max(SPEC.entry_bytes, len(data) * SPEC.entry_bytes // 3)
     out = {
         "one": lambda: sorter.one_pass(spark, path, SPEC),
         "unbuffered": lambda: sorter.one_pass(spark, path, SPEC, buffered=False),
+        "exact": lambda: sorter.one_pass(spark, path, SPEC, stride_gap=0, gap_bytes=0),
+        "refetch": lambda: sorter.one_pass(spark, path, SPEC, refetch_key=True),
+        "overlap": lambda: sorter.one_pass(spark, path, SPEC, policy="overlap"),
+        "exclusive": lambda: sorter.one_pass(spark, path, SPEC, policy="exclusive"),
+        "planned": lambda: sorter.one_pass(spark, path, SPEC, plan=ConcurrencyPlan({"read_random/4096": 3, "write_seq/4096": 2}, "overlap")),
+        "two-overlap": lambda: sorter.two_pass(spark, path, SPEC, budget, policy="overlap"),
+        "deep": lambda: baselines.sample_sort(spark, path, SPEC, oversample=8, fanout=2, bucket_bytes=500),
+        "memory": lambda: baselines.sample_sort(spark, path, SPEC, fanout=4, device="memory"),
+        "quick": lambda: baselines.serial_split(spark, path, SPEC, budget, run_sort="quick"),
         "two": lambda: sorter.two_pass(spark, path, SPEC, budget, fan_in=2),
         "wide": lambda: baselines.wide_merge(spark, path, SPEC, "exclusive"),
         "sample": lambda: baselines.sample_sort(spark, path, SPEC, fanout=4),
@@ -86,6 +98,77 @@ def test_counters_are_the_formulas(spark, records):
     assert gather.point_fetch(ranked, path, SPEC, counters=True).agg(F.sum("bytes_needed")).first()[0] == 6 * len(data)
 
 
+def test_exact_bytes(spark, records):
+    """At gap 0 the readers read what is needed and nothing else; over gaps they read more in fewer requests."""
+    path, data = records
+    n = len(data)
+    strided = keyindex.counters(spark, path, SPEC, stride_gap=0).agg(F.sum("bytes_read"), F.sum("requests")).first()
+    assert tuple(strided) == (4 * n, n)
+    ranked = sorter.with_global_rank(sorter.sort_index(keyindex.build_fixed(spark, path, SPEC)))
+    read = {g: gather.point_fetch(ranked, path, SPEC, gap_bytes=g, counters=True).agg(F.sum("bytes_read"), F.sum("requests")).first() for g in (0, 4096)}
+    assert tuple(read[0]) == (6 * n, n) and read[4096][0] >= read[0][0] and read[4096][1] <= n
+
+
+def test_expected_amplification():
+    rng, spec = np.random.default_rng(0), RecordSpec()
+    n, density = 200_000, 0.2
+    at = np.flatnonzero(rng.random(n) < density) * 100 + 10
+    for gap in (0, 300, 4096):
+        reads = gather.coalesced(np.zeros(len(at), int), at, np.full(len(at), 90), gap)
+        got = sum(z - a for _, a, z, _ in reads) / (90 * len(at))
+        assert abs(got - gather.expected_amplification(density, spec, gap)) < 0.03 * got
+    assert gather.best_gap(0.2, spec) == 4000 and gather.best_gap(0.2, spec, request_ns=1.0) == 0
+
+
+def test_single_task_is_guarded(spark, records, monkeypatch):
+    monkeypatch.setattr(sorter, "SINGLE_BYTES", 0)
+    with pytest.raises(ValueError, match="one task"):
+        sorter.one_pass(spark, records[0], SPEC, pools=1)
+
+
+def test_length_prefixed_runs_keep_the_budget(spark):
+    """Records over several files: no run holds more entries than the budget, and none is lost."""
+    path = new_path(spark, "klv-many").removeprefix("file:")
+    data = [(b"%010d" % (i * 7919 % 1000), b"v" * (i % 40)) for i in range(1000)]
+    write_klv(spark.createDataFrame(data, "key binary, value binary").repartition(4), path, TEXTS)
+    runs, plan = sorter.klv_runs(spark, path, TEXTS, 200 * TEXTS.entry_bytes)
+    sizes = [r["count"] for r in spark.read.parquet(runs).groupBy("run").count().collect()]
+    assert plan.runs == 5 and sorted(sizes) == [200] * 5
+
+
+def test_rank_rows_sorts_only_what_it_must(spark):
+    from splitsort import lazy
+
+    data = [(bytes([i * 37 % 256, i % 7]), 0, i) for i in range(2000)]
+    idx = spark.createDataFrame(data, "key binary, file_id int, pos long")
+    want = sorted(data)
+    for first, last in ((1, 3), (777, 777), (1500, 1640), (1999, 2500), (5, 4)):
+        got = [(r["rank"], (bytes(r["key"]), r["file_id"], r["pos"])) for r in lazy.rank_rows(idx, first, last, cells=64).orderBy("rank").collect()]
+        assert got == [(k, want[k - 1]) for k in range(first, min(last, 2000) + 1)]
+
+
+def test_counters_and_probe(spark, tmp_path):
+    c = counters.counted(spark, counters.written(spark.range(20_000).repartition(3)))
+    assert c.shuffle_bytes > 20_000 and c.seconds > 0 and counters.counted(spark, lambda: None).shuffle_bytes == 0
+    got = device.probe(spark, str(tmp_path), sizes=(4096,), threads=(1, 2), total=1 << 16).collect()
+    assert len(got) == 6 and all(r["gb_per_s"] > 0 for r in got) and not list(tmp_path.iterdir())
+
+
+def test_stream_runs_from_a_checkpoint(spark, sf_dir):
+    from splitsort import catalogue
+
+    assert catalogue.QUERIES["stream_restart"](spark, sf_dir).count() == spark.read.parquet(f"{sf_dir}/events.parquet").count()
+
+
+def test_lateral_join_keeps_repeated_left_rows(spark):
+    from splitsort.operators import join_lateral
+
+    a = spark.createDataFrame([(1,), (1,), (2,)], "k int")
+    b = spark.createDataFrame([(1, 10), (1, 20), (1, 30), (2, 5)], "j int, v int")
+    got = sorted((r["k"], r["v"]) for r in join_lateral(a, b, F.col("k") == F.col("j"), [F.col("v").desc()], 2).collect())
+    assert got == [(1, 20), (1, 20), (1, 30), (1, 30), (2, 5)]
+
+
 def test_slim_plan(spark, sf_dir):
     from splitsort.records import cents
     from splitsort.sources import table
