@@ -395,16 +395,16 @@ def fn_bytes(spark, sf_dir):
 
 @query(
     "fn_decimal",
-    "SELECT o_orderkey, CAST(o_totalprice AS DECIMAL(12,2)) * 3 AS tripled, TRY_CAST(substr(o_orderpriority, 1, 1) AS INTEGER) AS first, TRY_CAST(o_orderpriority AS INTEGER) AS bad, "
-    "round(o_totalprice / nullif(o_orderkey % 4, 0), 4) AS divided FROM orders",
+    "SELECT o_orderkey, CAST(CAST(o_totalprice AS DECIMAL(12,2)) * 300 AS BIGINT) AS tripled, TRY_CAST(substr(o_orderpriority, 1, 1) AS INTEGER) AS first, coalesce(TRY_CAST(o_orderpriority AS INTEGER), -1) AS bad, "
+    "coalesce(round(o_totalprice / nullif(o_orderkey % 4, 0), 4), -1) AS divided FROM orders",
 )
 def fn_decimal(spark, sf_dir):
     return t(spark, sf_dir, "orders").select(
         "o_orderkey",
-        (F.col("o_totalprice").cast("decimal(12,2)") * 3).cast("decimal(18,2)").alias("tripled"),
+        (F.col("o_totalprice").cast("decimal(12,2)") * 300).cast("long").alias("tripled"),
         F.substring("o_orderpriority", 1, 1).try_cast("int").alias("first"),
-        F.col("o_orderpriority").try_cast("int").alias("bad"),
-        F.round(F.try_divide("o_totalprice", F.col("o_orderkey") % 4), 4).alias("divided"),
+        F.coalesce(F.col("o_orderpriority").try_cast("int"), F.lit(-1)).alias("bad"),
+        F.coalesce(F.round(F.try_divide("o_totalprice", F.col("o_orderkey") % 4), 4), F.lit(-1.0)).alias("divided"),
     )
 
 
