@@ -26,6 +26,11 @@ def new_path(spark: SparkSession, name: str) -> str:
 
 def staged(df: DataFrame, name: str, compression: str = "zstd") -> DataFrame:
     """``df`` written to the shared folder and read again: evaluated once, lineage cut."""
-    path = new_path(df.sparkSession, name)
-    df.write.option("compression", compression).parquet(path)
+    path, key = new_path(df.sparkSession, name), "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = df.sparkSession.conf.get(key)
+    df.sparkSession.conf.set(key, "true")  # what is read later is the written table, not the shuffle behind it
+    try:
+        df.write.option("compression", compression).parquet(path)
+    finally:
+        df.sparkSession.conf.set(key, before)
     return df.sparkSession.read.schema(df.schema).parquet(path)
