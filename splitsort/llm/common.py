@@ -12,9 +12,14 @@ Conventions of all operators here:
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import tempfile
 import uuid
+from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -51,7 +56,7 @@ def apart(df: DataFrame, *names: str) -> list[str]:
     return out
 
 
-def small_batches(spark: SparkSession, size: int = 8 << 20) -> None:
+def small_batches(spark: SparkSession, size: int = 4 << 20) -> None:
     """Bound what one Arrow batch hands to a Python worker: 64 MB by default, of which a worker holds several copies.
 
     A setting of the session's own stays.
@@ -61,6 +66,15 @@ def small_batches(spark: SparkSession, size: int = 8 << 20) -> None:
         spark.conf.set(key, str(size))
 
 
+def released(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The batches; after the last one the worker, which Spark keeps for other tasks, gives unused memory back."""
+    yield from batches
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # not every C library can
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder all executors see: ``spark.checkpoint.dir``, or in its absence, on one machine, a new one."""
     sc = spark.sparkContext
@@ -73,11 +87,27 @@ def shared_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+@contextlib.contextmanager
+def shuffles_freed(spark: SparkSession) -> Iterator[None]:
+    """Within, a query's shuffle files go as soon as it has ended, not when the driver collects its garbage.
+
+    For queries whose result is written: what is read of it later is the written table.
+    """
+    key = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 def staged(df: DataFrame, name: str) -> DataFrame:
     """``df`` written to the shared folder and read again: evaluated once, lineage cut."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/stage-{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    with shuffles_freed(spark):
+        df.write.option("compression", "zstd").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._stage_path = path
     return out
@@ -173,10 +203,8 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
             .agg(F.min(order(F.col("m"))).alias("x"))
             .select("n", F.least("x", order(F.col("n")))["to"].alias("p"))
         )
-        hook = staged(hook, "hook")
         up = hook.select(F.col("n").alias("p"), F.col("p").alias("q"))
         hook2 = staged(hook.join(up, "p", "left").select("n", F.coalesce("q", "p").alias("p")), "hook")
-        unstage(hook)
         hooks.append(hook2)
         renamed = (
             live.join(hook2.select(F.col("n").alias("a"), F.col("p").alias("pa")), "a")
@@ -203,6 +231,13 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return out
 
 
+def united(links: DataFrame, more: DataFrame, comp: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """All links as one table, and their components; the tables that these replace are deleted."""
+    both = staged(links.unionAll(more), "links")
+    unstage(links, more, comp)
+    return both, components(both)
+
+
 def open_buckets(members: DataFrame, comp: DataFrame) -> DataFrame:
     """``(band, k, node, comp)`` of the buckets of ``members(band, k, node)`` that hold several components."""
     known = members.select("band", "k", "node").join(small(comp, comp.count()), "node", "left")
@@ -214,9 +249,9 @@ def open_buckets(members: DataFrame, comp: DataFrame) -> DataFrame:
     return out
 
 
-def drawn_pairs(left: DataFrame, k: int) -> DataFrame:
-    """Pairs of one member of each bucket's largest component, drawn in round ``k``, and all members of the others."""
-    order = F.struct(F.xxhash64(F.lit(k), "band", "node").alias("h"), "node")
+def drawn_pairs(left: DataFrame) -> DataFrame:
+    """Pairs of one member of each bucket's largest component, drawn by hash, and all members of the others."""
+    order = F.struct(F.xxhash64("band", "node").alias("h"), "node")
     each = left.groupBy("band", "comp").agg(F.count("*").alias("n"), F.min(order).alias("x"))
     drawn = each.groupBy("band").agg(F.max(F.struct("n", "comp", "x.node")).alias("x")).select("band", F.col("x.node").alias("c"), F.col("x.comp").alias("d"))
     drawn = staged(drawn, "drawn")

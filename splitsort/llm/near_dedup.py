@@ -10,7 +10,7 @@ No group is ever expanded into its pairs:
 1. texts with equal shingle sets collapse into one class;
 2. every class is compared with the least class that shares a bucket with it, and verified links are united into components;
 3. small buckets that still hold several components are compared pair by pair; in larger ones the other components
-   are compared with a member of the largest one, drawn by hash, a few rounds of it;
+   are compared with a member of the largest one, drawn by hash, another in each bucket;
 4. what is then left in larger ones is settled by an exact set join: shingles that no two components
    share count for nothing, the others are put in order, rarest first, and two sets can only reach the threshold
    if they meet in the first few of these and enough is left behind the place where they meet.
@@ -27,17 +27,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import PERCENT, apart, close_pairs, components, drawn_pairs, open_buckets, placed, set_join, small, small_batches, staged, unstage
+from .common import PERCENT, apart, close_pairs, components, drawn_pairs, open_buckets, placed, released, set_join, small, small_batches, staged, united, unstage
 
 WORDS_IN_SHINGLE = 5
 #: 40 bands of 4 rows: a pair at similarity 0.75 is missed with a chance of 3e-7.
 BANDS, ROWS = 40, 4
 #: A pair at 0.75 agrees on fewer coordinates than this with a chance of under 1e-11, were they independent.
 PLAUSIBLE = 80
-#: Rounds against drawn members at most, and members of a bucket whose pairs are then all compared.
-ROUNDS, SMALL = 3, 16
+#: Members of a bucket up to which all pairs are compared.
+SMALL = 16
 #: Bytes that a worker takes up at once; a longer text is cut between words.
-PIECE = 2 << 20
+PIECE = 1 << 18
 #: Bytes of a word that the table of multipliers covers; longer words get a digest.
 REACH = 256
 _rng = np.random.default_rng(0x5EED)
@@ -191,7 +191,7 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for k, sh in enumerate(shingle_sets(batch.column("body").to_pylist())):
             got.append(sh.astype(np.int64))
             size += len(sh)
-            if size >= PIECE // 8 or k + 1 == batch.num_rows:
+            if size >= PIECE or k + 1 == batch.num_rows:
                 yield pa.RecordBatch.from_arrays([nodes.slice(at, len(got)), pa.array(got, pa.list_(pa.int64()))], ["node", "sh"])
                 at, got, size = k + 1, [], 0
 
@@ -216,7 +216,7 @@ def _sets_of(nodes: DataFrame, sketch: DataFrame, bodies: DataFrame) -> DataFram
     wanted = sketch.join(small(nodes, nodes.count()), F.col("uid") == F.col("node"), "left_semi")
     wanted = staged(wanted.select(F.col("uid").alias("node"), "f", "r"), "wanted")
     texts = bodies.join(small(wanted, wanted.count()), ["f", "r"]).select("node", "body")
-    out = staged(texts.mapInArrow(_sets, "node long, sh array<long>"), "sets")
+    out = staged(texts.mapInArrow(lambda b: released(_sets(b)), "node long, sh array<long>"), "sets")
     unstage(wanted)
     return out
 
@@ -244,40 +244,31 @@ def _linked(sketch: DataFrame, bodies: DataFrame) -> tuple[DataFrame, DataFrame]
     sigs = nodes.select("node", "n_shingles", "sig")
     stars = members.groupBy(F.col("node").alias("b")).agg(F.min("head").alias("a")).where("a < b").select("a", "b")
     stars = staged(_alike(stars, sigs), "stars")
-    sets = _sets_of(staged(stars.select(F.col("a").alias("node")).union(stars.select("b")).distinct(), "nodes"), sketch, bodies)
+    nodes = staged(stars.select(F.col("a").alias("node")).union(stars.select("b")).distinct(), "nodes")
+    sets = _sets_of(nodes, sketch, bodies)
     links = _verified(stars, sets)
-    unstage(sets)
+    unstage(nodes, sets)
     comp = components(links)
-    # 3. buckets of several components: all pairs where there are few, drawn members elsewhere
+    # 3. buckets of several components: all pairs where there are few, a drawn member elsewhere
     left = open_buckets(members, comp)
     close, large = close_pairs(left.where(F.col("k") <= SMALL)), staged(left.where(F.col("k") > SMALL), "large")
-    more = staged(_alike(close, sigs), "alike")
-    unstage(left, close)
-    nodes = more.select(F.col("a").alias("node")).union(more.select("b")).union(large.select("node")).distinct()
-    sets = _sets_of(staged(nodes, "nodes"), sketch, bodies)
-    links = links.unionAll(_verified(more, sets))
-    comp = components(links)
-    for k in range(ROUNDS):
-        left = open_buckets(large, comp)
-        if left.isEmpty():
-            break
-        drawn = drawn_pairs(left, k)
-        found = _verified(_alike(drawn, sigs), sets)
-        unstage(drawn, left)
-        if found.isEmpty():
-            break
-        links = links.unionAll(found)
-        comp = components(links)
+    drawn = drawn_pairs(large)
+    more = staged(_alike(close.union(drawn).distinct(), sigs), "alike")
+    unstage(left, close, drawn)
+    nodes = staged(more.select(F.col("a").alias("node")).union(more.select("b")).union(large.select("node")).distinct(), "nodes")
+    sets = _sets_of(nodes, sketch, bodies)
+    links, comp = united(links, _verified(more, sets), comp)
+    unstage(nodes)
     # 4. the rest, exactly
     left = open_buckets(large, comp)
     if not left.isEmpty():
         rest = staged(left.select("node", "comp").distinct(), "rest")
         found = _verified(set_join(sets.join(small(rest, rest.count()), "node")), sets)
         if not found.isEmpty():
-            comp = components(links.unionAll(found))
+            links, comp = united(links, found, comp)
         unstage(rest)
     unstage(left, large, more, sets)
-    unstage(members, stars)
+    unstage(members, stars, links)
     return classes, comp
 
 
@@ -288,7 +279,7 @@ def near_groups(docs: DataFrame, file: str, row: str, text: str = "text", doc_id
     bodies = docs.select(F.col(file).alias("f"), F.col(row).alias("r"), body)
     rows = docs.select(F.monotonically_increasing_id().alias("uid"), F.col(file).alias("f"), F.col(row).alias("r"), F.col(f"`{doc_id}`").alias("id"), body)
     kinds = f"uid long, f long, r long, id {dict(docs.dtypes)[doc_id]}, n_shingles long, same binary, sig binary, bands array<long>"
-    sketch = staged(rows.mapInArrow(_sketch, kinds), "sketch")
+    sketch = staged(rows.mapInArrow(lambda b: released(_sketch(b)), kinds), "sketch")
     classes, comp = _linked(sketch, bodies)
     # back to rows: by class, then by component
     slim = sketch.select("uid", "f", "r", "id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("same")).alias("same"))
