@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import small, small_batches, widened
+from .common import released, small, small_batches, widened
 
 #: Documents of each language in the labelled sample (for fitting only), fewer where there are many languages, and the least.
 DOCS_PER_LANG, SAMPLE, FEWEST = 800, 6400, 20
@@ -160,4 +160,4 @@ def identify(docs: DataFrame, model: Coder, text: str = "text", names: tuple[str
             new = [pa.array([g[k] for g in got], kinds[k]) for k in range(3)]
             yield pa.RecordBatch.from_arrays([*batch.columns, *new], [*batch.schema.names, *names])
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(lambda b: released(run(b)), schema)

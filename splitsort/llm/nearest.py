@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 #: Rows and queries of one meeting; share of the projections on which a candidate collides.
-ROWS, QUERIES, THRESHOLD = 8192, 512, 0.9
+ROWS, QUERIES, THRESHOLD = 8192, 2048, 0.9
 #: Windows widen by GROW from the narrowest of LEVELS; they stop at this share of the range's vectors.
 GROW, LEVELS, ENOUGH, LEAST = 1.12, 28, 0.06, 200
 #: Largest norm of a range by its least, but in ranges of up to LEAST vectors, which are verified whole.

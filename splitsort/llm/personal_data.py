@@ -19,7 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import small_batches, widened
+from .common import released, small_batches, widened
 
 KINDS = ("email", "ip", "card", "phone")
 #: B- and I- for each kind, O first.
@@ -78,7 +78,7 @@ SPELT = re.compile(r"[(\[{](?:at|dot)[)\]}]")
 
 def shape(token: str) -> str:
     """Letters to a or A, digits to 9, runs shortened to one with a length class for digits."""
-    s = re.sub(r"[^\W\d_A-Z]+", "a", re.sub(r"[A-Z]+", "A", token[:80]))
+    s = re.sub(r"[^\W\d_A-Z]+", "a", re.sub(r"[A-Z]+", "A", token))
     return re.sub(r"\d+", lambda m: "9" * min(len(m.group()), 4) if len(m.group()) < 12 else "9L", s)
 
 
@@ -400,7 +400,7 @@ def find(docs: DataFrame, crf: Crf, text: str = "text") -> DataFrame:
                 cols = [pa.array([r[k] for r in rows], pa.int64() if k < len(KINDS) else pa.string()) for k in range(len(new))]
                 yield pa.RecordBatch.from_arrays([*part.columns, *cols], [*names, *new])
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(lambda b: released(run(b)), schema)
 
 
 def redact(docs: DataFrame, text: str = "text") -> DataFrame:

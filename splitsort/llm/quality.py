@@ -144,13 +144,15 @@ def _lasso(r: np.ndarray, y: np.ndarray, steps: int = 400) -> tuple[float, np.nd
 def train(docs: DataFrame, labels: DataFrame, text: str = "text", doc_id: str = "doc_id", label: str = "quality") -> RuleEnsemble:
     """Fit on at most SAMPLE labelled rows, chosen by a hash of the id; rows without a label take no part.
 
-    The sample's ids are bounded by SAMPLE and are broadcast; only its rows have their statistics computed.
+    The sample's ids are bounded by SAMPLE and are broadcast; only its rows have their statistics computed.  Of documents
+    that share an id and a label, the mean of each statistic counts, so that what is collected is bounded too.
     """
     chosen = labels.select(F.col(f"`{doc_id}`").alias("i"), F.col(f"`{label}`").cast("double").alias("y")).where("y IS NOT NULL")
     chosen = chosen.orderBy(F.xxhash64(F.lit(7), "i"), "i", "y").limit(SAMPLE)
     rows = docs.select(F.col(f"`{doc_id}`").alias("i"), F.col(f"`{text}`").alias("t")).join(F.broadcast(chosen), "i")
     stats = statistics(F.col("t"))
-    got = sorted(tuple(r) for r in rows.select("i", "y", *[c.alias(n) for n, c in stats.items()]).collect())
+    each = rows.select("i", "y", *[c.alias(n) for n, c in stats.items()]).groupBy("i", "y").agg(*[F.avg(n).alias(n) for n in stats])
+    got = sorted(tuple(r) for r in each.collect())
     x = np.array([r[2:] for r in got], np.float64).reshape(len(got), len(stats))
     return fit(x, np.array([r[1] for r in got], np.float64), list(stats))
 

@@ -20,15 +20,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_batches, widened
+from .common import released, small_batches, widened
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
 #: Fixed values of the model format: types of pieces, types of models.
 NORMAL, UNKNOWN, CONTROL, USER_DEFINED, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 UNIGRAM, BPE = 1, 2
-#: Chunks that a worker remembers before it starts afresh, and the letters and signs that finer cuts may part.
-REMEMBERED = 100_000
+#: Chunks that a worker remembers before it starts afresh, and those it keeps from task to task; the letters and signs that finer cuts may part.
+REMEMBERED, KEPT = 80_000, 20_000
 LETTER, SIGNS = "[A-Za-zÀ-ɏ]", ".,!?*#$%&|;:()\n"
 PROBES = (
     "", " ", "a", "  two  spaces ", "line\nline\ttab", "Ünïcode ñandú çédille", "日本語のテキスト", "emoji 👩‍🚀 zwj",
@@ -213,6 +213,12 @@ class Codec:
                 break
         return n
 
+    def forget(self) -> None:
+        """Drop chunks remembered beyond what a first slice finds anyway; the worker may do other work next."""
+        for known in (self.encoded, self.decoded):
+            if len(known) > KEPT:
+                known.clear()
+
     def verify(self, texts: list[str]) -> None:
         """Raise unless ids and texts equal those of the sentencepiece library."""
         import sentencepiece
@@ -234,7 +240,7 @@ def codec(blob: bytes) -> Codec:
     return Codec(blob)
 
 
-def _texts(column: pa.Array, most: int = 2 << 20) -> Iterator[tuple[int, list[str]]]:
+def _texts(column: pa.Array, most: int = 1 << 20) -> Iterator[tuple[int, list[str]]]:
     """Texts of a column in slices of bounded size, each with its number of rows."""
     part, size = [], 0
     for t in column:
@@ -270,8 +276,9 @@ def encode_decode(docs: DataFrame, text: str = "text", model: str = MODEL) -> Da
                 new = [pa.array(ids, pa.list_(pa.int32())), pa.array([len(i) for i in ids], pa.int64()), pa.array(own.decode(ids), pa.string())]
                 yield pa.RecordBatch.from_arrays([*batch.slice(done, n).columns, *new], [*names, "ids", "n_tokens", "decoded"])
                 done += n
+        own.forget()
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(lambda b: released(run(b)), schema)
 
 
 def model_bytes(df: DataFrame, path: str) -> bytes:
