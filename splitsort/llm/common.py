@@ -249,9 +249,9 @@ def open_buckets(members: DataFrame, comp: DataFrame) -> DataFrame:
     return out
 
 
-def drawn_pairs(left: DataFrame) -> DataFrame:
-    """Pairs of one member of each bucket's largest component, drawn by hash, and all members of the others."""
-    order = F.struct(F.xxhash64("band", "node").alias("h"), "node")
+def drawn_pairs(left: DataFrame, k: int = 0) -> DataFrame:
+    """Pairs of one member of each bucket's largest component, drawn by hash in round ``k``, and all members of the others."""
+    order = F.struct(F.xxhash64(F.lit(k), "band", "node").alias("h"), "node")
     each = left.groupBy("band", "comp").agg(F.count("*").alias("n"), F.min(order).alias("x"))
     drawn = each.groupBy("band").agg(F.max(F.struct("n", "comp", "x.node")).alias("x")).select("band", F.col("x.node").alias("c"), F.col("x.comp").alias("d"))
     drawn = staged(drawn, "drawn")

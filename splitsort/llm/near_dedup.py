@@ -10,7 +10,7 @@ No group is ever expanded into its pairs:
 1. texts with equal shingle sets collapse into one class;
 2. every class is compared with the least class that shares a bucket with it, and verified links are united into components;
 3. small buckets that still hold several components are compared pair by pair; in larger ones the other components
-   are compared with a member of the largest one, drawn by hash, another in each bucket;
+   are compared with a member of the largest one, drawn by hash, another in each bucket, a few rounds of it;
 4. what is then left in larger ones is settled by an exact set join: shingles that no two components
    share count for nothing, the others are put in order, rarest first, and two sets can only reach the threshold
    if they meet in the first few of these and enough is left behind the place where they meet.
@@ -34,8 +34,8 @@ WORDS_IN_SHINGLE = 5
 BANDS, ROWS = 40, 4
 #: A pair at 0.75 agrees on fewer coordinates than this with a chance of under 1e-11, were they independent.
 PLAUSIBLE = 80
-#: Members of a bucket up to which all pairs are compared.
-SMALL = 16
+#: Members of a bucket up to which all pairs are compared, and rounds of drawn members in larger ones.
+SMALL, ROUNDS = 16, 3
 #: Bytes that a worker takes up at once; a longer text is cut between words.
 PIECE = 1 << 18
 #: Bytes of a word that the table of multipliers covers; longer words get a digest.
@@ -259,6 +259,16 @@ def _linked(sketch: DataFrame, bodies: DataFrame) -> tuple[DataFrame, DataFrame]
     sets = _sets_of(nodes, sketch, bodies)
     links, comp = united(links, _verified(more, sets), comp)
     unstage(nodes)
+    for k in range(1, ROUNDS):
+        left = open_buckets(large, comp)
+        if left.isEmpty():
+            break
+        drawn = drawn_pairs(left, k)
+        found = _verified(_alike(drawn, sigs), sets)
+        unstage(drawn, left)
+        if found.isEmpty():
+            break
+        links, comp = united(links, found, comp)
     # 4. the rest, exactly
     left = open_buckets(large, comp)
     if not left.isEmpty():
